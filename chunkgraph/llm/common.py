@@ -6,6 +6,7 @@ import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -57,7 +58,7 @@ def text_slices(batches: Iterator[pa.RecordBatch], column: str = "text") -> Iter
         if k < 0 or batch.nbytes <= SLICE_BYTES:
             yield batch
             continue
-        lengths = pa.compute.fill_null(pa.compute.binary_length(batch.column(k)), 0).to_pylist()
+        lengths = pc.fill_null(pc.binary_length(batch.column(k)), 0).to_pylist()
         start = size = 0
         for i, n in enumerate(lengths):
             if size and size + n > SLICE_BYTES:
@@ -72,8 +73,6 @@ def map_texts(df: DataFrame, make: Callable, schema: str) -> DataFrame:
     """mapInArrow over slices of bounded text size. make() runs once a task and returns slice -> RecordBatch."""
 
     def run(batches):
-        import pyarrow.compute  # noqa: F401
-
         work = make()
         for batch in text_slices(batches):
             if batch.num_rows:
