@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import bpe, decontaminate, fmindex, langid, pii, quality, suffixarray, urls
+from . import bpe, decontaminate, embeddings, fmindex, langid, minhash, pii, quality, suffixarray, urls
 from .common import table
 
 
@@ -16,9 +16,11 @@ def queries() -> dict:
         "op5_language": langid.query,
         "op6_url_filter": urls.query,
         "op7_substring_dedup": docs(fmindex.report),
+        "op8_embedding_near_dedup": embeddings.query,
+        "op9_minhash_near_dedup": minhash.query,
         "op10_suffix_array_dedup": docs(suffixarray.report),
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_decontaminate": decontaminate.ORACLE_SQL}
+    return {"op1_decontaminate": decontaminate.ORACLE_SQL, "op8_embedding_near_dedup": embeddings.ORACLE_SQL}
