@@ -11,14 +11,12 @@ decides. Null text has no words; texts of fewer words, and rows with a null doc_
 from __future__ import annotations
 
 import numpy as np
-import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bpe import Memo
-from .common import map_texts, settle
-from .repeats import WINDOW, merged, repeated_spans, with_spans
+from .repeats import WINDOW, Source, map_bodies, repeated_spans, with_spans
 
 #: Words in the grams that anchors are chosen from.
 GRAM = 8
@@ -175,58 +173,48 @@ def least_documents(texts: list[np.ndarray], doc: np.ndarray, window: int) -> tu
     return row[order], at[order], least[order]
 
 
-def word_index(segments: list[bytes], windows: np.ndarray, doc: np.ndarray, window: int):
-    code: dict[bytes, int] = {}
-    texts = [np.array([code.setdefault(w, len(code) + 1) for w in s.split(b" ")], np.int64) for s in segments]
+def word_index(arena: np.ndarray, begin: np.ndarray, size: np.ndarray, windows: np.ndarray, doc: np.ndarray, window: int):
+    """The index of a shard: (text, window number, smallest document) for all windows of its texts."""
+    raw, code = arena.tobytes(), {}
+    new = code.setdefault
+    texts = [np.array([new(w, len(code) + 1) for w in raw[a : a + n].split(b" ")], np.int64) for a, n in zip(begin.tolist(), size.tolist())]
     return least_documents(texts, doc, window)
 
 
-def split_words(text: str | None) -> list[bytes]:
-    return text.encode().split() if text else []
+class WordSource(Source):
+    """Words of a text, hashed; the raw bytes are the words joined by a space."""
 
+    gap = 1
+    hashes = Memo(xxhash.xxh3_64_intdigest)
 
-def make_word_hashes():
-    memo = Memo(xxhash.xxh3_64_intdigest)
-
-    def elements(text: str) -> np.ndarray:
-        get, miss = memo.young.get, memo.miss
+    def read(self, text: str):
         words = text.encode().split()
-        return np.array([get(w) or miss(w) for w in words], np.uint64)
-
-    return elements
-
+        get, miss = self.hashes.young.get, self.hashes.miss
+        elements = np.array([get(w) or miss(w) for w in words], np.uint64)
+        starts = np.concatenate(([0], np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1)))
+        return elements, np.frombuffer(b" ".join(words) + b" ", np.uint8), starts
 
-def cut_words(text: str, starts: np.ndarray, stops: np.ndarray) -> list[bytes]:
-    words = text.encode().split()
-    return [b" ".join(words[a:b]) for a, b in zip(starts.tolist(), stops.tolist())]
+    def __reduce__(self):
+        return WordSource, ()
 
 
 def repeated(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """doc_id, digest, spans of words in windows that a smaller document has too."""
-    return repeated_spans(docs, make_word_hashes, cut_words, word_index, min(GRAM, window), window)
-
-
-def remaining(words: list[bytes], spans) -> list[bytes]:
-    out, done = [], 0
-    for a, b in merged(spans):
-        out += words[done:a]
-        done = b
-    return out + words[done:]
+    return repeated_spans(docs, WordSource(), word_index, min(GRAM, window), window)
 
 
 def deduplicate(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """doc_id, n_words, n_removed, kept (binary: what is left, joined by a space)."""
-    both = with_spans(docs, settle(repeated(docs, window)))
-
-    def make():
-        def work(batch):
-            words = [split_words(t) for t in batch.column(1).to_pylist()]
-            kept = [remaining(w, s) for w, s in zip(words, batch.column(2).to_pylist())]
-            return pa.RecordBatch.from_arrays([batch.column(0), pa.array([len(w) for w in words], pa.int64()), pa.array([len(w) - len(k) for w, k in zip(words, kept)], pa.int64()), pa.array([b" ".join(k) for k in kept], pa.binary())], ["doc_id", "n_words", "n_removed", "kept"])
 
-        return work
+    def work(text, spans):
+        words, kept, done = text.split(), [], 0
+        for a, b in spans:
+            kept += words[done:a]
+            done = b
+        kept += words[done:]
+        return len(words), len(words) - len(kept), b" ".join(kept)
 
-    return map_texts(both, make, "doc_id long, n_words long, n_removed long, kept binary")
+    return map_bodies(with_spans(docs, repeated(docs, window)), work, "doc_id long, n_words long, n_removed long, kept binary")
 
 
 def report(docs: DataFrame) -> DataFrame:

@@ -10,12 +10,10 @@ bytes; repeated rows are each judged; extra columns are ignored.
 from __future__ import annotations
 
 import numpy as np
-import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_texts, settle
-from .repeats import WINDOW, merged, repeated_spans, with_spans
+from .repeats import WINDOW, Source, map_bodies, ranges, repeated_spans, with_spans
 
 #: Bytes in the grams that anchors are chosen from.
 GRAM = 16
@@ -86,16 +84,15 @@ def adjacent_equal(text: np.ndarray, order: np.ndarray, window: int) -> np.ndarr
     return same
 
 
-def byte_index(segments: list[bytes], windows: np.ndarray, doc: np.ndarray, window: int):
-    """(segment, window start, smallest document that has the window) of all windows of a shard's segments."""
-    count = len(segments)
-    lengths = np.array([len(s) for s in segments], np.int64)
-    start = np.concatenate(([0], np.cumsum(lengths + 1)))[:-1]
-    codes = np.zeros(int((lengths + 1).sum()), np.int64)
+def byte_index(arena: np.ndarray, begin: np.ndarray, size: np.ndarray, windows: np.ndarray, doc: np.ndarray, window: int):
+    """The index of a shard: (text, window number, smallest document that has the window) for all windows of its texts."""
+    count = len(begin)
+    start = np.cumsum(size + 1) - size - 1
+    codes = np.zeros(int((size + 1).sum()), np.int64)
     body = np.ones(len(codes), bool)
-    body[start + lengths] = False
-    codes[body] = np.frombuffer(b"".join(segments), np.uint8).astype(np.int64) + count
-    codes[start + lengths] = np.arange(count)  # ends differ, so no match crosses one
+    body[start + size] = False
+    codes[body] = arena[ranges(begin, size)].astype(np.int64) + count
+    codes[start + size] = np.arange(count)  # ends differ, so no match crosses one
     row = np.repeat(np.arange(count), windows)
     at = np.arange(len(row)) - np.repeat(np.cumsum(windows) - windows, windows)
     whole = np.zeros(len(codes), np.int64)
@@ -109,40 +106,23 @@ def byte_index(segments: list[bytes], windows: np.ndarray, doc: np.ndarray, wind
     return row, at, least
 
 
-def make_bytes():
-    return lambda text: np.frombuffer(text.encode(), np.uint8)
-
-
-def cut_bytes(text: str, starts: np.ndarray, stops: np.ndarray) -> list[bytes]:
-    raw = text.encode()
-    return [raw[a:b] for a, b in zip(starts.tolist(), stops.tolist())]
-
-
 def repeated(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """doc_id, digest, spans of bytes in windows that a smaller document has too."""
-    return repeated_spans(docs, make_bytes, cut_bytes, byte_index, min(GRAM, window), window)
+    return repeated_spans(docs, Source(), byte_index, min(GRAM, window), window)
 
 
 def deduplicate(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans (maximal removed runs), kept (binary)."""
-    both = with_spans(docs, settle(repeated(docs, window)))
-
-    def make():
-        def work(batch):
-            out = []
-            for text, spans in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist()):
-                raw, runs, kept, done = (text or "").encode(), merged(spans), [], 0
-                for a, b in runs:
-                    kept.append(raw[done:a])
-                    done = b
-                kept = b"".join([*kept, raw[done:]])
-                out.append((len(raw), len(raw) - len(kept), len(runs), kept))
-            sizes = [pa.array([x[k] for x in out], pa.int64()) for k in range(3)]
-            return pa.RecordBatch.from_arrays([batch.column(0), *sizes, pa.array([x[3] for x in out], pa.binary())], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept"])
-
-        return work
-
-    return map_texts(both, make, "doc_id long, n_bytes long, n_removed long, n_spans long, kept binary")
+
+    def work(raw, spans):
+        kept, done = [], 0
+        for a, b in spans:
+            kept.append(raw[done:a])
+            done = b
+        kept = b"".join([*kept, raw[done:]])
+        return len(raw), len(raw) - len(kept), len(spans), kept
+
+    return map_bodies(with_spans(docs, repeated(docs, window)), work, "doc_id long, n_bytes long, n_removed long, n_spans long, kept binary")
 
 
 def report(docs: DataFrame) -> DataFrame:
