@@ -24,10 +24,18 @@ def shared_dir(spark: SparkSession) -> str:
     return f"{root.rstrip('/')}/{uuid.uuid4().hex}"
 
 
-def settle(df: DataFrame) -> DataFrame:
-    """Write df to the shared folder and read it again: cuts lineage, and survives lost executors."""
+#: Rows of a settled frame's partition, where the number of rows is known.
+ROWS_A_PARTITION = 100_000
+
+
+def settle(df: DataFrame, rows: int | None = None) -> DataFrame:
+    """Write df to the shared folder and read it again: cuts lineage, and survives lost executors. rows: an upper bound of
+    its rows, if known; small frames get few partitions then, large ones those that they have."""
     spark = df.sparkSession
     path = shared_dir(spark)
+    if rows is not None:
+        parts = rows // ROWS_A_PARTITION + 1
+        df = df.coalesce(parts) if parts < int(spark.conf.get("spark.sql.shuffle.partitions")) else df
     df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
@@ -41,11 +49,6 @@ def forget(df: DataFrame) -> None:
         path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
-def spread(df: DataFrame) -> DataFrame:
-    """At least as many input partitions as there are cores, for CPU-heavy Python over few files."""
-    return df
-
-
 def crc_fold(doc_id: str, folds: int):
     """crc32 of the id as text, modulo the number of folds: decides which rows may teach a model."""
     return F.crc32(F.col(doc_id).cast("string").cast("binary")) % F.lit(folds)

@@ -17,12 +17,13 @@ def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
     """
     both = links.where(F.col("a").isNotNull() & F.col("b").isNotNull() & (F.col("a") != F.col("b"))).select("a", "b")
     both = settle(both.unionAll(both.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct())
-    labels = settle(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.col("a")).alias("component")).select("node", "component"))
+    size = both.count()
+    labels = settle(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.col("a")).alias("component")).select("node", "component"), size)
     for _ in range(most_rounds):
         near = both.join(labels.select(F.col("node").alias("b"), F.col("component").alias("seen")), "b").groupBy(F.col("a").alias("node")).agg(F.min("seen").alias("seen"))
         hooked = labels.join(near, "node", "left").select("node", F.col("component").alias("was"), F.least("component", "seen").alias("component"))
         jump = labels.select(F.col("node").alias("component"), F.col("component").alias("above"))
-        stepped = settle(hooked.join(jump, "component", "left").select("node", F.least("component", F.coalesce("above", "component")).alias("component"), "was"))
+        stepped = settle(hooked.join(jump, "component", "left").select("node", F.least("component", F.coalesce("above", "component")).alias("component"), "was"), size)
         changed = stepped.where("component < was").limit(1).count()
         forget(labels)
         labels = stepped.select("node", "component")

@@ -1,9 +1,9 @@
 """MinHash near-duplicates: improved consistent weighted sampling over TF-IDF shingles, banded, verified exactly.
 
-Words are runs of word characters of the lower-cased text; a shingle is five consecutive words (a text of one to four
+Words are runs of letters and digits (ASCII, and all longer code points) of the lower-cased text; a shingle is five consecutive words (a text of one to four
 words is one shingle). A shingle weighs its count times a damped inverse document frequency,
 1 + log((1 + N) / (1 + df)) / log(1 + N). Document frequencies come from all documents, in a table of hashed counters of
-fixed size from which the mean noise of a counter is taken off. Each document gets BANDS x ROWS samples; documents that agree in a
+fixed size from which the noise of a counter (its mean and three deviations) is taken off. Each document gets BANDS x ROWS samples; documents that agree in a
 band are candidates, and links are pairs whose weighted Jaccard similarity, computed from all their shingles, reaches
 the threshold.
 
@@ -18,18 +18,15 @@ different texts it belongs to the classes of all of them, and its component is t
 
 from __future__ import annotations
 
-import re
-
 import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .bpe import Memo
 from .common import map_texts, settle, table
 from .components import components
-from .repeats import mixed, sieve
+from .repeats import Powers, mixed, segment_digests, sieve
 
 SHINGLE = 5
 THRESHOLD = 0.8
@@ -37,24 +34,33 @@ BANDS, ROWS = 16, 4
 #: Counters of document frequencies, and the pieces they travel in.
 COUNTERS, PIECES = 1 << 20, 64
 #: Entries of the table of random variates that shingles are hashed into, anew for each sample.
-VARIATES = 1 << 16
+VARIATES = 1 << 14
 #: Unresolved classes of a bucket up to which all their cross pairs are compared.
 SMALL_BUCKET = 32
 MOST_ROUNDS = 12
-_WORD = re.compile(r"\w+")
+#: Weights are rounded to this many steps an octave when samples are drawn (not when a pair is verified).
+OCTAVE, GRID = 8, 160
+#: Samples times shingles that are drawn at once.
+DRAWN = 1 << 20
+# The bytes of words in lower-cased UTF-8: digits, a to z, and all of longer code points.
+_WORD_BYTE = np.zeros(256, bool)
+_WORD_BYTE[48:58] = _WORD_BYTE[97:123] = _WORD_BYTE[128:] = True
 
 
 def make_shingles():
-    memo = Memo(xxhash.xxh3_64_intdigest)
+    powers = Powers()
 
     def shingles(text: str | None) -> np.ndarray:
-        """Hashes of the shingles of a text, with repeats."""
-        get, miss = memo.young.get, memo.miss
-        words = _WORD.findall(text.lower()) if text else []
-        h = np.array([get(w) or miss(w) for w in words], np.uint64)
-        n = min(SHINGLE, len(h))
+        """32-bit hashes of the shingles of a text, with repeats."""
+        raw = np.frombuffer((text or "").lower().encode(), np.uint8)
+        inside = np.zeros(len(raw) + 2, bool)
+        inside[1:-1] = _WORD_BYTE[raw]
+        border = np.flatnonzero(inside[1:] != inside[:-1])
+        begin, end = border[0::2], border[1::2]
+        n = min(SHINGLE, len(begin))
         if not n:
-            return h
+            return np.zeros(0, np.uint64)
+        h = segment_digests(raw, begin, end, powers)
         out = h[: len(h) - n + 1].copy()
         for k in range(1, n):
             out = out * np.uint64(0x9E3779B97F4A7C15) + h[k : len(h) - n + 1 + k]
@@ -98,31 +104,38 @@ def document_frequencies(docs: DataFrame) -> np.ndarray:
         size = COUNTERS // PIECES
         counts[r["piece"] * size : (r["piece"] + 1) * size] = np.frombuffer(r["counts"], "<u8")
         n = max(n, r["documents"])
-    counts = np.clip(counts - counts.mean(), 0, n)
+    noise = counts.mean()
+    counts = np.clip(counts - noise - 3 * np.sqrt(noise), 0, n)
     return (1 + np.log((1 + n) / (1 + counts)) / np.log(1 + n)).astype(np.float32)
 
 
 class WeightedSampler:
-    """Improved consistent weighted sampling with variates looked up by a hash of shingle and sample number."""
+    """Improved consistent weighted sampling with variates looked up by a hash of shingle and sample number.
+
+    For a variate triple (r, c, beta) and weight w the sample's step is floor(log w / r + beta), and the shingle of least
+    log c - r (step - beta) - r is drawn; steps and ranks of all triples are tabled for each weight of the grid.
+    """
 
     def __init__(self, samples: int = BANDS * ROWS, seed: int = 7):
-        r = np.random.default_rng(seed)
-        self.r = r.gamma(2.0, 1.0, VARIATES).astype(np.float32)
-        self.log_c = np.log(r.gamma(2.0, 1.0, VARIATES)).astype(np.float32)
-        self.beta = r.uniform(0, 1, VARIATES).astype(np.float32)
-        self.odd = r.integers(1, 1 << 62, samples, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+        g = np.random.default_rng(seed)
+        r, log_c, beta = g.gamma(2.0, 1.0, VARIATES), np.log(g.gamma(2.0, 1.0, VARIATES)), g.uniform(0, 1, VARIATES)
+        log_w = np.arange(GRID)[:, None] * np.log(2) / OCTAVE
+        self.step = np.floor(log_w / r + beta).astype(np.int32)
+        self.rank = (log_c - r * (self.step - beta) - r).astype(np.float32).ravel()
+        self.odd = g.integers(1, 1 << 62, samples, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
     def samples(self, shingle: np.ndarray, weight: np.ndarray) -> np.ndarray:
         """One number a sample: two weighted sets agree in it with about the probability of their similarity."""
-        log_w, out = np.log(weight).astype(np.float32), np.empty(len(self.odd), np.uint64)
-        spread = mixed(shingle)
-        for k, odd in enumerate(self.odd):
-            at = ((spread * odd) >> np.uint64(48)).astype(np.int64)
-            r, beta = self.r[at], self.beta[at]
-            step = np.floor(log_w / r + beta)
-            rank = self.log_c[at] - r * (step - beta) - r
-            best = int(rank.argmin())
-            out[k] = shingle[best] * np.uint64(1 << 20) + np.uint64(int(step[best]) & 0xFFFFF)
+        row = np.clip(np.rint(np.log2(weight) * OCTAVE), 0, GRID - 1).astype(np.int64) * VARIATES
+        spread, shift = mixed(shingle), np.uint64(64 - (VARIATES - 1).bit_length())
+        out, at_once = np.empty(len(self.odd), np.uint64), max(1, DRAWN // len(shingle))
+        for k in range(0, len(self.odd), at_once):
+            odd = self.odd[k : k + at_once]
+            at = ((spread[None, :] * odd[:, None]) >> shift).view(np.int64)
+            at += row
+            best = self.rank[at].argmin(1)
+            drawn = at[np.arange(len(odd)), best]
+            out[k : k + at_once] = shingle[best] * np.uint64(1 << 20) + (self.step.ravel()[drawn] & 0xFFFFF).astype(np.uint64)
         return mixed(out)
 
 
@@ -225,27 +238,35 @@ def links_of(docs: DataFrame, threshold: float = THRESHOLD) -> tuple[DataFrame,
     full = keyed.groupBy("key").agg(F.min("rep").alias("low"), F.max("rep").alias("high")).where("low < high").select("key")
     rows = settle(keyed.join(full, "key").select("key", "rep", "digest"))
     known = settle(vectors(docs, rows.select("rep", "digest").distinct()))
-    rows = rows.select("key", "rep").distinct()
-    links, seen = None, None
+    rows = settle(rows.select("key", "rep").distinct())
+    size = rows.count()
+    links = seen = None
     grouped = rows.withColumn("component", F.col("rep"))
     for turn in range(MOST_ROUNDS):
+        large = 0
         if turn:
-            split = grouped.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("n")).where("low < high").select("key", "n")
+            split = settle(grouped.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("n")).where("low < high").select("key", "n"), size)
+            large = split.where(F.col("n") > SMALL_BUCKET).limit(1).count()
             open_rows = grouped.join(split, "key")
             small = open_rows.where(F.col("n") <= SMALL_BUCKET)
             other = small.select("key", F.col("rep").alias("b"), F.col("component").alias("component_b"))
-            cross = small.join(other, "key").where((F.col("rep") < F.col("b")) & (F.col("component") != F.col("component_b"))).select(F.col("rep").alias("a"), "b").distinct()
-            pairs = cross.unionAll(_hub_pairs(open_rows.where(F.col("n") > SMALL_BUCKET), turn)).distinct().join(seen, ["a", "b"], "left_anti")
+            pairs = small.join(other, "key").where((F.col("rep") < F.col("b")) & (F.col("component") != F.col("component_b"))).select(F.col("rep").alias("a"), "b").distinct()
+            if large:
+                pairs = pairs.unionAll(_hub_pairs(open_rows.where(F.col("n") > SMALL_BUCKET), turn)).distinct()
+            pairs = pairs.join(seen, ["a", "b"], "left_anti")
         else:
             pairs = _hub_pairs(grouped, 0)
         pairs = settle(pairs)
-        new = settle(verified(pairs, known, idf, threshold))
-        links = new if links is None else links.unionAll(new)
-        if not new.limit(1).count() and turn:
+        if turn and not pairs.limit(1).count():
             break
+        new = settle(verified(pairs, known, idf, threshold), size)
+        links = new if links is None else links.unionAll(new)
         seen = pairs if seen is None else seen.unionAll(pairs)
+        # after a turn all cross pairs of small buckets are compared; large ones go on while links turn up
+        if turn and not (large and new.limit(1).count()):
+            break
         named = components(links.select("a", "b")).withColumnRenamed("node", "rep")
-        grouped = settle(rows.join(named, "rep", "left").select("key", "rep", F.coalesce("component", "rep").alias("component")))
+        grouped = settle(rows.join(named, "rep", "left").select("key", "rep", F.coalesce("component", "rep").alias("component")), size)
     return classes, links
 
 
