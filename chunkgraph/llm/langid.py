@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import crc_fold, map_texts, table
+from .common import crc_fold, map_texts, table, text_slices
 
 SLOTS = 1 << 18
 LENGTHS = (1, 2, 3, 4)
@@ -167,17 +167,19 @@ def classify(docs: DataFrame) -> DataFrame:
 
 def keep_known(docs: DataFrame) -> DataFrame:
     """A filter: documents whose language is determined, all columns as they are."""
-    import pandas as pd
-
     model = fit(*training_rows(docs))
-
-    @F.pandas_udf("string")
-    def language(texts: pd.Series) -> pd.Series:
-        known = [t if has_letter(t) else None for t in texts]
-        names = iter(model.predict([t for t in known if t is not None])[0] if model else [])
-        return pd.Series([UNDETERMINED if t is None else next(names, UNDETERMINED) for t in known], dtype=object)
-
-    return docs.where(language("text") != UNDETERMINED)
+    at = docs.columns.index("text")
+
+    def run(batches):
+        for batch in text_slices(batches):
+            texts = batch.column(at).to_pylist()
+            known = pa.array([has_letter(t) for t in texts], pa.bool_())
+            rows = batch.filter(known)
+            if rows.num_rows and model:
+                names, _ = model.predict(rows.column(at).to_pylist())
+                yield rows.filter(pa.array([n != UNDETERMINED for n in names], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
 
 
 def query(spark, sf_dir):

@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .boosting import BoostedTrees, isotonic, sigmoid
-from .common import map_texts
+from .common import map_texts, text_slices
 
 KINDS = ("email", "ip", "card", "phone")
 SPAN_TYPE = "array<struct<kind:string,start:int,end:int,score:double,base:boolean>>"
@@ -223,12 +223,14 @@ def redact(text: str | None, spans: list[dict]) -> str | None:
 def redact_frame(df: DataFrame) -> DataFrame:
     """All columns of df, with the spans found in `text` redacted and n_chars, where present, counted anew."""
     model = default_model()
+    at = df.columns.index("text")
 
-    @F.udf("string", useArrow=True)
-    def cleaned(text):
-        return redact(text, find_spans(text, model))
+    def run(batches):
+        for batch in text_slices(batches):
+            clean = pa.array([redact(t, find_spans(t, model)) for t in batch.column(at).to_pylist()], pa.string())
+            yield batch.set_column(at, batch.schema.field(at), clean.cast(batch.schema.field(at).type))
 
-    out = df.withColumn("text", cleaned("text"))
+    out = df.mapInArrow(run, df.schema)
     return out.withColumn("n_chars", F.length("text").cast(df.schema["n_chars"].dataType)) if "n_chars" in df.columns else out
 
 
