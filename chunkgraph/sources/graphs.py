@@ -8,7 +8,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..functions.hashing import MODULUS, portable_hash, portable_hash_sql
+from ..functions.hashing import MODULUS, mix, portable_hash, portable_hash_sql
 from ..plans.scratch import table
 
 _HREF = 'href="([^"]+)"'
@@ -105,14 +105,13 @@ _QUADRANTS = (5, 6, 7)
 
 def rmat(spark: SparkSession, scale: int, count: int, seed: int = 1) -> DataFrame:
     """(i, src, dst): `count` draws, duplicates kept, from 2^scale vertices; each level hashes i anew."""
-    src = dst = F.lit(0).cast("long")
-    for level in range(scale):
-        u = portable_hash(F.col("id"), seed + level) * 10
-        low, mid, high = (F.lit(q * MODULUS).cast("long") for q in _QUADRANTS)
-        down = (u >= mid).cast("long")
-        right = ((u >= low) & (u < mid) | (u >= high)).cast("long")
-        src, dst = src * 2 + down, dst * 2 + right
-    return spark.range(count).select(F.col("id").alias("i"), src.alias("src"), dst.alias("dst"))
+    levels = F.sequence(F.lit(seed).cast("long"), F.lit(seed + scale - 1).cast("long"))
+    draws = F.transform(levels, lambda k: mix(mix(F.col("id")).bitwiseXOR(mix(k))) * 10)  # portable_hash(id, k)
+    low, mid, high = (F.lit(q * MODULUS).cast("long") for q in _QUADRANTS)
+    zero = F.lit(0).cast("long")
+    down = F.aggregate("draws", zero, lambda s, u: s * 2 + (u >= mid).cast("long"))
+    right = F.aggregate("draws", zero, lambda s, u: s * 2 + ((u >= low) & (u < mid) | (u >= high)).cast("long"))
+    return spark.range(count).select(F.col("id").alias("i"), draws.alias("draws")).select("i", down.alias("src"), right.alias("dst"))
 
 
 def rmat_sql(scale: int, count: int, seed: int = 1) -> str:

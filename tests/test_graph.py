@@ -185,3 +185,15 @@ def test_coding_saves_and_larger_chunks_save_more(spark):
     size = [cost.memory_formats(Graph.from_edges(edges, b=b).chunks).first() for b in (2, 8, 64)]
     assert all(x["coded_bytes"] < x["chunked_bytes"] < x["plain_bytes"] for x in size)
     assert size[0]["coded_bytes"] > size[1]["coded_bytes"] > size[2]["coded_bytes"]
+
+
+def test_posting_index(spark):
+    from chunkgraph.operators.postings import PostingIndex
+
+    texts = {k: f"{'red ' * (k % 2)}{'blue ' * (k % 3 > 0)}w{k}" for k in range(60)} | {60: None, 61: ""}
+    df = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    index = PostingIndex.build(df.where("doc_id < 30")).add_docs(df.where("doc_id >= 30"))
+    red, blue = ({k for k, t in texts.items() if t and c in t} for c in ("red", "blue"))
+    ids = lambda f: {r["doc_id"] for r in f.collect()}
+    assert ids(index.and_("red", "blue")) == red & blue and ids(index.or_("red", "blue")) == red | blue and ids(index.minus("red", "blue")) == red - blue
+    assert ids(index.remove_docs(df.where("doc_id < 10")).and_("red", "red")) == {k for k in red if k >= 10}
