@@ -555,15 +555,15 @@ def repeated_spans(docs: DataFrame, source: Source, index: Callable, gram: int,
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     texts = named(docs).where(F.col("doc_id").isNotNull() & (F.length("text") > 0))
     packed = texts.mapInArrow(*_anchor_rows(source, gram, parts, window))
-    places = settle(packed.repartition(parts, "bucket").mapInArrow(*_shared_places(parts)))
+    places = settle(packed.repartitionById(parts, F.col("bucket")).mapInArrow(*_shared_places(parts)))
     del packed
     drop_shuffles(places)
     null = F.lit(None).cast("long")
     told = places.select("bucket", null.alias("doc_id"), null.alias("digest"), F.col("blob").alias("body"))
     asked = squeezed(texts, parts).select("bucket", "doc_id", "digest", "body")
-    rows = told.unionAll(asked).repartition(parts, "bucket").sortWithinPartitions(F.col("doc_id").asc_nulls_first())
+    rows = told.unionAll(asked).repartitionById(parts, F.col("bucket")).sortWithinPartitions(F.col("doc_id").asc_nulls_first())
     segments = rows.mapInArrow(*_segment_rows(source, gram, parts, window))
-    found = segments.repartition(parts, "shard").mapInArrow(*_resolve(index, window))
+    found = segments.repartitionById(parts, F.col("shard")).mapInArrow(*_resolve(index, window))
     spans = settle(found.groupBy("doc_id", "digest").agg(F.array_sort(F.collect_list(F.struct("start", "end"))).alias("spans")))
     del told, asked, rows, segments, found
     drop_shuffles(spans)
