@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from .common import map_texts
 
 #: Entries of one generation of a worker's memo; when the young generation is full it becomes the old one.
-MEMO_UNITS = 250_000
+MEMO_UNITS = 200_000
 MEMO_LENGTH = 48
 
 _NO_RANK = 1 << 40
@@ -38,62 +38,61 @@ def load_ranks(path: str) -> dict[bytes, int]:
         return {base64.b64decode(token): int(rank) for token, rank in map(bytes.split, file)}
 
 
-class PairTree:
-    """Minimum tree over byte positions: leaf i holds the rank of the pair that starts at position i."""
-
-    def __init__(self, ranks: list[int]):
-        self.width = 1 << max(1, (len(ranks) - 1).bit_length())
-        self.node = node = [_NO_RANK] * self.width + ranks + [_NO_RANK] * (self.width - len(ranks))
-        for k in range(self.width - 1, 0, -1):
-            a, b = node[2 * k], node[2 * k + 1]
-            node[k] = a if a <= b else b
-
-    def put(self, position: int, rank: int) -> None:
-        node, k = self.node, position + self.width
-        node[k] = rank
-        while k > 1:
-            a, b = node[k], node[k ^ 1]
-            low = a if a <= b else b
-            k >>= 1
-            if node[k] == low:
-                return
-            node[k] = low
-
-    def leftmost_least(self) -> tuple[int, int]:
-        node, k, least = self.node, 1, self.node[1]
-        while k < self.width:
-            k *= 2
-            if node[k] != least:
-                k += 1
-        return k - self.width, least
-
-
 def merge_piece(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
-    """Token ids of one piece of the split."""
-    if piece in ranks:
-        return [ranks[piece]]
-    n = len(piece)
-    end = list(range(1, n + 1))  # end[i]: where the live token that starts at i ends
+    """Token ids of one piece of the split.
+
+    A minimum tree over byte positions: leaf i holds the rank of the pair of tokens whose first begins at i. The root is
+    the least rank, and going left where it can be found leads to its leftmost pair. A merge changes the leaves of the
+    pair, of the token behind it and of the one before; each change climbs until it alters nothing.
+    """
+    known = ranks.get(piece)
+    if known is not None:
+        return [known]
+    n, get, none = len(piece), ranks.get, _NO_RANK
+    width = 1 << max(0, n - 2).bit_length()
+    node = [none] * width
+    node += [get(piece[i : i + 2], none) for i in range(n - 1)]
+    node += [none] * (2 * width - len(node))
+    for k in range(width - 1, 0, -1):
+        a, b = node[2 * k], node[2 * k + 1]
+        node[k] = a if a <= b else b
+    end = list(range(1, n + 1))  # where the live token that starts at i ends
     before = list(range(-1, n))  # start of the live token in front
-    rank_of = ranks.get
-    tree = PairTree([rank_of(piece[i : i + 2], _NO_RANK) for i in range(n - 1)] or [_NO_RANK])
-    while True:
-        i, least = tree.leftmost_least()
-        if least == _NO_RANK:
-            break
+    token = [get(piece[i : i + 1]) for i in range(n)]
+    least = node[1]
+    while least != none:
+        k = 1
+        while k < width:
+            k += k
+            if node[k] != least:
+                k += 1
+        i = k - width
         j = end[i]
         stop = end[i] = end[j]
-        tree.put(i, rank_of(piece[i : end[stop]], _NO_RANK) if stop < n else _NO_RANK)
-        if j < n - 1:
-            tree.put(j, _NO_RANK)
+        token[i] = least  # a pair's rank is the id of the token that it makes
+        changes = [(k, none)]
         if stop < n:
             before[stop] = i
+            changes[0] = (k, get(piece[i : end[stop]], none))
+        if j < n - 1:
+            changes.append((j + width, none))
         if i:
             h = before[i]
-            tree.put(h, rank_of(piece[h:stop], _NO_RANK))
+            changes.append((h + width, get(piece[h:stop], none)))
+        for k, rank in changes:
+            node[k] = rank
+            while k > 1:
+                a, b = node[k], node[k ^ 1]
+                if b < a:
+                    a = b
+                k >>= 1
+                if node[k] == a:
+                    break
+                node[k] = a
+        least = node[1]
     out, i = [], 0
     while i < n:
-        out.append(ranks[piece[i : end[i]]])
+        out.append(token[i])
         i = end[i]
     return out
 
