@@ -18,6 +18,8 @@ different texts it belongs to the classes of all of them, and its component is t
 
 from __future__ import annotations
 
+from functools import lru_cache
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -39,7 +41,7 @@ VARIATES = 1 << 14
 SMALL_BUCKET = 32
 MOST_ROUNDS = 12
 #: Weights are rounded to this many steps an octave when samples are drawn (not when a pair is verified).
-OCTAVE, GRID = 8, 160
+OCTAVE, GRID = 8, 112
 #: Samples times shingles that are drawn at once.
 DRAWN = 1 << 20
 # The bytes of words in lower-cased UTF-8: digits, a to z, and all of longer code points.
@@ -118,10 +120,10 @@ class WeightedSampler:
 
     def __init__(self, samples: int = BANDS * ROWS, seed: int = 7):
         g = np.random.default_rng(seed)
-        r, log_c, beta = g.gamma(2.0, 1.0, VARIATES), np.log(g.gamma(2.0, 1.0, VARIATES)), g.uniform(0, 1, VARIATES)
-        log_w = np.arange(GRID)[:, None] * np.log(2) / OCTAVE
+        r, log_c, beta = (x.astype(np.float32) for x in (g.gamma(2.0, 1.0, VARIATES), np.log(g.gamma(2.0, 1.0, VARIATES)), g.uniform(0, 1, VARIATES)))
+        log_w = (np.arange(GRID)[:, None] * np.log(2) / OCTAVE).astype(np.float32)
         self.step = np.floor(log_w / r + beta).astype(np.int32)
-        self.rank = (log_c - r * (self.step - beta) - r).astype(np.float32).ravel()
+        self.rank = (log_c - r * (self.step.astype(np.float32) - beta) - r).ravel()
         self.odd = g.integers(1, 1 << 62, samples, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 
     def samples(self, shingle: np.ndarray, weight: np.ndarray) -> np.ndarray:
@@ -139,6 +141,12 @@ class WeightedSampler:
         return mixed(out)
 
 
+@lru_cache(maxsize=1)
+def default_sampler() -> WeightedSampler:
+    """One a worker process."""
+    return WeightedSampler()
+
+
 def weigh(hashes: np.ndarray, idf: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     shingle, count = np.unique(hashes, return_counts=True)
     return shingle, count * idf[(shingle % COUNTERS).astype(np.int64)]
@@ -158,7 +166,7 @@ def signatures(docs: DataFrame, idf: np.ndarray) -> DataFrame:
     broadcast = docs.sparkSession.sparkContext.broadcast(idf)
 
     def make():
-        shingles, sampler, weights = make_shingles(), WeightedSampler(), broadcast.value
+        shingles, sampler, weights = make_shingles(), default_sampler(), broadcast.value
 
         def work(batch):
             digests, bands = [], []
