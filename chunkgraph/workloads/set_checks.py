@@ -144,9 +144,9 @@ for _fold in ("sum", "min", "max"):
     check(f"build_combine_{_fold}", f"SELECT owner, elem, round({_fold}(val), 6) AS val FROM ({_WEIGHTS}) GROUP BY owner, elem")(_folded)
 
 
-@check("build_combine_last", "SELECT l_partkey AS owner, l_suppkey AS elem, arg_max(l_quantity, l_orderkey * 10 + l_linenumber) AS val FROM lineitem GROUP BY 1, 2")
+@check("build_combine_last", "SELECT l_partkey AS owner, l_suppkey AS elem, arg_max(l_quantity, (l_orderkey * 10 + l_linenumber) * 1000 + l_quantity) AS val FROM lineitem GROUP BY 1, 2")
 def _(spark, d):
-    t = table(spark, d, "lineitem").select(F.col("l_partkey").alias("owner"), F.col("l_suppkey").alias("elem"), F.col("l_quantity").alias("val"), (F.col("l_orderkey") * 10 + F.col("l_linenumber")).alias("o"))
+    t = table(spark, d, "lineitem").select(F.col("l_partkey").alias("owner"), F.col("l_suppkey").alias("elem"), F.col("l_quantity").alias("val"), ((F.col("l_orderkey") * 10 + F.col("l_linenumber")) * 1000 + F.col("l_quantity")).alias("o"))
     return sets.entries(sets.build(t, 8, combine="last", order="o")).select("owner", "elem", "val")
 
 
