@@ -8,9 +8,9 @@ band are candidates, and links are pairs whose weighted Jaccard similarity, comp
 the threshold.
 
 Texts with equal shingles are one class from the start. In a bucket every class is compared with the bucket's hub; those
-whose component differs from another's in the bucket after that are compared further (all cross pairs in small buckets, changing
-hubs over and over in large ones, until a round finds nothing), so a hot bucket costs few comparisons a document. Shingles
-are compared as 32-bit hashes.
+whose component differs from another's in the bucket after that are compared further: all cross pairs in small buckets, changing
+hubs over and over in large ones while that finds links, so a hot bucket of one family costs few comparisons a document. What
+large buckets still hold in different components is then compared in full, block by block. Shingles are compared as 32-bit hashes.
 
 Null and wordless texts link with nothing, nor do rows with a null doc_id. Rows of one id are one document: with
 different texts it belongs to the classes of all of them, and its component is the least of theirs.
@@ -39,7 +39,10 @@ COUNTERS, PIECES = 1 << 20, 64
 VARIATES = 1 << 14
 #: Unresolved classes of a bucket up to which all their cross pairs are compared.
 SMALL_BUCKET = 32
+#: Rounds of changing hubs; what they leave open is compared by blocks.
 MOST_ROUNDS = 12
+#: Classes and packed bytes of a block of a large bucket, about, and columns of a product of two blocks that are held at once.
+BLOCK, BLOCK_BYTES, COLUMNS = 256, 1 << 20, 1024
 #: Weights are rounded to this many steps an octave when samples are drawn (not when a pair is verified).
 OCTAVE, GRID = 8, 112
 #: Samples times shingles that are drawn at once.
@@ -234,6 +237,79 @@ def _hub_pairs(rows: DataFrame, seed: int) -> DataFrame:
     return met.select(F.least("rep", "hub").alias("a"), F.greatest("rep", "hub").alias("b")).distinct()
 
 
+class Occurrences:
+    """The packed shingles of several classes as columns (shingle, how often before in the class), ordered by column."""
+
+    def __init__(self, packed: list[bytes], idf: np.ndarray):
+        lengths = [len(p) // 4 for p in packed]
+        h, at = np.frombuffer(b"".join(packed), "<u4").astype(np.uint64), np.repeat(np.arange(len(packed)), lengths)
+        first = np.flatnonzero(np.concatenate(([True], (h[1:] != h[:-1]) | (at[1:] != at[:-1])))) if len(h) else np.zeros(0, np.int64)
+        before = np.arange(len(h)) - np.repeat(first, np.diff(first, append=len(h)))
+        column, weight = (h << np.uint64(32)) + before.astype(np.uint64), idf[(h % COUNTERS).astype(np.int64)].astype(np.float64)
+        self.total, order = np.bincount(at, weight, len(packed)), np.argsort(column, kind="stable")
+        self.column, self.at, self.weight = column[order], at[order], weight[order]
+
+    def dense(self, columns: np.ndarray, weighted: bool) -> np.ndarray:
+        low, high = np.searchsorted(self.column, columns[0]), np.searchsorted(self.column, columns[-1], "right")
+        spot = np.searchsorted(columns, self.column[low:high])
+        held = columns[spot] == self.column[low:high]
+        out = np.zeros((len(self.total), len(columns)))
+        out[self.at[low:high][held], spot[held]] = self.weight[low:high][held] if weighted else 1
+        return out
+
+
+def similarities(a: Occurrences, b: Occurrences) -> np.ndarray:
+    """Weighted Jaccard similarities of all classes of a with all of b: the lesser of two counts is the number of occurrences in both."""
+    common = np.intersect1d(a.column, b.column)
+    low = np.zeros((len(a.total), len(b.total)))
+    for k in range(0, len(common), COLUMNS):
+        columns = common[k : k + COLUMNS]
+        low += a.dense(columns, True) @ b.dense(columns, False).T
+    return low / (a.total[:, None] + b.total[None, :] - low)
+
+
+def _rest(rows: DataFrame, known: DataFrame, idf: np.ndarray, threshold: float) -> DataFrame:
+    """rows: key, rep, component, of large buckets. The links (a, b, similarity) among all pairs of different components in a bucket.
+
+    A bucket is dealt into blocks by hash, those of a component that fills one or more apart from the others; every two
+    blocks meet in a task's group of bounded size, unless both are of one component.
+    """
+    broadcast = rows.sparkSession.sparkContext.broadcast(idf)
+    held = rows.join(known.groupBy("rep").agg(F.sum(F.length("shingles")).alias("bytes"), F.count("*").alias("n")), "rep")
+    share = F.greatest(F.sum("n") / F.lit(BLOCK), F.sum("bytes") / F.lit(BLOCK_BYTES)).alias("share")
+    shares = held.groupBy("key", "component").agg(share).withColumn("owner", F.when(F.col("share") > 1, F.col("component").cast("string")).otherwise(""))
+    parts = settle(shares.groupBy("key", "owner").agg(F.ceil(F.sum("share")).alias("parts")))
+    name = lambda part: F.concat_ws(":", "owner", part.cast("string")).alias("block")
+    dealt = settle(held.join(shares.select("key", "component", "owner"), ["key", "component"]).join(parts, ["key", "owner"]).select("key", "rep", "component", name(F.pmod(F.xxhash64("rep"), F.col("parts")))))
+    blocks = parts.select("key", "owner", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("part")).select("key", "owner", name(F.col("part")))
+    x, y = blocks.toDF("key", "owner_x", "x"), blocks.toDF("key", "owner_y", "y")
+    meetings = x.join(y, "key").where((F.col("x") <= F.col("y")) & ((F.col("owner_x") != F.col("owner_y")) | (F.col("owner_x") == "")))
+    ends = meetings.select("key", "x", "y", F.explode(F.array_distinct(F.array("x", "y"))).alias("block"))
+    met = dealt.join(ends, ["key", "block"]).join(known, "rep").select("key", "x", "y", "block", "rep", "component", "shingles")
+
+    def compare(group: pa.Table) -> pa.Table:
+        x, y, block = (group.column(k).to_numpy() for k in ("x", "y", "block"))
+        sides = []
+        for own in (x[0], y[0]):
+            of = group.filter(pa.array(block == own))
+            packed = of.column("shingles").to_pylist()
+            sides.append((of.column("rep").to_numpy(), of.column("component").to_numpy(), packed, Occurrences(packed, broadcast.value)))
+        (ra, ca, texts_a, a), (rb, cb, texts_b, b) = sides
+        found = np.zeros((0, 2), np.int64)
+        near = np.zeros(0)
+        if len(ra) and len(rb):
+            alike, read = similarities(a, b), lambda p: np.frombuffer(p, "<u4").astype(np.uint64)
+            for i, j in np.argwhere(np.abs(alike - threshold) < 1e-9):  # sums in another order must not decide
+                alike[i, j] = similarity(read(texts_a[i]), read(texts_b[j]), broadcast.value)
+            i, j = np.nonzero((alike >= threshold) & (ca[:, None] != cb[None, :]))
+            near = alike[i, j]
+            found = np.stack((np.minimum(ra[i], rb[j]), np.maximum(ra[i], rb[j])), 1)
+        return pa.table({"a": pa.array(found[:, 0], pa.int64()), "b": pa.array(found[:, 1], pa.int64()), "similarity": pa.array(near, pa.float64())})
+
+    found = met.groupBy("key", "x", "y").applyInArrow(compare, "a long, b long, similarity double")
+    return found.groupBy("a", "b").agg(F.max("similarity").alias("similarity"))
+
+
 def links_of(docs: DataFrame, threshold: float = THRESHOLD) -> tuple[DataFrame, DataFrame]:
     """(classes, links): doc_id, digest, rep (the least document of equal shingles); a, b, similarity between reps."""
     idf = document_frequencies(docs)
@@ -249,9 +325,9 @@ def links_of(docs: DataFrame, threshold: float = THRESHOLD) -> tuple[DataFrame,
     rows = settle(rows.select("key", "rep").distinct())
     size = rows.count()
     links = seen = None
+    large = 0
     grouped = rows.withColumn("component", F.col("rep"))
     for turn in range(MOST_ROUNDS):
-        large = 0
         if turn:
             split = settle(grouped.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("n")).where("low < high").select("key", "n"), size)
             large = split.where(F.col("n") > SMALL_BUCKET).limit(1).count()
@@ -270,11 +346,14 @@ def links_of(docs: DataFrame, threshold: float = THRESHOLD) -> tuple[DataFrame,
         new = settle(verified(pairs, known, idf, threshold), size)
         links = new if links is None else links.unionAll(new)
         seen = pairs if seen is None else seen.unionAll(pairs)
-        # after a turn all cross pairs of small buckets are compared; large ones go on while links turn up
+        # after a turn all cross pairs of small buckets are compared; large ones get further hubs while links turn up
         if turn and not (large and new.limit(1).count()):
             break
         named = components(links.select("a", "b")).withColumnRenamed("node", "rep")
         grouped = settle(rows.join(named, "rep", "left").select("key", "rep", F.coalesce("component", "rep").alias("component")), size)
+    if large:
+        wide = grouped.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("n")).where((F.col("low") < F.col("high")) & (F.col("n") > SMALL_BUCKET)).select("key")
+        links = links.unionAll(settle(_rest(settle(grouped.join(wide, "key"), size), known, idf, threshold)))
     return classes, links
 
 

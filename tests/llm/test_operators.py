@@ -288,6 +288,30 @@ def test_near_duplicates_equal_brute_force(spark):
     assert kept == {k for k, _ in rows if root(k) == k}
 
 
+def test_pairs_that_share_only_large_buckets(spark):
+    """A family just under the threshold with pairs above it in the same large buckets: hubs alone miss some of them."""
+    r = random.Random(11)
+    head, rows = [f"t{k}" for k in range(400)], []
+    for k in range(300):
+        tail = [f"u{k}x{i}" for i in range(27)]
+        if k % 5 == 1:  # a few more words as the one before
+            tail[:3] = rows[-1][1].split()[400:403]
+        rows.append((k, " ".join(head + tail)))
+    r.shuffle(rows)
+    df = docs(spark, rows)
+    idf, shingles = minhash.document_frequencies(df), minhash.make_shingles()
+    h = {k: shingles(t) for k, t in rows}
+    pairs = [(k, k + 1) for k in range(0, 300, 5)]
+    assert all(minhash.similarity(h[a], h[b], idf) >= 0.8 for a, b in pairs)
+    assert all(0.75 < minhash.similarity(h[0], h[k], idf) < 0.8 for k in range(2, 300))
+    got = {x["doc_id"]: x["component_id"] for x in minhash.near_duplicates(df).collect()}
+    assert got == {k: k - 1 if k % 5 == 1 else k for k in range(300)}
+    packed = [np.sort(h[k]).astype("<u4").tobytes() for k in range(40)] + [np.sort(np.tile(h[k][:50], k + 1)).astype("<u4").tobytes() for k in range(3)]
+    block = minhash.Occurrences(packed, idf)
+    plain = [[minhash.similarity(*(np.frombuffer(p, "<u4").astype(np.uint64) for p in (a, b)), idf) for b in packed] for a in packed]
+    assert np.allclose(minhash.similarities(block, block), plain, rtol=0, atol=1e-6)
+
+
 def test_odd_tables_everywhere(spark):
     for rows in (ODD, []):
         df = docs(spark, rows)
