@@ -211,6 +211,30 @@ def test_url_rules_are_learned(spark):
     assert all((r["verdict"] == "block") == (r["page_id"] % 2 == 1) for r in got)
 
 
+def test_url_rules_are_long_and_many(spark):
+    schema = "page_id long, url string"
+    subsets = [[c for i, c in enumerate("abcde") if k >> i & 1] for k in range(1, 32)]
+    pages = [(k, f"http://one.io/{'x/'.join([*s, ''])}") for k, s in enumerate(subsets * 4)]
+    labels = spark.createDataFrame([(k, "block" if k % 31 == 30 else "allow") for k in range(93)], "page_id long, verdict string")
+    got = urls.judge(spark.createDataFrame(pages, schema), labels).collect()
+    assert {r["page_id"] for r in got if r["verdict"] == "block"} == {30, 61, 92, 123}
+    many = [(k, f"http://host{k % 400}.io/") for k in range(1200)]
+    labels = spark.createDataFrame([(k, "block" if k % 2 else "allow") for k in range(800)], "page_id long, verdict string")
+    got = urls.judge(spark.createDataFrame(many, schema), labels).collect()
+    assert len(got) == 1200 and all((r["verdict"] == "block") == (r["page_id"] % 2 == 1) for r in got)
+
+
+def test_url_rules_joined_or_in_the_plan(spark):
+    host, path = urls.parts(F.col("url"))
+    pages = spark.read.parquet(f"{DATA.replace('0.001', '0.01')}/pages.parquet").select(host.alias("host"), path.alias("path"))
+    known = pages.select("host", "path", urls.tokens(F.col("host"), F.col("path")).alias("items"), urls.written_rule(F.col("host"), F.col("path"))[1].alias("given")).localCheckpoint()
+    learned = urls.learn(known.select("items", F.coalesce("given", F.lit("allow")).alias("verdict")))
+    rules = [(set(r["body"]), r["head"]) for r in learned.collect()]
+    assert rules and not any(h == g and a > b for a, h in rules for b, g in rules)
+    columns = ("host", "path", "block", "allow")
+    assert sorted_rows(urls.scored(known, learned, 10_000).select(*columns)) == sorted_rows(urls.scored(known, learned, 0).select(*columns))
+
+
 # --------------------------------------------------------------------------------------------------------- near-duplicates
 
 
