@@ -39,7 +39,7 @@ _PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 _DIGITS = re.compile(r"[^0-9]+")
 
 _LOOSE_EMAIL = re.compile(r"[A-Za-z0-9._%+-]{1,64}\s?(?:@|\[at\]|\(at\)|\s(?:at|AT)\s)\s?[A-Za-z0-9-]{1,63}(?:\s?(?:\.|\[dot\]|\(dot\)|\s(?:dot|DOT)\s)\s?[A-Za-z0-9-]{2,63}){1,4}")
-_LOOSE_HINT = re.compile(r"@|\[at\]|\(at\)|\s(?:dot|DOT)\s", re.I)
+_LOOSE_HINT = re.compile(r"@|\[at\]|\(at\)|\s(?:at|dot)\s", re.I)
 _LOOSE_DIGITS = re.compile(r"(?<![0-9A-Za-z])(?:\+|\(|00)?[0-9](?:[\x20().\-/]{0,2}[0-9]){6,24}(?![0-9A-Za-z])")
 _WORDS = {
     "email": re.compile(r"e-?mail|mail|contact|write|reach|adresse|correo|courriel", re.I),

@@ -161,6 +161,14 @@ def test_loose_formats_and_redaction(spark):
     assert pii.report(docs(spark, ODD)).count() == len(ODD)
 
 
+def test_addresses_in_words_are_proposed():
+    model, text = pii.default_model(), "please contact jane.doe at example.org or call"
+    assert pii.loose_candidates("jane at example.com") == [("email", 0, 19)]
+    assert [(s["kind"], text[s["start"] : s["end"]]) for s in pii.find_spans(text, model)] == [("email", "jane.doe at example.org")]
+    for clean in ("we met at noon. The train left", "look at home. It was fine", "they sat at tables.Some of them left"):
+        assert not pii.find_spans(clean, model)
+
+
 # -------------------------------------------------------------------------------------------------------------- classifiers
 
 
