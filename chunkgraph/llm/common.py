@@ -82,3 +82,29 @@ def map_texts(df: DataFrame, make: Callable, schema: str) -> DataFrame:
                 yield work(batch)
 
     return df.mapInArrow(run, schema)
+
+
+def map_groups(df: DataFrame, keys: list[str], work: Callable, schema: pa.Schema) -> DataFrame:
+    """work(key, rows) -> tuples of the schema's longs, once for each key (a tuple); rows hold the other columns, as tuples.
+
+    Groups are dealt by key and read in its order, a batch holds many; only one group's rows are held beyond its batch.
+    """
+
+    def run(batches):
+        n, key, rows, out = len(keys), None, [], []
+        for batch in batches:
+            for row in zip(*(c.to_pylist() for c in batch.columns)):
+                if row[:n] != key:
+                    out += work(key, rows) if rows else []
+                    key, rows = row[:n], []
+                rows.append(row[n:])
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*out), schema)], schema=schema)
+                out = []
+        out += work(key, rows) if rows else []
+        if out:
+            yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*out), schema)], schema=schema)
+
+    rest = [c for c in df.columns if c not in keys]
+    dealt = df.select(*keys, *rest).repartition(*keys).sortWithinPartitions(*keys)
+    return dealt.mapInArrow(run, ", ".join(f"{f.name} long" for f in schema))

@@ -7,10 +7,11 @@ fixed size from which the noise of a counter (its mean and three deviations) is
 band are candidates, and links are pairs whose weighted Jaccard similarity, computed from all their shingles, reaches
 the threshold.
 
-Texts with equal shingles are one class from the start. In a bucket every class is compared with the bucket's hub; those
-whose component differs from another's in the bucket after that are compared further: all cross pairs in small buckets, changing
-hubs over and over in large ones while that finds links, so a hot bucket of one family costs few comparisons a document. What
-large buckets still hold in different components is then compared in full, block by block. Shingles are compared as 32-bit hashes.
+Texts with equal shingles are one class, and buckets of the same classes are one bucket. A bucket that fits a block is
+compared in full by one group, whose links come back as a spanning tree. In a larger one every class is compared with the
+bucket's hub, again with other hubs while that joins components, and then all classes of different components with each
+other, block by block. So every pair that agrees in a band is compared or of one component already, whatever the sizes.
+Shingles are compared as 32-bit hashes.
 
 Null and wordless texts link with nothing, nor do rows with a null doc_id. Rows of one id are one document: with
 different texts it belongs to the classes of all of them, and its component is the least of theirs.
@@ -26,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_texts, settle, table
+from .common import map_groups, map_texts, settle, table
 from .components import components
 from .repeats import Powers, mixed, segment_digests, sieve
 
@@ -37,12 +38,10 @@ BANDS, ROWS = 16, 4
 COUNTERS, PIECES = 1 << 20, 64
 #: Entries of the table of random variates that shingles are hashed into, anew for each sample.
 VARIATES = 1 << 14
-#: Unresolved classes of a bucket up to which all their cross pairs are compared.
-SMALL_BUCKET = 32
-#: Rounds of changing hubs; what they leave open is compared by blocks.
-MOST_ROUNDS = 12
-#: Classes and packed bytes of a block of a large bucket, about, and columns of a product of two blocks that are held at once.
+#: Classes and packed bytes that one group takes: a bucket, or a block of a larger one; columns of a product that are held at once.
 BLOCK, BLOCK_BYTES, COLUMNS = 256, 1 << 20, 1024
+#: Another round of hubs is made where the last one left less than this share of the open pairs.
+PROGRESS = 0.75
 #: Weights are rounded to this many steps an octave when samples are drawn (not when a pair is verified).
 OCTAVE, GRID = 8, 112
 #: Samples times shingles that are drawn at once.
@@ -150,6 +149,10 @@ def default_sampler() -> WeightedSampler:
     return WeightedSampler()
 
 
+def digest_of(sorted_hashes: np.ndarray) -> int:
+    return xxhash.xxh3_64_intdigest(sorted_hashes.tobytes()) - (1 << 63)
+
+
 def weigh(hashes: np.ndarray, idf: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     shingle, count = np.unique(hashes, return_counts=True)
     return shingle, count * idf[(shingle % COUNTERS).astype(np.int64)]
@@ -165,76 +168,51 @@ def similarity(a: np.ndarray, b: np.ndarray, idf: np.ndarray) -> float:
 
 
 def signatures(docs: DataFrame, idf: np.ndarray) -> DataFrame:
-    """doc_id, digest (of the shingles; null without any), bands."""
+    """doc_id, digest (of the shingles; null without any), bands, size (bytes of the packed shingles)."""
     broadcast = docs.sparkSession.sparkContext.broadcast(idf)
 
     def make():
         shingles, sampler, weights = make_shingles(), default_sampler(), broadcast.value
 
         def work(batch):
-            digests, bands = [], []
+            digests, bands, sizes = [], [], []
             for text in batch.column(1).to_pylist():
                 h = shingles(text)
+                sizes.append(4 * len(h))
                 if not len(h):
                     digests.append(None)
                     bands.append(None)
                     continue
                 h = np.sort(h)
-                digests.append(xxhash.xxh3_64_intdigest(h.tobytes()) - (1 << 63))
+                digests.append(digest_of(h))
                 rows = sampler.samples(*weigh(h, weights)).reshape(BANDS, ROWS)
                 key = mixed(rows[:, 0])
                 for k in range(1, ROWS):
                     key = mixed(key * np.uint64(31) + rows[:, k])
                 key = mixed(key + np.arange(BANDS, dtype=np.uint64))
                 bands.append(key.view(np.int64).tolist())
-            return pa.RecordBatch.from_arrays([batch.column(0), pa.array(digests, pa.int64()), pa.array(bands, pa.list_(pa.int64()))], ["doc_id", "digest", "bands"])
+            return pa.RecordBatch.from_arrays([batch.column(0), pa.array(digests, pa.int64()), pa.array(bands, pa.list_(pa.int64())), pa.array(sizes, pa.int64())], ["doc_id", "digest", "bands", "size"])
 
         return work
 
-    return map_texts(docs.select("doc_id", F.col("text").cast("string").alias("text")), make, "doc_id long, digest long, bands array<bigint>")
+    return map_texts(docs.select("doc_id", F.col("text").cast("string").alias("text")), make, "doc_id long, digest long, bands array<bigint>, size long")
 
 
 def vectors(docs: DataFrame, wanted: DataFrame) -> DataFrame:
-    """node, shingles (sorted 32-bit hashes, packed) of the documents whose class is wanted (node, rep)."""
+    """digest, shingles (sorted 32-bit hashes, packed) of the classes that are wanted (node, digest)."""
 
     def make():
         shingles = make_shingles()
 
         def work(batch):
             rows = [np.sort(shingles(t)) for t in batch.column(1).to_pylist()]
-            return pa.RecordBatch.from_arrays([batch.column(0), pa.array([xxhash.xxh3_64_intdigest(r.tobytes()) - (1 << 63) for r in rows], pa.int64()), pa.array([r.astype("<u4").tobytes() for r in rows], pa.binary())], ["doc_id", "digest", "shingles"])
+            return pa.RecordBatch.from_arrays([batch.column(0), pa.array([digest_of(r) for r in rows], pa.int64()), pa.array([r.astype("<u4").tobytes() for r in rows], pa.binary())], ["node", "digest", "shingles"])
 
         return work
 
-    some = docs.where(sieve(wanted.select(F.col("rep").alias("doc_id"))))
-    found = map_texts(some.select("doc_id", F.col("text").cast("string").alias("text")), make, "doc_id long, digest long, shingles binary")
-    return wanted.join(found.withColumnRenamed("doc_id", "rep"), ["rep", "digest"]).dropDuplicates(["rep", "digest"]).select("rep", "shingles")
-
-
-def verified(pairs: DataFrame, known: DataFrame, idf: np.ndarray, threshold: float) -> DataFrame:
-    """Of pairs (a, b), those whose similarity reaches the threshold: a, b, similarity."""
-    broadcast = pairs.sparkSession.sparkContext.broadcast(idf)
-    side = lambda n: known.select(F.col("rep").alias(n), F.col("shingles").alias(f"shingles_{n}"))
-    met = pairs.join(side("b"), "b").join(side("a"), "a").select("a", "b", "shingles_a", "shingles_b")
-
-    def compare(batches):
-        weights = broadcast.value
-        for batch in batches:
-            if batch.num_rows:
-                x, y = (batch.column(k).to_pylist() for k in (2, 3))
-                read = lambda p: np.frombuffer(p, "<u4").astype(np.uint64)
-                found = pa.array([similarity(read(p), read(q), weights) for p, q in zip(x, y)], pa.float64())
-                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), found], ["a", "b", "similarity"])
-
-    return met.mapInArrow(compare, "a long, b long, similarity double").where(F.col("similarity") >= threshold)
-
-
-def _hub_pairs(rows: DataFrame, seed: int) -> DataFrame:
-    """rows: key, rep, component. (a, b): each class with its bucket's hub, where their components differ."""
-    order = F.struct((F.col("rep") if not seed else F.xxhash64("rep", F.lit(seed))).alias("o"), F.col("rep").alias("rep"), F.col("component").alias("component"))
-    hubs = rows.groupBy("key").agg(F.min(order).alias("hub")).select("key", F.col("hub.rep").alias("hub"), F.col("hub.component").alias("hub_component"))
-    met = rows.join(hubs, "key").where((F.col("rep") != F.col("hub")) & (F.col("component") != F.col("hub_component")))
-    return met.select(F.least("rep", "hub").alias("a"), F.greatest("rep", "hub").alias("b")).distinct()
+    some = docs.where(sieve(wanted.select(F.col("node").alias("doc_id"))))
+    found = map_texts(some.select("doc_id", F.col("text").cast("string").alias("text")), make, "node long, digest long, shingles binary")
+    return found.join(wanted, ["node", "digest"]).groupBy("digest").agg(F.first("shingles").alias("shingles"))
 
 
 class Occurrences:
@@ -268,106 +246,153 @@ def similarities(a: Occurrences, b: Occurrences) -> np.ndarray:
     return low / (a.total[:, None] + b.total[None, :] - low)
 
 
-def _rest(rows: DataFrame, known: DataFrame, idf: np.ndarray, threshold: float) -> DataFrame:
-    """rows: key, rep, component, of large buckets. The links (a, b, similarity) among all pairs of different components in a bucket.
+def _alike(a: list[bytes], b: list[bytes], idf: np.ndarray, threshold: float) -> np.ndarray:
+    """Which classes of a reach the threshold with which of b."""
+    read = lambda p: np.frombuffer(p, "<u4").astype(np.uint64)
+    if a is b and len(a) == 2:
+        link = similarity(read(a[0]), read(a[1]), idf) >= threshold
+        return np.array([[True, link], [link, True]])
+    one = Occurrences(a, idf)
+    near = similarities(one, one if a is b else Occurrences(b, idf))
+    for i, j in np.argwhere(np.abs(near - threshold) < 1e-9):  # sums in another order must not decide
+        near[i, j] = similarity(read(a[i]), read(b[j]), idf)
+    return near >= threshold
+
+
+def _tree(link: np.ndarray) -> np.ndarray:
+    """For each of n classes the first one that links of a symmetric matrix lead to."""
+    label = np.arange(len(link))
+    while True:
+        least = np.minimum(label, np.where(link, label[None, :], len(link)).min(1, initial=len(link)))
+        least = least[least]
+        if (least == label).all():
+            return label
+        label = least
+
+
+_LINK = pa.schema([("a", pa.int64()), ("b", pa.int64())])
+
+
+def _within(rows: DataFrame, known: DataFrame, idf: np.ndarray, threshold: float) -> DataFrame:
+    """rows: key, node, digest, of buckets that fit a block. (a, b): links that span what the links of all pairs of a bucket connect."""
+    broadcast = rows.sparkSession.sparkContext.broadcast(idf)
+
+    def compare(_, members):
+        members.sort()
+        packed = [m[1] for m in members]
+        root = _tree(_alike(packed, packed, broadcast.value, threshold))
+        return [(members[r][0], members[k][0]) for k, r in enumerate(root.tolist()) if r != k]
+
+    met = rows.select("key", "node", "digest").join(known, "digest").select("key", "node", "shingles")
+    return map_groups(met, ["key"], compare, _LINK).where("a <> b")
+
+
+def _hub_links(rows: DataFrame, known: DataFrame, idf: np.ndarray, threshold: float, seed: int) -> DataFrame:
+    """rows: key, node, digest, component. (a, b): components that a class of one and the hub of its bucket, a class of the other, link."""
+    broadcast = rows.sparkSession.sparkContext.broadcast(idf)
+    order = F.struct((F.col("node") if not seed else F.xxhash64("node", F.lit(seed))).alias("o"), F.col("digest").alias("hub"), F.col("component").alias("a"))
+    hubs = rows.groupBy("key").agg(F.min(order).alias("h")).select("key", "h.hub", "h.a")
+    met = rows.select("key", "digest", F.col("component").alias("b")).join(hubs, "key").where("a <> b").select("hub", "digest", "a", "b").distinct()
+    met = met.join(known, "digest").join(known.select(F.col("digest").alias("hub"), F.col("shingles").alias("of_hub")), "hub").select("a", "b", "of_hub", "shingles")
+
+    def compare(batches):
+        read = lambda p: np.frombuffer(p, "<u4").astype(np.uint64)
+        for batch in batches:
+            if batch.num_rows:
+                near = [similarity(read(p), read(q), broadcast.value) >= threshold for p, q in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist())]
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], schema=_LINK).filter(pa.array(near))
+
+    return met.mapInArrow(compare, "a long, b long").distinct()
+
+
+def _across(rows: DataFrame, known: DataFrame, idf: np.ndarray, threshold: float) -> DataFrame:
+    """rows: key, node, digest, component, size. (a, b): components that any two classes of one bucket link.
 
     A bucket is dealt into blocks by hash, those of a component that fills one or more apart from the others; every two
     blocks meet in a task's group of bounded size, unless both are of one component.
     """
     broadcast = rows.sparkSession.sparkContext.broadcast(idf)
-    held = rows.join(known.groupBy("rep").agg(F.sum(F.length("shingles")).alias("bytes"), F.count("*").alias("n")), "rep")
-    share = F.greatest(F.sum("n") / F.lit(BLOCK), F.sum("bytes") / F.lit(BLOCK_BYTES)).alias("share")
-    shares = held.groupBy("key", "component").agg(share).withColumn("owner", F.when(F.col("share") > 1, F.col("component").cast("string")).otherwise(""))
+    share = F.greatest(F.count("*") / F.lit(BLOCK), F.sum("size") / F.lit(BLOCK_BYTES)).alias("share")
+    shares = rows.groupBy("key", "component").agg(share).withColumn("owner", F.when(F.col("share") > 1, F.col("component").cast("string")).otherwise(""))
+    shares = settle(shares)
     parts = settle(shares.groupBy("key", "owner").agg(F.ceil(F.sum("share")).alias("parts")))
     name = lambda part: F.concat_ws(":", "owner", part.cast("string")).alias("block")
-    dealt = settle(held.join(shares.select("key", "component", "owner"), ["key", "component"]).join(parts, ["key", "owner"]).select("key", "rep", "component", name(F.pmod(F.xxhash64("rep"), F.col("parts")))))
+    big = shares.where("owner <> ''").select("key", "component", "owner")
+    dealt = rows.join(big, ["key", "component"], "left").withColumn("owner", F.coalesce("owner", F.lit(""))).join(parts, ["key", "owner"])
+    dealt = dealt.select("key", "node", "digest", "component", name(F.pmod(F.xxhash64("digest"), F.col("parts"))))
     blocks = parts.select("key", "owner", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("part")).select("key", "owner", name(F.col("part")))
     x, y = blocks.toDF("key", "owner_x", "x"), blocks.toDF("key", "owner_y", "y")
     meetings = x.join(y, "key").where((F.col("x") <= F.col("y")) & ((F.col("owner_x") != F.col("owner_y")) | (F.col("owner_x") == "")))
     ends = meetings.select("key", "x", "y", F.explode(F.array_distinct(F.array("x", "y"))).alias("block"))
-    met = dealt.join(ends, ["key", "block"]).join(known, "rep").select("key", "x", "y", "block", "rep", "component", "shingles")
-
-    def compare(group: pa.Table) -> pa.Table:
-        x, y, block = (group.column(k).to_numpy() for k in ("x", "y", "block"))
-        sides = []
-        for own in (x[0], y[0]):
-            of = group.filter(pa.array(block == own))
-            packed = of.column("shingles").to_pylist()
-            sides.append((of.column("rep").to_numpy(), of.column("component").to_numpy(), packed, Occurrences(packed, broadcast.value)))
-        (ra, ca, texts_a, a), (rb, cb, texts_b, b) = sides
-        found = np.zeros((0, 2), np.int64)
-        near = np.zeros(0)
-        if len(ra) and len(rb):
-            alike, read = similarities(a, b), lambda p: np.frombuffer(p, "<u4").astype(np.uint64)
-            for i, j in np.argwhere(np.abs(alike - threshold) < 1e-9):  # sums in another order must not decide
-                alike[i, j] = similarity(read(texts_a[i]), read(texts_b[j]), broadcast.value)
-            i, j = np.nonzero((alike >= threshold) & (ca[:, None] != cb[None, :]))
-            near = alike[i, j]
-            found = np.stack((np.minimum(ra[i], rb[j]), np.maximum(ra[i], rb[j])), 1)
-        return pa.table({"a": pa.array(found[:, 0], pa.int64()), "b": pa.array(found[:, 1], pa.int64()), "similarity": pa.array(near, pa.float64())})
-
-    found = met.groupBy("key", "x", "y").applyInArrow(compare, "a long, b long, similarity double")
-    return found.groupBy("a", "b").agg(F.max("similarity").alias("similarity"))
-
-
-def links_of(docs: DataFrame, threshold: float = THRESHOLD) -> tuple[DataFrame, DataFrame]:
-    """(classes, links): doc_id, digest, rep (the least document of equal shingles); a, b, similarity between reps."""
+    met = dealt.join(ends, ["key", "block"]).join(known, "digest").select("key", "x", "y", (F.col("block") == F.col("y")).alias("second"), "component", "shingles")
+
+    def compare(key, members):
+        one = [m for m in members if not m[0]]
+        two = [m for m in members if m[0]] if key[1] != key[2] else members
+        one = two if key[1] == key[2] else one
+        if not one or not two:
+            return []
+        a = [m[2] for m in one]
+        link = _alike(a, a if one is two else [m[2] for m in two], broadcast.value, threshold)
+        return {(min(one[i][1], two[j][1]), max(one[i][1], two[j][1])) for i, j in np.argwhere(link).tolist() if one[i][1] != two[j][1]}
+
+    return map_groups(met, ["key", "x", "y"], compare, _LINK).distinct()
+
+
+def _renamed(labels: DataFrame, links: DataFrame) -> DataFrame:
+    """labels (node, component) after links between components; nodes that no label has yet are their own."""
+    new = components(links)
+    nodes = labels.unionAll(new.select("node", F.col("node").alias("component"))).groupBy("node").agg(F.min("component").alias("component"))
+    return settle(nodes.join(new.toDF("component", "now"), "component", "left").select("node", F.coalesce("now", "component").alias("component")))
+
+
+def grouped(docs: DataFrame, threshold: float = THRESHOLD, block: int | None = None) -> tuple[DataFrame, DataFrame]:
+    """(classes, labels): doc_id, digest, node (the least document of equal shingles); node, component for nodes with a link.
+
+    Components are those of all pairs that agree in a band and reach the threshold: each such pair is compared, or both
+    are known to be of one component. block: classes that a group takes, for tests (any gives the same components).
+    """
     idf = document_frequencies(docs)
     signed = settle(signatures(docs, idf))
     usable = signed.where(F.col("doc_id").isNotNull() & F.col("digest").isNotNull())
-    reps = usable.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands"))
-    reps = settle(reps)
-    classes = usable.select("doc_id", "digest").join(reps.select("digest", "rep"), "digest")
-    keyed = reps.select("rep", "digest", F.explode("bands").alias("key"))
-    full = keyed.groupBy("key").agg(F.min("rep").alias("low"), F.max("rep").alias("high")).where("low < high").select("key")
-    rows = settle(keyed.join(full, "key").select("key", "rep", "digest"))
-    known = settle(vectors(docs, rows.select("rep", "digest").distinct()))
-    rows = settle(rows.select("key", "rep").distinct())
-    size = rows.count()
-    links = seen = None
-    large = 0
-    grouped = rows.withColumn("component", F.col("rep"))
-    for turn in range(MOST_ROUNDS):
-        if turn:
-            split = settle(grouped.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("n")).where("low < high").select("key", "n"), size)
-            large = split.where(F.col("n") > SMALL_BUCKET).limit(1).count()
-            open_rows = grouped.join(split, "key")
-            small = open_rows.where(F.col("n") <= SMALL_BUCKET)
-            other = small.select("key", F.col("rep").alias("b"), F.col("component").alias("component_b"))
-            pairs = small.join(other, "key").where((F.col("rep") < F.col("b")) & (F.col("component") != F.col("component_b"))).select(F.col("rep").alias("a"), "b").distinct()
-            if large:
-                pairs = pairs.unionAll(_hub_pairs(open_rows.where(F.col("n") > SMALL_BUCKET), turn)).distinct()
-            pairs = pairs.join(seen, ["a", "b"], "left_anti")
-        else:
-            pairs = _hub_pairs(grouped, 0)
-        pairs = settle(pairs)
-        if turn and not pairs.limit(1).count():
-            break
-        new = settle(verified(pairs, known, idf, threshold), size)
-        links = new if links is None else links.unionAll(new)
-        seen = pairs if seen is None else seen.unionAll(pairs)
-        # after a turn all cross pairs of small buckets are compared; large ones get further hubs while links turn up
-        if turn and not (large and new.limit(1).count()):
-            break
-        named = components(links.select("a", "b")).withColumnRenamed("node", "rep")
-        grouped = settle(rows.join(named, "rep", "left").select("key", "rep", F.coalesce("component", "rep").alias("component")), size)
-    if large:
-        wide = grouped.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.count("*").alias("n")).where((F.col("low") < F.col("high")) & (F.col("n") > SMALL_BUCKET)).select("key")
-        links = links.unionAll(settle(_rest(settle(grouped.join(wide, "key"), size), known, idf, threshold)))
-    return classes, links
+    classes = settle(usable.groupBy("digest").agg(F.min("doc_id").alias("node"), F.first("size").alias("size"), F.first("bands").alias("bands")))
+    keyed = classes.select("node", "digest", "size", F.explode("bands").alias("key"))
+    mark = lambda seed: F.bit_xor(F.xxhash64("digest", F.lit(seed))).alias(f"m{seed}")
+    full = keyed.groupBy("key").agg(F.count("*").alias("n"), F.sum("size").alias("bytes"), mark(1), mark(2)).where("n > 1")
+    full = full.groupBy("n", "bytes", "m1", "m2").agg(F.min("key").alias("key"))  # buckets of the same classes are one
+    rows = settle(keyed.join(full.select("key", "n", "bytes"), "key").select("key", "node", "digest", "size", "n", "bytes"))
+    known = settle(vectors(docs, rows.select("node", "digest").distinct()))
+    fits = (F.col("n") <= (block or BLOCK)) & (F.col("bytes") <= BLOCK_BYTES)
+    labels = settle(components(_within(rows.where(fits), known, idf, threshold)))
+    wide, turn, before = rows.where(~fits), 0, None
+    while True:
+        placed = wide.join(labels, "node", "left").select("key", "node", "digest", "size", F.coalesce("component", "node").alias("component"))
+        sizes = placed.groupBy("key", "component").agg(F.count("*").cast("double").alias("n")).groupBy("key").agg(F.sum("n").alias("n"), F.sum(F.col("n") * F.col("n")).alias("same"))
+        open_ = settle(sizes.where("n * n > same").select("key", "n", ((F.col("n") * F.col("n") - F.col("same")) / 2).alias("cross")))
+        left = open_.agg(F.count("*").alias("buckets"), F.sum("n").alias("n"), F.sum("cross").alias("cross")).first()
+        if not left["buckets"]:
+            return usable.select("doc_id", "digest").join(classes.select("digest", "node"), "digest"), labels
+        placed = settle(placed.join(open_.select("key"), "key"))
+        # hubs make a family one component for a comparison a class; they go on while that pays, and the rest is compared in full
+        worth = left["cross"] > BLOCK * left["n"] and (before is None or left["cross"] < before * PROGRESS)
+        found = settle(_hub_links(placed, known, idf, threshold, turn) if worth else _across(placed, known, idf, threshold))
+        labels = _renamed(labels, found)
+        if not worth:
+            return usable.select("doc_id", "digest").join(classes.select("digest", "node"), "digest"), labels
+        turn, before = turn + 1, left["cross"]
 
 
 def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """One row a document: doc_id, class_id (least document of equal shingles), component_id, n_links (verified links of
-    its class), kept (it is the least of its component)."""
-    classes, links = links_of(docs, threshold)
-    named = components(links.select("a", "b")).withColumnRenamed("node", "rep")
-    ends = links.select(F.explode(F.array("a", "b")).alias("rep")).groupBy("rep").agg(F.count("*").alias("n_links"))
-    about = classes.select("digest", "rep").distinct().join(named, "rep", "left").join(ends, "rep", "left").select("digest", "rep", "component", "n_links")
-    found = classes.select("doc_id", "digest").distinct().join(about, "digest").groupBy("doc_id").agg(F.min("rep").alias("class_id"), F.min(F.coalesce("component", "rep")).alias("component_id"), F.max(F.coalesce("n_links", F.lit(0))).alias("n_links"))
+    """One row a row of docs: doc_id, class_id (least document of equal shingles), component_id, kept (it is the least of its component)."""
+    classes, labels = grouped(docs, threshold)
+    return _judged(docs, classes, labels)
+
+
+def _judged(docs: DataFrame, classes: DataFrame, labels: DataFrame) -> DataFrame:
+    found = classes.join(labels, "node", "left").groupBy("doc_id").agg(F.min("node").alias("class_id"), F.min(F.coalesce("component", "node")).alias("component_id"))
     out = docs.select("doc_id").join(found, "doc_id", "left")
     component = F.coalesce("component_id", "doc_id")
-    return out.select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"), component.alias("component_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
+    return out.select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"), component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
 
 
 def keep_first(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:

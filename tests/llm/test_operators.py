@@ -3,6 +3,7 @@
 import hashlib
 import random
 import re
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -344,6 +345,40 @@ def test_pairs_that_share_only_large_buckets(spark):
     assert np.allclose(minhash.similarities(block, block), plain, rtol=0, atol=1e-6)
 
 
+def test_near_duplicates_in_blocks_of_any_size(spark):
+    """Three documents of one template that only share large buckets, and a chain; an own shingler, exact document frequencies."""
+    r = random.Random(5)
+    base, rows = [f"b{k}" for k in range(400)], []
+    for k in range(303):
+        words, key = list(base), k if k < 300 else 700 + k
+        for _ in range(5 if k < 300 else 2):
+            words[r.randrange(400)] = f"x{r.randrange(10**6)}"
+        rows.append((key, " ".join(words)))
+    rows += [(2000 + k, " ".join(f"c{i}" for i in range(4 * k, 4 * k + 100))) for k in range(30)]
+    grams = {k: Counter(tuple(w[i : i + 5]) for i in range(len(w) - 4)) for k, t in rows for w in [t.split()]}
+    df = Counter(g for c in grams.values() for g in c)
+    idf = {g: 1 + np.log((1 + len(rows)) / (1 + n)) / np.log(1 + len(rows)) for g, n in df.items()}
+    parent, near = {k: k for k, _ in rows}, 0
+
+    def root(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for i, (a, _) in enumerate(rows):
+        for b, _ in rows[i + 1 :]:
+            low, high = (sum(f(grams[a][g], grams[b][g]) * idf[g] for g in grams[a].keys() | grams[b].keys()) for f in (min, max))
+            near += abs(low / high - 0.8) < 1e-4
+            if low / high >= 0.8:
+                x, y = root(a), root(b)
+                parent[max(x, y)] = min(x, y)
+    assert not near and len({root(k) for k in (1000, 1001, 1002)}) == 1
+    for block in (None, 2):
+        classes, labels = minhash.grouped(docs(spark, rows), block=block)
+        named = {x["node"]: x["component"] for x in labels.collect()}
+        assert {x["doc_id"]: named.get(x["node"], x["node"]) for x in classes.collect()} == {k: root(k) for k, _ in rows}
+
+
 def test_odd_tables_everywhere(spark):
     for rows in (ODD, []):
         df = docs(spark, rows)
