@@ -2,9 +2,11 @@
 landmarks, one-versus-rest kernel ridge regression, scored by products of batches of documents with the landmarks.
 
 Two documents are as alike as their sets of letter n-grams (lengths 1 to 4, words padded with a space): the size of the
-intersection over the geometric mean of the sizes. n-grams are hashed into 2^18 slots. Training takes a bounded sample
-(at most TRAIN_PER_LANGUAGE documents a language, chosen by a hash of the id); whole texts are read for training and
-scoring. Null texts and texts without a letter get `und` with score 1; where nothing can be learned, all others get `und`
+intersection over the geometric mean of the sizes. n-grams are hashed into 2^18 slots, and all slots that any landmark
+holds count. A document's presence row is sparse, so its product with the landmarks adds up the landmarks' rows of its
+own slots; in scoring these rows are multiplied by the dual weights beforehand, which gives the same numbers. Training
+takes a bounded sample (about TRAIN_PER_LANGUAGE documents a language, chosen by a hash of the id), of which the driver
+gets sets of slots, never texts; whole texts are read for training and scoring. Null texts and texts without a letter get `und` with score 1; where nothing can be learned, all others get `und`
 with score 0. Source, lang and id of a document are never inputs of its prediction; repeated documents are each judged.
 """
 
@@ -24,8 +26,6 @@ LENGTHS = (1, 2, 3, 4)
 #: Documented bounds of the training sample, and of the landmarks.
 TRAIN_PER_LANGUAGE = 400
 LANDMARKS = 160
-#: Slots of the landmarks that take part in the products: those that occur in most of them.
-WIDTH = 1 << 14
 RIDGE = 1e-3
 SHARPNESS = 6.0
 UNDETERMINED = "und"
@@ -52,79 +52,77 @@ def slots(text: str) -> np.ndarray:
     return np.concatenate(out)
 
 
-class Presence:
-    """Rows of slot presence for a block of documents; the buffer is used again."""
+def presence(text: str, flags: np.ndarray) -> np.ndarray:
+    """The distinct slots of a text, ascending. flags: a buffer of SLOTS false values, which it is again afterwards."""
+    found = slots(text)
+    flags[found] = True
+    out = np.flatnonzero(flags)
+    flags[found] = False
+    return out.astype(np.int32)
 
-    def __init__(self):
-        self.flags = np.zeros(SLOTS, bool)
 
-    def of(self, text: str) -> tuple[np.ndarray, int]:
-        self.flags[:] = False
-        self.flags[slots(text)] = True
-        return self.flags, int(np.count_nonzero(self.flags))
+def gathered(rows: list[np.ndarray], place: np.ndarray, table: np.ndarray) -> np.ndarray:
+    """Product of sparse presence rows with a table that has a row for each known slot (place: its number, or -1)."""
+    spots = [(p := place[r])[p >= 0] for r in rows]
+    out = np.zeros((len(rows), table.shape[1]))
+    some = [k for k, s in enumerate(spots) if len(s)]
+    if some:
+        sizes = np.array([len(spots[k]) for k in some])
+        out[some] = np.add.reduceat(table[np.concatenate([spots[k] for k in some])], np.cumsum(sizes) - sizes, axis=0)
+    return out
 
 
 class KernelRidge:
-    def __init__(self, languages, columns, weights):
-        #: weights: column of the landmarks -> score of each language, landmark vectors times dual coefficients.
-        self.languages, self.columns, self.landmarks, self.dual = languages, columns, *weights
+    """languages; place (slot -> row, or -1); weights (a row for each known slot: landmarks times dual weights)."""
 
-    def scores(self, rows: np.ndarray, sizes: np.ndarray) -> np.ndarray:
-        """rows: presence in the landmarks' columns. Kernel against all landmarks, then the ridge weights."""
-        kernel = (rows @ self.landmarks) / np.sqrt(np.maximum(sizes, 1))[:, None]
-        return kernel @ self.dual
+    def __init__(self, languages: list[str], place: np.ndarray, weights: np.ndarray):
+        self.languages, self.place, self.weights = languages, place, weights
+
+    def scores(self, rows: list[np.ndarray]) -> np.ndarray:
+        return gathered(rows, self.place, self.weights) / np.sqrt(np.maximum([len(r) for r in rows], 1))[:, None]
 
     def predict(self, texts: list[str]) -> tuple[list[str], list[float]]:
-        presence, names, sure = Presence(), [], []
+        flags, names, sure = np.zeros(SLOTS, bool), [], []
         for start in range(0, len(texts), BLOCK):
-            part = texts[start : start + BLOCK]
-            rows, sizes = np.zeros((len(part), len(self.columns)), np.float32), np.ones(len(part))
-            for i, text in enumerate(part):
-                flags, sizes[i] = presence.of(text)
-                rows[i] = flags[self.columns]
-            z = self.scores(rows, sizes) * SHARPNESS
+            rows = [presence(t, flags) for t in texts[start : start + BLOCK]]
+            z = self.scores(rows) * SHARPNESS
             p = np.exp(z - z.max(1, keepdims=True))
             p /= p.sum(1, keepdims=True)
             best = p.argmax(1)
             names += [self.languages[b] for b in best]
-            sure += p[np.arange(len(part)), best].tolist()
+            sure += p[np.arange(len(rows)), best].tolist()
         return names, sure
 
 
-def fit(texts: list[str], languages: list[str]) -> KernelRidge | None:
-    """Nystroem map from evenly dealt landmarks, then ridge regression of each language against the rest."""
-    kept = [(t, y) for t, y in zip(texts, languages) if has_letter(t)]
-    names = sorted({y for _, y in kept})
+def fit(rows: list[np.ndarray], languages: list[str]) -> KernelRidge | None:
+    """Nystroem map from evenly dealt landmarks, then ridge regression of each language against the rest. rows: sets of slots."""
+    names = sorted(set(languages))
     if not names:
         return None
-    presence = Presence()
-    by_name = {name: [t for t, y in kept if y == name] for name in names}
+    by_name = {name: [k for k, y in enumerate(languages) if y == name] for name in names}
     share = max(1, LANDMARKS // len(names))
-    marks = [t for name in names for t in by_name[name][:share]]
-    bits = np.zeros((len(marks), SLOTS), bool)
-    for i, t in enumerate(marks):
-        bits[i] = presence.of(t)[0]
-    sizes = bits.sum(1)
-    common = bits.sum(0, dtype=np.int64)
-    columns = np.sort(np.argsort(-common, kind="stable")[: min(WIDTH, int((common > 0).sum()))])
-    landmarks = (bits[:, columns] / np.sqrt(sizes)[:, None]).astype(np.float32)
-    values, vectors = np.linalg.eigh((landmarks @ landmarks.T).astype(float))
+    marks = [rows[k] for name in names for k in by_name[name][:share]]
+    known = np.unique(np.concatenate(marks))
+    place = np.full(SLOTS, -1, np.int32)
+    place[known] = np.arange(len(known))
+    landmarks = np.zeros((len(known), len(marks)), np.float32)
+    for k, r in enumerate(marks):
+        landmarks[place[r], k] = 1 / np.sqrt(len(r))
+    kernel = lambda some: gathered(some, place, landmarks) / np.sqrt([max(1, len(r)) for r in some])[:, None]
+    values, vectors = np.linalg.eigh(kernel(marks))
     good = values > values.max() * 1e-6
     root = vectors[:, good] / np.sqrt(values[good])
-    rows, norms = np.zeros((len(kept), len(columns)), np.float32), np.ones(len(kept))
-    for i, (t, _) in enumerate(kept):
-        flags, norms[i] = presence.of(t)
-        rows[i] = flags[columns]
-    lifted = (rows @ landmarks.T / np.sqrt(norms)[:, None]) @ root
-    target = np.array([[1.0 if y == name else -1.0 for name in names] for _, y in kept])
-    weight = 1.0 / np.array([len(by_name[y]) for _, y in kept])[:, None]
+    lifted = np.concatenate([kernel(rows[k : k + BLOCK]) for k in range(0, len(rows), BLOCK)]) @ root
+    target = np.array([[1.0 if y == name else -1.0 for name in names] for y in languages])
+    weight = 1.0 / np.array([len(by_name[y]) for y in languages])[:, None]
     gram = lifted.T @ (lifted * weight) + RIDGE * np.eye(lifted.shape[1])
     beta = np.linalg.solve(gram, lifted.T @ (target * weight))
-    return KernelRidge(names, columns, (np.ascontiguousarray(landmarks.T), (root @ beta).astype(np.float32)))
+    return KernelRidge(names, place, landmarks @ (root @ beta).astype(np.float32))
 
 
-def training_rows(docs: DataFrame, learn=None) -> tuple[list[str], list[str]]:
-    """A bounded sample: of each language, documents whose hashed id is below a share that gives about the bound."""
+def training_rows(docs: DataFrame, learn=None) -> tuple[list[np.ndarray], list[str]]:
+    """(sets of slots, languages) of a bounded sample: of each language, documents whose hashed id is below a share that
+    gives about the bound."""
     usable = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & (F.col("text") != ""))
     usable = usable if learn is None else usable.where(learn)
     counts = {r["lang"]: r["count"] for r in usable.groupBy("lang").count().collect()}
@@ -134,9 +132,18 @@ def training_rows(docs: DataFrame, learn=None) -> tuple[list[str], list[str]]:
     share = F.lit(0.0)
     for name, n in counts.items():
         share = F.when(F.col("lang") == name, min(1.0, TRAIN_PER_LANGUAGE / n)).otherwise(share)
-    rows = usable.where(spot < share).select("doc_id", "text", "lang").collect()
-    rows.sort(key=lambda r: (r["doc_id"], r["lang"], r["text"]))
-    return [r["text"] for r in rows], [r["lang"] for r in rows]
+
+    def sets(batches):
+        flags = np.zeros(SLOTS, bool)
+        for batch in text_slices(batches):
+            texts = batch.column(2).to_pylist()
+            some = [presence(t, flags).tobytes() if has_letter(t) else None for t in texts]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(some, pa.binary())], ["doc_id", "lang", "slots"])
+
+    sample = usable.where(spot < share).select("doc_id", "lang", F.col("text").cast("string").alias("text"))
+    rows = sample.mapInArrow(sets, "doc_id long, lang string, slots binary").where("slots IS NOT NULL").collect()  # at most 4 * SLOTS bytes each
+    rows.sort(key=lambda r: (r["doc_id"] is not None, r["doc_id"] or 0, r["lang"], r["slots"]))
+    return [np.frombuffer(r["slots"], np.int32) for r in rows], [r["lang"] for r in rows]
 
 
 def predict(docs: DataFrame, model: KernelRidge | None) -> DataFrame:
