@@ -7,7 +7,7 @@ epsilon are skipped, large ones are halved, small ones are compared by a matrix
 vectors of a label are one point with a count, so copies are never expanded; a task returns counts and a spanning set of
 links, not pairs.
 
-Vectors that are null, of norm zero, or hold a null or a non-finite component, and rows with a null label or id, link
+Vectors are doubles throughout, and labels of any type are compared as text. Vectors that are null, of norm zero, or hold a null or a non-finite component, and rows with a null label or id, link
 with nothing (their component is their own id). Rows of one id with equal label and vector are one vector. Vectors of
 different lengths are at no distance and never link.
 """
@@ -26,7 +26,9 @@ THRESHOLD = 0.98
 DIRECTIONS = 8
 #: Vectors of a block, and of the intervals that are compared by a matrix product.
 BLOCK, LEAF = 1024, 128
-_BLOCK_TYPE = "block long, label long, width int, low array<double>, high array<double>, ids binary, counts binary, vectors binary"
+#: Directions in whose cells blocks meet.
+MEETING = 3
+_BLOCK_TYPE = "block long, label string, width int, low array<double>, high array<double>, ids binary, counts binary, vectors binary"
 
 
 def usable(vector: Column) -> Column:
@@ -104,9 +106,8 @@ def _spanning(n: int, i: np.ndarray, j: np.ndarray) -> list[tuple[int, int]]:
         label = least
 
 
-def blocks(points: DataFrame, width: int, epsilon: float) -> DataFrame:
+def blocks(points: DataFrame, width: int, epsilon: float, axes: np.ndarray) -> DataFrame:
     """Sequence intervals of the epsilon grid order: see _BLOCK_TYPE. points: rep, label, vector, copies."""
-    axes = directions(points, width)
     names = [f"c{k}" for k in range(axes.shape[1])]
 
     def cells(batches):
@@ -115,7 +116,7 @@ def blocks(points: DataFrame, width: int, epsilon: float) -> DataFrame:
                 at = np.floor(_units(_matrix(batch.column("vector"), width)) @ axes / epsilon).astype(np.int32)
                 yield pa.RecordBatch.from_arrays([*batch.columns, *(pa.array(c) for c in at.T)], [*batch.schema.names, *names])
 
-    kinds = "rep long, label long, vector array<float>, copies long, " + ", ".join(f"{n} int" for n in names)
+    kinds = "rep long, label string, vector array<double>, copies long, " + ", ".join(f"{n} int" for n in names)
     sorted_rows = points.select("rep", "label", "vector", "copies").mapInArrow(cells, kinds)
     order = ["label", *names, "rep"]
     parts = int(points.sparkSession.conf.get("spark.sql.shuffle.partitions"))
@@ -133,14 +134,14 @@ def blocks(points: DataFrame, width: int, epsilon: float) -> DataFrame:
             return [block, rows.column("label")[0].as_py(), width, p.min(0).tolist(), p.max(0).tolist(), rows.column("rep").to_numpy().astype("<i8").tobytes(), rows.column("copies").to_numpy().astype("<i8").tobytes(), x.tobytes()]
 
         def pack(out):
-            kinds = [pa.int64(), pa.int64(), pa.int32(), pa.list_(pa.float64()), pa.list_(pa.float64()), pa.binary(), pa.binary(), pa.binary()]
+            kinds = [pa.int64(), pa.string(), pa.int32(), pa.list_(pa.float64()), pa.list_(pa.float64()), pa.binary(), pa.binary(), pa.binary()]
             names = [c.split()[0] for c in _BLOCK_TYPE.split(", ")]
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out), kinds)], names)
 
         def ready(rows, last):
             """Whole blocks of the rows held; what may still grow stays."""
             start, n = 0, rows.num_rows
-            label = rows.column("label").to_numpy()
+            label = np.array(rows.column("label").to_pylist(), object)
             change = np.flatnonzero(label[1:] != label[:-1]) + 1
             for end in [*change.tolist(), n]:
                 while end - start > BLOCK or (end - start and (end < n or last)):
@@ -164,27 +165,33 @@ def blocks(points: DataFrame, width: int, epsilon: float) -> DataFrame:
 def block_pairs(made: DataFrame, epsilon: float) -> DataFrame:
     """(a, b): blocks of a label whose boxes are at most epsilon apart, each pair once, a block with itself included.
 
-    Boxes meet by the cells that they overlap in the first direction, so no block is compared with all others.
+    Boxes meet by the cells that they overlap in the first MEETING directions, so no block is compared with all others;
+    of the cells that two boxes share the one with the greater of both lowest cells gives the pair.
     """
-    box = made.select("block", "label", "width", "low", "high")
-    cell = lambda x: F.floor(x / epsilon).cast("int")
-    reach = box.select("*", F.explode(F.sequence(cell(F.col("low")[0]), cell(F.col("high")[0]) + 1)).alias("cell"))
-    left = reach.select(F.col("block").alias("a"), "label", "width", "cell", F.col("low").alias("low_a"), F.col("high").alias("high_a"))
-    right = reach.select(F.col("block").alias("b"), "label", "width", "cell", F.col("low").alias("low_b"), F.col("high").alias("high_b"))
+    cell = lambda x: F.coalesce(F.floor(x / epsilon).cast("int"), F.lit(0))  # noqa: E731  (vectors of fewer components)
+    reach = made.select("block", "label", "width", "low", "high")
+    axes = range(min(MEETING, DIRECTIONS))
+    for k in axes:
+        reach = reach.withColumn(f"cell{k}", F.explode(F.sequence(cell(F.get("low", k)), cell(F.get("high", k)) + 1)))
+    keys = ["label", "width", *(f"cell{k}" for k in axes)]
+    left = reach.select(F.col("block").alias("a"), *keys, F.col("low").alias("low_a"), F.col("high").alias("high_a"))
+    right = reach.select(F.col("block").alias("b"), *keys, F.col("low").alias("low_b"), F.col("high").alias("high_b"))
     gap = F.zip_with(F.arrays_zip("low_a", "high_a"), F.arrays_zip("low_b", "high_b"), lambda x, y: F.greatest(F.lit(0.0), x["low_a"] - y["high_b"], y["low_b"] - x["high_a"]))
     near = F.aggregate(gap, F.lit(0.0), lambda s, g: s + g * g) <= epsilon * epsilon
-    return left.join(right, ["label", "width", "cell"]).where(F.col("a") <= F.col("b")).where(near).select("a", "b").distinct()
+    for k in axes:
+        near = (F.col(f"cell{k}") == cell(F.greatest(F.get("low_a", k), F.get("low_b", k)))) & near
+    return left.join(right, keys).where((F.col("a") <= F.col("b")) & near).select("a", "b")
 
 
 def linked(points: DataFrame, width: int, threshold: float = THRESHOLD) -> DataFrame:
     """a, b, n: for b null, n more links of point a; else a link of a spanning set."""
     epsilon = float(np.sqrt(max(0.0, 2 - 2 * threshold))) + 1e-9
-    made = settle(blocks(points, width, epsilon))
+    axes = directions(points, width)
+    made = settle(blocks(points, width, epsilon, axes))
     data = made.select("block", "ids", "counts", "vectors", "low")
     pairs = block_pairs(made, epsilon)
     side = lambda n: data.select(*(F.col(c).alias(f"{c}_{n}") for c in ("ids", "counts", "vectors")), F.col("block").alias(n))
     met = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "ids_a", "counts_a", "vectors_a", "ids_b", "counts_b", "vectors_b")
-    axes = directions(points, width)
 
     def compare(batches):
         for batch in batches:
@@ -217,7 +224,7 @@ def linked(points: DataFrame, width: int, threshold: float = THRESHOLD) -> DataF
 
 def near_duplicates(vectors: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """(vec_id, embedding, label) -> vec_id, n_links, component_id, kept; one row for each row of vectors."""
-    rows = vectors.select("vec_id", F.col("embedding").cast("array<float>").alias("vector"), F.col("label").cast("long").alias("label"))
+    rows = vectors.select("vec_id", F.col("embedding").cast("array<double>").alias("vector"), F.col("label").cast("string").alias("label"))
     ok = F.col("vec_id").isNotNull() & F.col("label").isNotNull() & usable(F.col("vector"))
     good, rest = rows.where(ok), rows.where(~ok)
     points = settle(good.groupBy("label", "vector").agg(F.min("vec_id").alias("rep"), F.count_distinct("vec_id").alias("copies")))
