@@ -5,9 +5,10 @@ Words are runs of [0-9a-z] and of code points from U+0080 on, after A-Z are lowe
 set as a bitmap, which every window of the documents is tested against inside its row, and the windows' exact texts,
 which what passes is joined with. So no text is shuffled, and a hit is always an equal text, never an equal hash.
 
-Null texts have no words. Items without words have no windows; a window that several items share counts for each. Rows
-with the same doc_id and text give one result row each time they occur only once after grouping by (doc_id, text);
-columns other than doc_id and text are left alone. With an empty benchmark nothing is hit.
+Null texts have no words. Items without words have no windows; a window that several items share counts for each. Every
+row of the documents gives one row of the report; rows with the same doc_id and text are judged once, and a doc_id with
+several texts has each judged on its own. Columns other than doc_id and text are left alone. With an empty benchmark
+nothing is hit.
 """
 
 from __future__ import annotations
@@ -20,10 +21,10 @@ from pyspark.sql import functions as F
 from .common import table
 
 WINDOW = 10
-#: Up to so many windows the benchmark is broadcast; beyond, the exact join shuffles.
+#: Up to so many windows their texts are broadcast for the exact join; beyond, what passed the bitmap is shuffled to them.
 BROADCAST_WINDOWS = 1_000_000
-#: Bits of the bitmap for each window, and its largest size (of 64-bit words).
-BITS_PER_WINDOW, MOST_LONGS = 128, 1 << 16
+#: Bits of the bitmap for each window, and its largest size (of 64-bit words, 8 MB: 16 bits a window of four million).
+BITS_PER_WINDOW, MOST_LONGS = 128, 1 << 20
 # What is not a word, before and after lower-casing.
 _NOT_WORD = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -65,56 +66,53 @@ def benchmark_windows(benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
     return listed.select("item_id", F.explode(F.concat(*shapes)).alias("w")).select("item_id", "w.*").distinct()
 
 
-def _bitmap(keys: list[int]) -> tuple[Column, int]:
+def _bitmap(known: DataFrame, length: int, count: int) -> tuple[Column, int]:
+    """The keys of windows of a length as a constant array of 64-bit words, MOST_LONGS at most, and their number."""
     longs = 16
-    while longs < MOST_LONGS and longs * 64 < BITS_PER_WINDOW * len(keys):
+    while longs < MOST_LONGS and longs * 64 < BITS_PER_WINDOW * count:
         longs *= 2
+    bit = F.call_function("shiftleft", F.lit(1).cast("long"), F.col("key").bitwiseAND(63).cast("int"))
+    words = known.where(F.col("length") == length).groupBy((F.shiftright("key", 6) % longs).cast("int").alias("k")).agg(F.bit_or(bit).alias("v"))
     bits = [0] * longs
-    for k in keys:
-        bits[(k >> 6) % longs] |= 1 << (k & 63)
-    signed = ",".join(str(b - (1 << 64) if b >> 63 else b) for b in bits)
-    return F.from_json(F.lit(f"[{signed}]"), "array<bigint>"), longs
+    for r in words.collect():  # at most `longs` rows
+        bits[r["k"]] = r["v"]
+    return F.from_json(F.lit(f"[{','.join(map(str, bits))}]"), "array<bigint>"), longs
 
 
 def hits(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
-    """One row a document (by doc_id and text): doc_id, n_words, spans (array of start, end in words), items (sorted ids as text)."""
+    """One row a document (by doc_id and text): doc_id, digest (of the text), copies (rows with both), n_words, spans (array
+    of start, end in words), items (sorted ids as text)."""
     known = benchmark_windows(benchmark, window).persist()
     try:
-        shapes = {r["length"]: r["n"] for r in known.groupBy("length").agg(F.count("*").alias("n")).collect()}
-        small = sum(shapes.values()) <= BROADCAST_WINDOWS
-        keys = {n: [r["key"] for r in known.where(F.col("length") == n).select("key").distinct().collect()] for n in sorted(shapes)} if small else {}
+        shapes = {r["length"]: r["n"] for r in known.groupBy("length").agg(F.count("*").alias("n")).collect()}  # `window` rows
+        maps = {n: _bitmap(known, n, shapes[n]) for n in sorted(shapes)}
     finally:
         known.unpersist()
     listed = docs.select("doc_id", F.xxhash64(F.col("text")).alias("digest"), words(F.col("text")).alias("words"))
     listed = listed.select("*", F.size("words").cast("long").alias("n_words"), _marks(F.col("words")).alias("marks"))
 
     def candidates(n: int) -> Column:
-        starts = _starts(F.size("words"), n)
-        if small:
-            bits, longs = _bitmap(keys[n])
+        bits, longs = maps[n]
 
-            def passes(i):
-                key = _key(F.col("marks"), i, n)
-                word = F.get(bits, (F.shiftright(key, 6) % longs).cast("int"))
-                return F.call_function("getbit", word, key.bitwiseAND(F.lit(63)).cast("int")) == 1
+        def passes(i):
+            key = _key(F.col("marks"), i, n)
+            word = F.get(bits, (F.shiftright(key, 6) % longs).cast("int"))
+            return F.call_function("getbit", word, key.bitwiseAND(F.lit(63)).cast("int")) == 1
 
-            starts = F.filter(starts, passes)
+        starts = F.filter(_starts(F.size("words"), n), passes)
         return F.transform(starts, lambda i: F.struct(i.alias("start"), F.lit(n).alias("length"), _gram(F.col("words"), i, n).alias("gram")))
 
     found = [candidates(n) for n in sorted(shapes)]
     none = F.array().cast("array<struct<start:int,length:int,gram:string>>")
-    tried = listed.select("doc_id", "digest", "n_words", F.explode_outer(reduce(F.concat, found, none)).alias("c")).select("doc_id", "digest", "n_words", "c.start", "c.length", "c.gram")
+    tried = listed.select("doc_id", "digest", "n_words", F.posexplode_outer(reduce(F.concat, found, none)).alias("p", "c")).select("doc_id", "digest", "n_words", "p", "c.start", "c.length", "c.gram")
     exact = known.groupBy("length", "gram").agg(F.collect_set(F.col("item_id").cast("string")).alias("own"))
-    joined = tried.join(F.broadcast(exact) if small else exact, ["length", "gram"], "left")
+    joined = tried.join(F.broadcast(exact) if sum(shapes.values()) <= BROADCAST_WINDOWS else exact, ["length", "gram"], "left")
     true_hit = F.col("own").isNotNull()
-    return (
-        joined.groupBy("doc_id", "digest")
-        .agg(
-            F.max("n_words").alias("n_words"),
-            F.array_sort(F.collect_set(F.when(true_hit, F.struct(F.col("start"), (F.col("start") + F.col("length")).alias("end"))))).alias("spans"),
-            F.array_sort(F.array_distinct(F.flatten(F.collect_set("own")))).alias("items"),
-        )
-        .drop("digest")
+    return joined.groupBy("doc_id", "digest").agg(
+        F.sum((F.coalesce("p", F.lit(0)) == 0).cast("int")).alias("copies"),
+        F.max("n_words").alias("n_words"),
+        F.array_sort(F.collect_set(F.when(true_hit, F.struct(F.col("start"), (F.col("start") + F.col("length")).alias("end"))))).alias("spans"),
+        F.array_sort(F.array_distinct(F.flatten(F.collect_set("own")))).alias("items"),
     )
 
 
@@ -128,21 +126,27 @@ def covered(spans: Column) -> Column:
 def report(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """The result of op1."""
     out = hits(docs, benchmark).withColumn("n_hit", covered(F.col("spans")).cast("long"))
+    out = out.withColumn("_copy", F.explode(F.sequence(F.lit(1), "copies")))
     return out.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
 
 
+def _marked(docs: DataFrame, found: DataFrame, how: str) -> DataFrame:
+    """docs joined with rows of `hits` that have spans, by doc_id and text; nulls are equal."""
+    few = found.where(F.size("spans") > 0).select(F.col("doc_id").alias("_id"), F.col("digest").alias("_digest"), "spans")
+    return docs.join(few, F.col("_id").eqNullSafe(docs["doc_id"]) & (F.col("_digest") == F.xxhash64(docs["text"])), how)
+
+
 def remove_documents(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """docs without those that hold a benchmark window; all columns as they are, null ids included."""
-    found = hits(docs, benchmark).where(F.size("spans") > 0).select(F.col("doc_id").alias("_leaky"))
-    return docs.join(found.distinct(), F.col("_leaky").eqNullSafe(docs["doc_id"]), "left_anti")
+    return _marked(docs, hits(docs, benchmark), "left_anti")
 
 
 def remove_spans(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """doc_id, text: the words outside all hits joined by a space; documents without a hit keep their text."""
-    found = hits(docs, benchmark).where(F.size("spans") > 0).select("doc_id", "spans")
-    inside = lambda k: F.exists("spans", lambda s: (s["start"] <= k) & (k < s["end"]))
+    inside = lambda k: F.exists("_spans", lambda s: (s["start"] <= k) & (k < s["end"]))
     rest = F.array_join(F.filter(words(F.col("text")), lambda w, k: ~inside(k)), " ")
-    return docs.select("doc_id", "text").join(found, "doc_id", "left").select("doc_id", F.when(F.col("spans").isNull(), F.col("text")).otherwise(rest).alias("text"))
+    met = _marked(docs.select("doc_id", "text"), hits(docs, benchmark), "left").withColumnRenamed("spans", "_spans")
+    return met.select("doc_id", F.when(F.col("_spans").isNull(), F.col("text")).otherwise(rest).alias("text"))
 
 
 def query(spark, sf_dir):
