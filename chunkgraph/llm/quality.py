@@ -1,5 +1,5 @@
 """Quality score: random Fourier features of document statistics, ridge by normal equations summed over partitions,
-isotonic calibration.
+isotonic calibration on labelled documents apart.
 
 Every document's statistics come from its whole text; null and empty texts have the statistics of no characters. Rows
 without a label, or in the held-out fold, teach nothing. With no labelled row, or one class only, the score is the
@@ -25,6 +25,8 @@ RIDGE = 1e-3
 WIDTH = 6.0
 BINS = 1000
 THRESHOLD = 0.7
+#: One labelled document of so many, by a hash of the id, calibrates and is not learned from.
+CALIBRATION = 5
 #: What a code point below 256 counts as.
 _CLASSES = ("letter", "digit", "space", "line", "stop", "pause", "bar", "mark", "quote", "other")
 _CLASS_OF = np.full(256, 9, np.uint8)
@@ -130,8 +132,9 @@ def _summed(df: DataFrame, make, columns: int) -> np.ndarray:
     return out
 
 
-def fit(labelled: DataFrame, **options) -> FourierRidge:
-    """labelled: stats, target (0 or 1)."""
+def fit(labelled: DataFrame, calibration: DataFrame | None = None, **options) -> FourierRidge:
+    """labelled, calibration: stats, target (0 or 1). The calibration's rows are not learned from by the ridge; without any
+    of both classes the scores are calibrated on the labelled ones."""
     model = FourierRidge(**options)
     d, k = STATISTICS, model.features + 1
     sums = _summed(labelled, lambda x, y: np.concatenate([[len(y), y.sum()], x.sum(0), (x**2).sum(0)]), 2 + 2 * d)
@@ -155,7 +158,9 @@ def fit(labelled: DataFrame, **options) -> FourierRidge:
         at = np.clip((model.raw(x) + 0.5) / 2 * BINS, 0, BINS - 1).astype(int)
         return np.concatenate([np.bincount(at, minlength=BINS), np.bincount(at, y, BINS)])
 
-    sums = _summed(labelled, binned, 2 * BINS)
+    sums = np.zeros(2 * BINS) if calibration is None else _summed(calibration, binned, 2 * BINS)
+    if not 0 < sums[BINS:].sum() < sums[:BINS].sum():
+        sums = _summed(labelled, binned, 2 * BINS)
     full = np.flatnonzero(sums[:BINS])
     model.knots = isotonic((full + 0.5) / BINS * 2 - 0.5, sums[BINS:][full] / sums[:BINS][full], sums[:BINS][full])
     return model
@@ -177,7 +182,8 @@ def classify(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """The result of op4: doc_id, held_out, score, predicted; learns where crc32(doc_id) mod 4 is not 2."""
     stats = settle(document_statistics(docs))
     marks = labels.select("doc_id", F.col("quality").alias("target")).where(F.col("target").isin(0, 1) & (crc_fold("doc_id", 4) != 2))
-    model = fit(stats.join(marks, "doc_id").select("stats", "target"))
+    known = settle(stats.join(marks, "doc_id").select("stats", "target", (F.pmod(F.xxhash64(F.col("doc_id"), F.lit(29)), F.lit(CALIBRATION)) == 0).alias("apart")))
+    model = fit(known.where("NOT apart").select("stats", "target"), known.where("apart").select("stats", "target"))
     scored = score(stats, model)
     return scored.select("doc_id", F.coalesce(crc_fold("doc_id", 4) == 2, F.lit(False)).alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"))
 

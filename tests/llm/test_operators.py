@@ -93,6 +93,10 @@ def test_decontamination_equals_brute_force(spark, given):
     assert sorted_rows(got) == sorted(brute.op1(rows, items), key=repr)
     clean = {r["doc_id"] for r in decontaminate.remove_documents(docs(spark, rows), bench).collect()}
     assert clean == {x[0] for x in brute.op1(rows, items) if not x[5]}
+    again = rows + rows[:9] + [(rows[0][0], "another text of the id"), (None, rows[0][1]), (None, rows[0][1])]
+    assert sorted_rows(decontaminate.report(docs(spark, again), bench)) == sorted(brute.op1(again, items), key=repr)
+    clean = [r["text"] for r in decontaminate.remove_documents(docs(spark, again), bench).collect()]
+    assert sorted(clean, key=repr) == sorted([x[1] for x, y in zip(again, brute.op1(again, items)) if not y[5]], key=repr)
     left = {r["doc_id"]: r["text"] for r in decontaminate.remove_spans(docs(spark, rows), bench).collect()}
     assert left[5001] == "… école"
 
@@ -182,6 +186,20 @@ def test_quality_on_held_out_rows(spark):
     assert all(0 <= r["score"] <= 1 for r in rows)
 
 
+def test_quality_equals_plain_normal_equations(spark):
+    """The sums over partitions give the ridge weights of the whole matrix, and the calibration a step function of the score."""
+    r = np.random.default_rng(8)
+    x = r.standard_normal((400, quality.STATISTICS)).astype("f4")
+    y = (x[:, 0] + x[:, 1] ** 2 > 0.5).astype(int)
+    df = spark.createDataFrame([(v.tolist(), int(t)) for v, t in zip(x, y)], "stats array<float>, target int").repartition(5)
+    model = quality.fit(df)
+    z = model.lift(x.astype(float))
+    penalty = np.diag([*np.full(quality.FEATURES, model.ridge * 400 / (quality.FEATURES + 1)), 0.0]) + 1e-9 * np.eye(quality.FEATURES + 1)
+    assert np.allclose(model.weights, np.linalg.solve(z.T @ z + penalty, z.T @ y), atol=1e-6)
+    score = model.score(x.astype(float))
+    assert (np.diff(score[np.argsort(model.raw(x.astype(float)))]) >= 0).all() and ((score >= 0.5) == y).mean() > 0.9
+
+
 def test_quality_without_labels(spark):
     none = spark.createDataFrame([], "doc_id long, quality int")
     assert {r["score"] for r in quality.classify(docs(spark, ODD), none).collect()} == {0.5}
@@ -194,6 +212,28 @@ def test_language_on_held_out_rows(spark):
     assert np.mean([r["lang"] == r["lang_pred"] for r in rows]) > 0.97
 
 
+def test_language_equals_the_plain_kernel():
+    """Scores from gathered rows are those of the dense kernel matrix, Nystroem map and ridge."""
+    r = random.Random(3)
+    words = {"a": ["la", "le", "une", "été"], "b": ["der", "die", "und", "für"], "c": ["the", "of", "and"]}
+    texts = [(" ".join(r.choice(words[y]) for _ in range(r.randint(3, 30))), y) for y in "abc" * 20]
+    flags = np.zeros(langid.SLOTS, bool)
+    rows = [langid.presence(t, flags) for t, _ in texts]
+    assert not flags.any()
+    model = langid.fit(rows, [y for _, y in texts])
+    sets = [set(x.tolist()) for x in rows]
+    marks = [k for y in "abc" for k in [i for i, (_, z) in enumerate(texts) if z == y][: langid.LANDMARKS // 3]]
+    kernel = lambda i, j: len(sets[i] & sets[j]) / (len(sets[i]) * len(sets[j])) ** 0.5
+    full = np.array([[kernel(i, j) for j in marks] for i in range(len(texts))])
+    values, vectors = np.linalg.eigh(full[marks])
+    good = values > values.max() * 1e-6
+    lifted = full @ (vectors[:, good] / np.sqrt(values[good]))
+    target = np.array([[1.0 if y == name else -1.0 for name in "abc"] for _, y in texts])
+    beta = np.linalg.solve(lifted.T @ lifted / 20 + langid.RIDGE * np.eye(lifted.shape[1]), lifted.T @ target / 20)
+    assert np.allclose(model.scores(rows), lifted @ beta, atol=1e-3)
+    assert model.predict([t for t, _ in texts])[0] == [y for _, y in texts]
+
+
 def test_language_of_odd_rows(spark):
     got = {(r["doc_id"], r["lang_pred"]) for r in langid.classify(docs(spark, [*ODD, (20, "12 34 !")])).collect()}
     assert {(1, "und"), (2, "und"), (3, "und"), (20, "und"), (9, "en")} <= got
@@ -288,6 +328,16 @@ def test_embeddings_equal_brute_force(spark):
     assert got == {k: (int(link[k].sum()), int(reach[k]), int(reach[k]) == k) for k in range(len(rows))} | {r[0]: (0, r[0], True) for r in odd}
 
 
+def test_embeddings_of_other_types(spark):
+    rows = [(1, [1e30, 0.0], "a"), (2, [1e60, 1.0], "a"), (3, [1e60, 1.0], "b"), (4, [1.0], "a"), (5, [2.0], "a"), (6, [-2.0], "a"), (7, [1e-300, 0.0], "a"), (None, [1.0, 0.0], "a"), (8, [1.0, 0.0], None)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label string").withColumn("component_id", F.lit("x")).withColumn("rep", F.lit(0))
+    got = {r["vec_id"]: (r["n_links"], r["component_id"]) for r in embeddings.near_duplicates(df).collect()}
+    assert got == {1: (2, 1), 2: (2, 1), 7: (2, 1), 3: (0, 3), 4: (1, 4), 5: (1, 4), 6: (0, 6), None: (0, None), 8: (0, 8)}
+    edge = [(k, [float(np.cos(a)), float(np.sin(a))], 1) for k, a in enumerate((0.0, float(np.arccos(0.98)) - 1e-9, -float(np.arccos(0.98)) - 1e-9))]
+    got = {r["vec_id"]: r["component_id"] for r in embeddings.near_duplicates(spark.createDataFrame(edge, "vec_id long, embedding array<double>, label int")).collect()}
+    assert got == {0: 0, 1: 0, 2: 2}
+
+
 def test_near_duplicates_equal_brute_force(spark):
     r = random.Random(6)
     vocabulary = [f"w{k}" for k in range(400)]
@@ -384,9 +434,19 @@ def test_odd_tables_everywhere(spark):
         df = docs(spark, rows)
         for f in (fmindex.report, suffixarray.report, minhash.near_duplicates, bpe.digests, pii.report, langid.classify):
             assert f(df).count() == len(rows), f
+        labels = spark.createDataFrame([(1, 1, 0), (6, 0, 1), (None, 1, 0), (9, None, 0)], "doc_id long, quality int, toxic int")
+        assert quality.classify(df, labels).count() == len(rows)
+        bench = spark.createDataFrame([(1, "word " * 12), (None, "the same text the same")], "item_id long, text string")
+        assert decontaminate.report(df, bench).count() == len(rows)
+        for f in (langid.keep_known, minhash.keep_first, pii.redact_frame, lambda x: decontaminate.remove_documents(x, bench)):
+            out = f(df)
+            assert out.columns == df.columns and out.count() <= len(rows)
+        assert bpe.encode_decode(df).count() == len(rows)
     none = spark.createDataFrame([], "vec_id long, embedding array<float>, label int")
     assert embeddings.near_duplicates(none).count() == 0
     assert urls.judge(spark.createDataFrame([], "page_id long, url string")).count() == 0
+    clash = spark.createDataFrame([(1, "http://a.com/en/x"), (None, None), (1, "http://a.com/en/x")], "page_id long, url string").withColumns({c: F.lit("x") for c in ("host", "path", "items", "block", "given")})
+    assert sorted(r["verdict"] for r in urls.judge(clash).collect()) == ["allow", "block", "block"]
 
 
 def test_pipeline(spark):
