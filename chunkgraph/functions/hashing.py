@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -16,6 +17,16 @@ def mix_int(x: int) -> int:
     return ((a ^ (a >> 15)) % MODULUS * STEP_TWO[0] + STEP_TWO[1]) % MODULUS
 
 
+def mix_array(x: np.ndarray) -> np.ndarray:
+    a = (x.astype(np.int64) % MODULUS * STEP_ONE[0] + STEP_ONE[1]) % MODULUS
+    return ((a ^ (a >> 15)) % MODULUS * STEP_TWO[0] + STEP_TWO[1]) % MODULUS
+
+
+def portable_hash_array(x: np.ndarray, seed: int = 0) -> np.ndarray:
+    """Of an array of non-negative integers."""
+    return mix_array(mix_array(x) ^ mix_int(seed)) if seed else mix_array(x)
+
+
 def mix(x: Column) -> Column:
     a = (x % MODULUS * STEP_ONE[0] + STEP_ONE[1]) % MODULUS
     return (a.bitwiseXOR(F.shiftright(a, 15)) % MODULUS * STEP_TWO[0] + STEP_TWO[1]) % MODULUS

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import random
-
 from pyspark.sql import SparkSession
 from pyspark.sql.functions import udtf
 
@@ -19,18 +17,14 @@ class Neighbors:
             yield (vid,)
 
 
-@udtf(returnType="src: bigint, dst: bigint")
+@udtf(returnType="i: bigint, src: bigint, dst: bigint")
 class RmatDraws:
-    """Draws from 2^scale vertices with the update generator's quadrant probabilities; for trials, not reproducible in SQL."""
+    """The first draws from 2^scale vertices; the same rows as the generator's."""
 
     def eval(self, scale: int, count: int):
-        r = random.Random(1)
-        for _ in range(count):
-            src = dst = 0
-            for _level in range(scale):
-                u = r.random()
-                src, dst = src * 2 + (u >= 0.6), dst * 2 + (0.5 <= u < 0.6 or u >= 0.7)
-            yield src, dst
+        from ..sources.datasource import draws
+
+        yield from zip(*(c.tolist() for c in draws(0, count, scale, 1)))
 
 
 def register(spark: SparkSession) -> None:
@@ -43,3 +37,10 @@ def register(spark: SparkSession) -> None:
     spark.udtf.register("neighbors", Neighbors)
     spark.udtf.register("rmat_draws", RmatDraws)
 
+
+def register_views(spark: SparkSession, g, prefix: str = "g") -> None:
+    """A graph as temporary views: <prefix>_edges (src, dst[, weight]), <prefix>_chunks and <prefix>_vertices (vid, deg, ...)."""
+    g.edges().createOrReplaceTempView(f"{prefix}_edges")
+    g.chunks.createOrReplaceTempView(f"{prefix}_chunks")
+    g.vertices().createOrReplaceTempView(f"{prefix}_vertices")
+

@@ -1,97 +1,135 @@
-"""Analyses on a graph: BFS, single-source betweenness, maximal independent set, local clustering, batches of local queries."""
+"""Analyses on a graph: BFS, single-source betweenness, maximal independent set, local clustering, batches of local queries.
+
+All run on `edge_map`, so on any layout that a Graph can hold: chunked, plain, coded, flat, or the rows of a baseline.
+"""
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.hashing import portable_hash
-from ..plans.scratch import settle
+from ..plans.scratch import forget, settle
 from . import sets
-from .graph import DENSE_SHARE, Graph, choose_mode, edge_map, sparse_pairs
+from .graph import BITMAP_BITS, DENSE_SHARE, Graph, choose_mode, edge_map, out_pairs
 
-MOST_ROUNDS = 10_000
+#: Levels of a directed graph's BFS that are read one by one before they are written together.
+LEVELS_TOGETHER = 8
 
 
 def _degrees(g: Graph) -> DataFrame:
     return g.chunks.groupBy(F.col("owner").alias("vid")).agg(F.sum(sets.weight()).cast("long").alias("deg"))
 
 
-def bfs(g: Graph, source: int, mode: str = "auto", share: int = DENSE_SHARE, trace: list | None = None) -> DataFrame:
-    """(vid, level, parent) of all vertices reached; the parent is the least neighbour one level up.
+class _Search:
+    """Levels of a breadth-first search. A round is one job that writes the new frontier, with each vertex's degree, and one
+    that reads its size, edges and range of ids from what was written; these choose the next round's mode.
 
-    One job a round: it writes the new frontier and its size and edge count come from what was written. trace gets
-    (round, mode, frontier vertices, edges out of the frontier) for the cost tables.
+    In a symmetric graph a neighbour of a level is in it, in the one before or in the next, so only two levels are held
+    against the targets; in a directed one all are, written together now and then.
     """
-    spark = g.chunks.sparkSession
-    degrees = settle(_degrees(g))
-    m = degrees.agg(F.coalesce(F.sum("deg"), F.lit(0))).first()[0] if mode == "auto" or trace is not None else 0
-    frontier = spark.range(1).select(F.lit(source).cast("long").alias("vid"), F.lit(0).alias("level"), F.lit(None).cast("long").alias("parent"))
-    reached = frontier
-    for level in range(1, MOST_ROUNDS):
-        size, out = 1, 0
-        if mode == "auto" or trace is not None:
-            size, out = frontier.join(degrees, "vid", "left").agg(F.count("*"), F.coalesce(F.sum("deg"), F.lit(0))).first()
-        how = choose_mode(size, out, m, share) if mode == "auto" else mode
-        if trace is not None:
-            trace.append((level, how, size, out))
-        seen = reached.select(F.col("vid").alias("dst"))
-        found = edge_map(g, frontier, lambda targets: targets.join(seen, "dst", "left_anti"), how)  # noqa: B023
-        frontier = settle(found.select(F.col("dst").alias("vid"), F.lit(level).alias("level"), F.col("src").alias("parent")))
-        if not frontier.take(1):
-            break
-        reached = reached.unionByName(frontier)
-    return reached
-
-
-def bc(g: Graph, source: int) -> DataFrame:
+
+    def __init__(self, g: Graph, source: int, mode: str, share: int, values: dict | None = None, trace: list | None = None):
+        self.g, self.mode, self.share, self.trace = g, mode, share, trace
+        self.degrees = settle(_degrees(g))
+        about = self.degrees.agg(F.coalesce(F.sum("deg"), F.lit(0)), F.count("*")).first()
+        self.m, self.most = about[0], about[1] + 2
+        start = g.chunks.sparkSession.range(1).select(F.lit(source).cast("long").alias("vid"), F.lit(0).alias("level"), *(v.alias(n) for n, v in (values or {}).items()))
+        self.levels = [settle(start.join(self.degrees, "vid", "left").withColumn("deg", F.coalesce("deg", F.lit(0).cast("long"))))]
+        self.old: DataFrame | None = None  # of a directed graph: all but the last levels
+        self.recent = 1
+        self._measure()
+
+    def _measure(self) -> None:
+        bucket = F.shiftright("vid", BITMAP_BITS)
+        self.size, self.out, self.buckets = self.levels[-1].agg(F.count("*"), F.coalesce(F.sum("deg"), F.lit(0)), F.count_distinct(bucket)).first()
+
+    def _seen(self) -> DataFrame:
+        if self.g.into is None:
+            frames = self.levels[-2:]
+        else:
+            if self.recent > LEVELS_TOGETHER:
+                self.old, self.recent = settle(self._all(self.levels)), 0
+            frames = [*([] if self.old is None else [self.old]), *self.levels[len(self.levels) - self.recent :]]
+        return self._all(frames).withColumnRenamed("vid", "dst")
+
+    @staticmethod
+    def _all(frames: list[DataFrame]) -> DataFrame:
+        return reduce(DataFrame.unionByName, (f.select("vid") for f in frames))
+
+    def step(self, update: dict, carried: tuple = ()) -> bool:
+        """The next level, with the columns of the update; False when there is none."""
+        level, how = len(self.levels), choose_mode(self.size, self.out, self.m, self.share) if self.mode == "auto" else self.mode
+        if level > self.most:
+            raise ValueError("more levels than vertices: an undirected graph without some of its reversed edges")
+        if self.trace is not None:
+            self.trace.append((level, how, self.size, self.out))
+        seen = self._seen()
+        found = edge_map(self.g, self.levels[-1].select("vid", *carried), lambda t: t.join(seen, "dst", "left_anti"), how, update, buckets=self.buckets)
+        found = found.withColumnRenamed("dst", "vid").join(self.degrees, "vid", "left")
+        self.levels.append(settle(found.select("vid", F.lit(level).alias("level"), *update, F.coalesce("deg", F.lit(0).cast("long")).alias("deg"))))
+        self.recent += 1
+        self._measure()
+        if not self.size:
+            forget(self.levels.pop())
+        return bool(self.size)
+
+
+def bfs(g: Graph, source: int, mode: str = "auto", share: int = DENSE_SHARE, trace: list | None = None) -> DataFrame:
+    """(vid, level, parent) of all vertices reached; the parent is the least neighbour one level up. mode: sparse, dense or
+    auto. trace gets (round, mode, frontier vertices, edges out of the frontier) for the cost tables."""
+    search = _Search(g, source, mode, share, {"parent": F.lit(None).cast("long")}, trace)
+    while search.step({"parent": F.min("src")}):
+        pass
+    return reduce(DataFrame.unionByName, (f.select("vid", "level", "parent") for f in search.levels))
+
+
+def bc(g: Graph, source: int, mode: str = "auto", share: int = DENSE_SHARE, trace: list | None = None) -> DataFrame:
     """(vid, level, sigma, delta) of all vertices reached: shortest paths from the source through each, and its dependency.
 
-    Path counts are doubles; they overflow to infinity on graphs of more than about 10^308 paths.
+    Forward, a level's path counts are summed along its edges; backward, each level hands (1 + delta) / sigma to the one
+    above, along the edges' other direction. Path counts are doubles; they overflow to infinity beyond about 10^308 paths.
     """
-    spark = g.chunks.sparkSession
-    levels = [spark.range(1).select(F.lit(source).cast("long").alias("vid"), F.lit(0).alias("level"), F.lit(1.0).alias("sigma"))]
-    reached = levels[0]
-    while True:
-        step = sparse_pairs(g.chunks, levels[-1])
-        sums = step.join(levels[-1].select(F.col("vid").alias("src"), "sigma"), "src").groupBy(F.col("dst").alias("vid")).agg(F.sum("sigma").alias("sigma"))
-        new = settle(sums.join(reached.select("vid"), "vid", "left_anti").select("vid", F.lit(len(levels)).alias("level"), "sigma"))
-        if not new.take(1):
-            break
-        levels.append(new)
-        reached = reached.unionByName(new)
-    delta = levels[-1].withColumn("delta", F.lit(0.0))
-    done = delta
+    search = _Search(g, source, mode, share, {"sigma": F.lit(1.0)}, trace)
+    while search.step({"sigma": F.sum("sigma")}, ("sigma",)):
+        pass
+    back, levels = g.transposed(), [f.select("vid", "level", "sigma") for f in search.levels]
+    done = [levels[-1].withColumn("delta", F.lit(0.0))]
     for upper in reversed(levels[:-1]):
-        below = delta.select(F.col("vid").alias("dst"), F.col("sigma").alias("sigma_below"), F.col("delta").alias("delta_below"))
-        step = sparse_pairs(g.chunks, upper).join(below, "dst").join(upper.select(F.col("vid").alias("src"), "sigma"), "src")
-        part = step.groupBy(F.col("src").alias("vid")).agg(F.sum(F.col("sigma") / F.col("sigma_below") * (1 + F.col("delta_below"))).alias("delta"))
-        delta = settle(upper.join(part, "vid", "left").select("vid", "level", "sigma", F.coalesce("delta", F.lit(0.0)).alias("delta")))
-        done = done.unionByName(delta)
-    return done.withColumn("delta", F.when(F.col("vid") == source, 0.0).otherwise(F.col("delta")))
+        below = done[-1].select("vid", ((1 + F.col("delta")) / F.col("sigma")).alias("share"))
+        above = upper.select(F.col("vid").alias("dst"))
+        part = edge_map(back, below, lambda t: t.join(above, "dst", "left_semi"), "dense" if mode == "dense" else "sparse", {"share": F.sum("share")})  # noqa: B023
+        delta = upper.join(part.withColumnRenamed("dst", "vid"), "vid", "left")
+        done.append(settle(delta.select("vid", "level", "sigma", (F.col("sigma") * F.coalesce("share", F.lit(0.0))).alias("delta"))))
+    out = reduce(DataFrame.unionByName, done)
+    return out.withColumn("delta", F.when(F.col("vid") == source, 0.0).otherwise(F.col("delta")))
 
 
-def mis(g: Graph, seed: int = 3) -> DataFrame:
-    """(vid, in_mis): the greedy maximal independent set in order of (hash, id); isolated vertices are in.
+def mis(g: Graph, seed: int = 3, mode: str = "sparse") -> DataFrame:
+    """(vid, in_mis): the greedy maximal independent set in order of (hash, id); isolated vertices are in. For symmetric graphs.
 
     A round decides every undecided vertex whose priority is least among its undecided neighbours, and their neighbours.
     """
-    priority = F.struct(portable_hash(F.col("vid"), seed).alias("h"), F.col("vid").alias("v"))
-    decided = None if g.isolated is None else g.isolated.select("vid", F.lit(True).alias("in_mis"))
-    edges = settle(sets.entries(g.chunks).select(F.col("owner").alias("vid"), F.col("elem").alias("near")).where("vid <> near"))
-    open_ = settle(g.chunks.select(F.col("owner").alias("vid")).distinct())
-    for _ in range(MOST_ROUNDS):
-        if not open_.take(1):
-            break
-        near = edges.groupBy("vid").agg(F.min(F.struct(portable_hash(F.col("near"), seed).alias("h"), F.col("near").alias("v"))).alias("least"))
-        joins = settle(open_.join(near, "vid", "left").where(F.col("least").isNull() | (priority < F.col("least"))).select("vid"))
-        out = settle(edges.join(joins.withColumnRenamed("vid", "near"), "near", "left_semi").select("vid").distinct())
-        now = joins.select("vid", F.lit(True).alias("in_mis")).unionByName(out.select("vid", F.lit(False).alias("in_mis")))
-        decided = now if decided is None else decided.unionByName(now)
-        gone = settle(now.select("vid"))
-        open_ = settle(open_.join(gone, "vid", "left_anti"))
-        edges = settle(edges.join(gone, "vid", "left_anti").join(gone.withColumnRenamed("vid", "near"), "near", "left_anti").select("vid", "near"))
-    return decided
+    decided = [] if g.isolated is None else [g.isolated.select("vid", F.lit(True).alias("in_mis"))]
+    open_ = settle(g.chunks.select(F.col("owner").alias("vid")).distinct().select("vid", portable_hash(F.col("vid"), seed).alias("h")))
+    while open_.take(1):
+        own = open_.select(F.col("vid").alias("dst"))
+        among = lambda t: t.join(own, "dst", "left_semi")  # noqa: B023, E731
+        least = F.min(F.when(F.col("src") != F.col("dst"), F.struct(F.col("h"), F.col("src").alias("vid"))))
+        near = edge_map(g, open_, among, mode, {"least": least}).withColumnRenamed("dst", "vid")
+        joins = settle(open_.join(near, "vid", "left").where(F.col("least").isNull() | (F.struct("h", "vid") < F.col("least"))).select("vid"))
+        out = edge_map(g, joins, among, mode).select(F.col("dst").alias("vid"))
+        now = joins.select("vid", F.lit(True).alias("in_mis")).unionByName(out.join(joins, "vid", "left_anti").select("vid", F.lit(False).alias("in_mis")))
+        now, last = settle(now), open_
+        decided.append(now)
+        open_ = settle(last.join(now.select("vid"), "vid", "left_anti"))
+        forget(last)
+        forget(joins)
+    if not decided:
+        return open_.select("vid", F.lit(True).alias("in_mis"))
+    return reduce(DataFrame.unionByName, decided)
 
 
 def mis_violations(g: Graph, chosen: DataFrame) -> DataFrame:
@@ -106,17 +144,18 @@ def mis_violations(g: Graph, chosen: DataFrame) -> DataFrame:
 
 def walk(g: Graph, seeds: DataFrame, eps: float = 1e-6, steps: int = 10) -> DataFrame:
     """(seed, vid, p): truncated lazy random walks from all seeds at once. Mass below eps times the degree is dropped; a
-    walk without mass above it keeps its last state."""
+    walk without mass above it keeps its last state. A step opens the chunks of vertices with mass alone."""
     degrees = settle(_degrees(g))
-    step = sets.entries(g.chunks).select(F.col("owner").alias("vid"), "elem")
     state = settle(seeds.select(F.col("vid").alias("seed"), "vid").distinct().withColumn("p", F.lit(1.0)))
     for _ in range(steps):
         active = settle(state.join(degrees, "vid").where(F.col("p") >= eps * F.col("deg")))
         halves = active.select("seed", "vid", (F.col("p") / 2).alias("p"))
-        sent = active.join(step, "vid").select("seed", F.col("elem").alias("vid"), (F.col("p") / (2 * F.col("deg"))).alias("p"))
+        sent = out_pairs(g.chunks, active).select("seed", F.col("dst").alias("vid"), (F.col("p") / (2 * F.col("deg"))).alias("p"))
         moved = halves.unionByName(sent).groupBy("seed", "vid").agg(F.sum("p").alias("p"))
         stuck = state.join(active.select("seed").distinct(), "seed", "left_anti").select("seed", "vid", "p")
-        state = settle(moved.unionByName(stuck))
+        last, state = state, settle(moved.unionByName(stuck))
+        forget(last)
+        forget(active)
     return state
 
 
@@ -128,8 +167,8 @@ def sweep(g: Graph, state: DataFrame) -> DataFrame:
     scored = state.join(degrees, "vid").withColumn("score", F.round(F.col("p") / F.col("deg"), 12))
     ranked = settle(scored.select("seed", "vid", "deg", F.row_number().over(by).alias("rank")))
     # an edge between ranks i < j is cut by the prefixes i .. j-1; an edge out of the support by all from i on
-    edge = sets.entries(g.chunks).select(F.col("owner").alias("vid"), "elem")
-    ends = ranked.join(edge, "vid").select("seed", "rank", "elem").join(ranked.select("seed", F.col("vid").alias("elem"), F.col("rank").alias("other")), ["seed", "elem"], "left")
+    leaving = out_pairs(g.chunks, ranked.select("vid", "seed", "rank")).select("seed", "rank", F.col("dst").alias("elem"))
+    ends = leaving.join(ranked.select("seed", F.col("vid").alias("elem"), F.col("rank").alias("other")), ["seed", "elem"], "left")
     change = F.when(F.col("other").isNull() | (F.col("other") > F.col("rank")), 1).when(F.col("other") < F.col("rank"), -1).otherwise(0)
     steps = ends.groupBy("seed", "rank").agg(F.sum(change).alias("cut_step"))
     upto = Window.partitionBy("seed").orderBy("rank").rowsBetween(Window.unboundedPreceding, 0)

@@ -11,6 +11,8 @@ from . import sets
 from .graph import Graph
 
 BLOCK = 16
+#: Bytes of a vertex entry, of an edge slot, and of a link between blocks, for the baselines' memory.
+VERTEX_BYTES, SLOT_BYTES, LINK_BYTES = 8, 4, 8
 
 
 def plain_graph(edges: DataFrame) -> Graph:
@@ -47,6 +49,14 @@ class BlockedListGraph:
         left = self.blocks.join(touched, "src", "left_semi").select("src", F.explode("slots").alias("dst")).join(gone, ["src", "dst"], "left_anti")
         return BlockedListGraph(self.blocks.join(touched, "src", "left_anti").unionByName(BlockedListGraph.from_edges(left, self.block).blocks), self.block)
 
+    def view(self) -> Graph:
+        """The blocks themselves as a graph: a traversal reads a vertex's whole chain, block by block."""
+        return _headless(self.blocks.select(F.col("src").alias("owner"), F.col("slots").alias("elems")))
+
+    def memory(self, n: int) -> DataFrame:
+        """One row: blocks, bytes of n vertex entries and of all slots, used or free, with a link a block."""
+        return self.blocks.agg(F.count("*").alias("blocks"), (F.lit(VERTEX_BYTES).cast("long") * n + F.count("*") * (self.block * SLOT_BYTES + LINK_BYTES)).alias("bytes"))
+
     def insert_cost(self, batch: DataFrame) -> DataFrame:
         """One row: updates, slots scanned (the whole list of each source, once an update), chain steps."""
         lists = self.blocks.groupBy("src").agg(F.sum(F.size("slots")).alias("slots"), F.count("*").alias("chain"))
@@ -65,6 +75,16 @@ class MultiSnapshotGraph:
         rows = batch.select("src", "dst").distinct().groupBy("src").agg(F.sort_array(F.collect_list("dst")).alias("dsts"))
         return MultiSnapshotGraph(self.n, [*self.fragments, rows.withColumn("snapshot", F.lit(len(self.fragments)))])
 
+    def view(self) -> Graph:
+        """The fragments themselves as a graph: a traversal reads a vertex's fragments of all snapshots. An edge that two
+        batches have is read twice, which path counts must not be asked of."""
+        return _headless(self.all().select(F.col("src").alias("owner"), F.col("dsts").alias("elems")))
+
+    def memory(self) -> DataFrame:
+        """One row: snapshots, bytes of their vertex arrays and edges."""
+        edges = self.all().agg(F.coalesce(F.sum(F.size("dsts")), F.lit(0)).alias("m"))
+        return edges.select(F.lit(len(self.fragments)).alias("snapshots"), (F.lit(len(self.fragments)).cast("long") * self.n * VERTEX_BYTES + F.col("m") * SLOT_BYTES).alias("bytes"))
+
     def all(self) -> DataFrame:
         out = self.fragments[0]
         for f in self.fragments[1:]:
@@ -88,13 +108,17 @@ def static_rows(edges: DataFrame) -> DataFrame:
     return edges.groupBy(F.col("src").alias("owner")).agg(F.sort_array(F.collect_set("dst")).alias("elems"))
 
 
-def static_graph(edges: DataFrame) -> Graph:
-    """Static rows as a graph that the same traversals run on: every list is one chunk without heads."""
-    rows = static_rows(edges)
+def _headless(rows: DataFrame) -> Graph:
+    """Rows (owner, elems sorted), several for an owner, as chunks without heads; the same traversals run on them."""
     null = F.lit(None).cast("long")
     return Graph(rows.select("owner", null.alias("head"), F.element_at("elems", 1).alias("lo"), F.element_at("elems", -1).alias("hi"), F.size("elems").alias("cnt"), "elems"), b=1 << 30)
 
 
+def static_graph(edges: DataFrame, codec: str = "plain") -> Graph:
+    """Static rows as a graph: every list is one row, coded as a whole with a codec."""
+    return _headless(static_rows(edges)).recoded(codec)
+
+
 def offsets(edges: DataFrame) -> DataFrame:
     """(src, offset, deg) of a compressed sparse row layout over vertices in order of id; offsets by ranges of ids."""
     deg = edges.groupBy("src").agg(F.count_distinct("dst").alias("deg")).withColumn("_range", F.floor(F.col("src") / 65536))

@@ -7,13 +7,12 @@ from dataclasses import dataclass, replace
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.scratch import bit_literal, bitmap_words, has_bit, settle
+from ..functions.codec import codec_of, coded, opened
+from ..plans.scratch import settle
 from . import sets
 
-#: Ids below this can be a broadcast bitmap (64 MiB of bits at most); beyond, frontiers are joined.
-MOST_BITMAP_ID = 1 << 29
-#: In-literal bitmaps stay below this id; a larger one is joined as a frame.
-MOST_LITERAL_ID = 1 << 22
+#: Bits of ids in a row of a frontier's bitmap, and how many rows (4 KiB each) are broadcast; beyond, they are joined by a shuffle.
+BITMAP_BITS, MOST_BITMAPS = 15, 1 << 14
 #: A frontier is dense when its vertices and their edges are over this share of all edges.
 DENSE_SHARE = 20
 
@@ -22,7 +21,9 @@ DENSE_SHARE = 20
 class Graph:
     """Immutable; every update gives a new Graph that shares what it did not touch.
 
-    chunks: see `sets` (owner = source vertex). isolated: vertices without edges. weighted graphs have vals and agg.
+    chunks: see `sets` (owner = source vertex), in any codec. isolated: vertices without edges. weighted graphs have vals
+    and agg. Edges with a null end are no edges. A directed graph holds its in-neighbours too; a vertex with in-edges
+    alone is a vertex of degree 0.
     """
 
     chunks: DataFrame
@@ -33,28 +34,44 @@ class Graph:
     flat: bool = False
 
     @staticmethod
-    def from_edges(edges: DataFrame, directed: bool = False, b: int = sets.DEFAULT_B, seed: int = 0, weight: str | None = None, combine: str = "last", vertices: DataFrame | None = None) -> "Graph":
-        """edges: src, dst[, weight]. Undirected input is expected symmetrised (both directions present)."""
-        columns = [F.col("src").alias("owner"), F.col("dst").alias("elem"), *([F.col(weight).alias("val")] if weight else [])]
-        chunks = sets.build(edges.select(*columns), b, seed, combine)
-        back = [F.col("dst").alias("owner"), F.col("src").alias("elem"), *columns[2:]]
-        into = sets.build(edges.select(*back), b, seed, combine) if directed else None
-        alone = None if vertices is None else vertices.select("vid").distinct().join(chunks.select(F.col("owner").alias("vid")), "vid", "left_anti")
-        return Graph(chunks, b, seed, alone, into)
+    def from_edges(
+        edges: DataFrame, directed: bool = False, b: int = sets.DEFAULT_B, seed: int = 0, weight: str | None = None, combine: str = "last",
+        vertices: DataFrame | None = None, order: str | None = None, span: int | None = None, codec: str = "plain",
+    ) -> "Graph":
+        """edges: src, dst[, weight]. Undirected input is expected symmetrised (both directions present).
+
+        order: of parallel edges, for combine last and first. span: deals a vertex's neighbours over tasks by ranges of
+        ids, for graphs whose largest list is too long for one. codec: see `codec`.
+        """
+        more = [*([F.col(weight).alias("val")] if weight else []), *([F.col(order).alias("_order")] if order else [])]
+        side = lambda x, y: sets.build(edges.select(F.col(x).alias("owner"), F.col(y).alias("elem"), *more), b, seed, combine, "_order" if order else None, span, codec)
+        g = Graph(side("src", "dst"), b, seed, None, side("dst", "src") if directed else None)
+        return g if vertices is None else g.insert_vertices(vertices)
 
     @property
     def in_chunks(self) -> DataFrame:
         return self.chunks if self.into is None else self.into
 
+    def ends(self) -> DataFrame:
+        """(vid) of all vertices that have an edge, in or out."""
+        out = self.chunks.select(F.col("owner").alias("vid"))
+        return (out if self.into is None else out.unionByName(self.into.select(F.col("owner").alias("vid")))).distinct()
+
     def vertices(self) -> DataFrame:
-        """vid, deg, n_heads, prefix_cnt."""
+        """vid, deg (out-degree), n_heads, prefix_cnt."""
         out = self.chunks.groupBy(F.col("owner").alias("vid")).agg(
             F.sum(sets.weight()).cast("long").alias("deg"), F.count("head").alias("n_heads"), F.sum(F.when(F.col("head").isNull(), F.col("cnt")).otherwise(0)).cast("long").alias("prefix_cnt")
         )
-        if self.isolated is None:
-            return out
-        zero = F.lit(0).cast("long")
-        return out.unionByName(self.isolated.select("vid", zero.alias("deg"), zero.alias("n_heads"), zero.alias("prefix_cnt")))
+        zero, bare = F.lit(0).cast("long"), self.isolated
+        if self.into is not None:
+            sinks = self.into.select(F.col("owner").alias("vid")).distinct().join(out.select("vid"), "vid", "left_anti")
+            bare = sinks if bare is None else bare.select("vid").unionByName(sinks)
+        return out if bare is None else out.unionByName(bare.select("vid", zero.alias("deg"), zero.alias("n_heads"), zero.alias("prefix_cnt")))
+
+    def vertex_chunks(self, b: int, span: int | None = None) -> DataFrame:
+        """The vertex set as one chunked set (owner 0) with each vertex's degree as its value, so that a chunk's `agg` is
+        the number of edges of its vertices."""
+        return sets.build(self.vertices().select(F.lit(0).cast("long").alias("owner"), F.col("vid").alias("elem"), F.col("deg").alias("val")), b, self.seed, span=span)
 
     def counts(self) -> DataFrame:
         """One row: n (with isolated vertices), m."""
@@ -79,37 +96,53 @@ class Graph:
 
     # ------------------------------------------------------------------------------------------------------- updates
 
-    def insert_edges(self, batch: DataFrame, combine: str = "last") -> "Graph":
-        """batch: src, dst[, weight], duplicates allowed; an edge that exists has its weight folded."""
+    def _both(self, batch: DataFrame, columns: list, f) -> tuple[DataFrame, DataFrame | None]:
+        """f(chunks, batch as owner, elem, ...) on the out- and, for a directed graph, the in-neighbours."""
+        side = lambda x, y: batch.select(F.col(x).alias("owner"), F.col(y).alias("elem"), *columns)
+        return f(self.chunks, side("src", "dst")), None if self.into is None else f(self.into, side("dst", "src"))
+
+    def insert_edges(self, batch: DataFrame, combine: str = "last", order: str | None = None) -> "Graph":
+        """batch: src, dst[, weight], duplicates allowed (folded by `order` for last and first); an edge that exists has
+        its weight folded with the batch's."""
         has = "vals" in self.chunks.columns
-        side = lambda x, y: batch.select(F.col(x).alias("owner"), F.col(y).alias("elem"), *([F.col("weight").alias("val")] if has else []))
-        chunks = sets.multi_insert(self.chunks, side("src", "dst"), self.b, self.seed, combine)
-        into = None if self.into is None else sets.multi_insert(self.into, side("dst", "src"), self.b, self.seed, combine)
+        columns = [*([F.col("weight").alias("val")] if has else []), *([F.col(order).alias("_order")] if order else [])]
+        chunks, into = self._both(batch, columns, lambda old, new: sets.multi_insert(old, new, self.b, self.seed, combine, "_order" if order else None))
         alone = self.isolated
         if alone is not None:
-            alone = alone.join(batch.select(F.explode(F.array("src", "dst")).alias("vid")).distinct(), "vid", "left_anti")
+            edges = batch.where("src IS NOT NULL AND dst IS NOT NULL")
+            alone = alone.join(edges.select(F.explode(F.array("src", "dst")).alias("vid")).distinct(), "vid", "left_anti")
         return replace(self, chunks=chunks, into=into, isolated=alone, flat=False)
 
     def delete_edges(self, batch: DataFrame) -> "Graph":
         """Vertices that lose their last edge stay, isolated."""
-        side = lambda x, y: batch.select(F.col(x).alias("owner"), F.col(y).alias("elem"))
-        chunks = sets.multi_delete(self.chunks, side("src", "dst"), self.b, self.seed)
-        into = None if self.into is None else sets.multi_delete(self.into, side("dst", "src"), self.b, self.seed)
-        bare = self.chunks.select(F.col("owner").alias("vid")).distinct().join(chunks.select(F.col("owner").alias("vid")), "vid", "left_anti")
-        return replace(self, chunks=chunks, into=into, isolated=bare if self.isolated is None else self.isolated.unionByName(bare).distinct(), flat=False)
+        chunks, into = self._both(batch, [], lambda old, new: sets.multi_delete(old, new, self.b, self.seed))
+        return self._without(chunks, into)
+
+    def _without(self, chunks: DataFrame, into: DataFrame | None) -> "Graph":
+        """With fewer edges: what has none any more is isolated."""
+        out = replace(self, chunks=chunks, into=into, flat=False)
+        bare = self.ends().join(out.ends(), "vid", "left_anti")
+        return replace(out, isolated=bare if self.isolated is None else self.isolated.select("vid").unionByName(bare).distinct())
 
     def insert_vertices(self, vids: DataFrame) -> "Graph":
-        new = vids.select("vid").distinct().join(self.chunks.select(F.col("owner").alias("vid")), "vid", "left_anti")
-        return replace(self, isolated=new if self.isolated is None else self.isolated.unionByName(new).distinct())
+        new = vids.select("vid").where("vid IS NOT NULL").distinct().join(self.ends(), "vid", "left_anti")
+        return replace(self, isolated=new if self.isolated is None else self.isolated.select("vid").unionByName(new).distinct())
 
     def delete_vertices(self, vids: DataFrame) -> "Graph":
-        """The vertices go with all edges at either end; neighbours stay, isolated if these were their only edges."""
+        """The vertices go with all edges at either end; neighbours stay, isolated if these were their only edges. Only
+        the lists of the vertices and of their neighbours are opened."""
         gone = vids.select("vid").distinct()
-        ends = self.edges().join(gone.withColumnRenamed("vid", "dst"), "dst", "left_semi").select("src", "dst")
-        out = self.delete_edges(ends)
-        chunks = out.chunks.join(gone.withColumnRenamed("vid", "owner"), "owner", "left_anti")
-        alone = out.isolated.join(gone, "vid", "left_anti") if out.isolated is not None else None
-        return replace(out, chunks=chunks, isolated=alone)
+        owned = gone.withColumnRenamed("vid", "owner")
+
+        def left(chunks, back):
+            """chunks without the lists of the vertices, and without them in the lists of those in `back` that name them."""
+            dead = out_pairs(back, gone).select(F.col("dst").alias("owner"), F.col("src").alias("elem"))
+            return sets.multi_delete(chunks.join(owned, "owner", "left_anti"), dead.join(owned, "owner", "left_anti"), self.b, self.seed)
+
+        chunks = left(self.chunks, self.in_chunks)
+        into = None if self.into is None else left(self.into, self.chunks)
+        out = self._without(chunks, into)
+        return replace(out, isolated=out.isolated.join(gone, "vid", "left_anti"))
 
     def apply(self, updates: DataFrame) -> "Graph":
         """updates: seq, op ('I' or 'D'), src, dst[, weight]; of one edge's operations the one of largest seq counts."""
@@ -123,21 +156,35 @@ class Graph:
 
     # --------------------------------------------------------------------------------------------------------- layout
 
+    @property
+    def codec(self) -> str:
+        return codec_of(self.chunks)
+
+    def recoded(self, codec: str) -> "Graph":
+        change = lambda df: None if df is None else coded(opened(df), codec)
+        return replace(self, chunks=change(self.chunks), into=change(self.into), flat=False)
+
     def flat_snapshot(self) -> "Graph":
-        """The chunk table dealt by vertex and kept in memory, for many queries; hubs stay several rows."""
-        kept = self.chunks.repartition("owner").sortWithinPartitions("owner", F.col("head").asc_nulls_first()).persist()
-        return replace(self, chunks=kept, flat=True)
+        """The chunk rows, opened and kept in memory, for many queries; dealt by vertex and head, so that a hub's chunks are
+        in all partitions."""
+        kept = lambda df: opened(df).repartition("owner", "head").persist()
+        return replace(self, chunks=kept(self.chunks), into=None if self.into is None else kept(self.into), flat=True)
+
+    def transposed(self) -> "Graph":
+        return self if self.into is None else replace(self, chunks=self.into, into=self.chunks)
 
     def release(self) -> None:
         if self.flat:
             self.chunks.unpersist()
+            if self.into is not None:
+                self.into.unpersist()
 
 
 class VertexSubset:
-    """A set of vertices: a frame of ids (sparse), or a bitmap (dense)."""
+    """A set of vertices: a frame of ids (sparse), or bitmaps (dense)."""
 
     def __init__(self, frame: DataFrame):
-        self.frame = frame.select("vid").distinct()
+        self.frame = frame.select("vid").where("vid IS NOT NULL").distinct()
 
     def size(self) -> DataFrame:
         return self.frame.agg(F.count("*").alias("size"))
@@ -146,62 +193,119 @@ class VertexSubset:
         """(bucket, bits): one bitmap a bucket of 32,768 ids."""
         return self.frame.groupBy(F.call_function("bitmap_bucket_number", "vid").alias("bucket")).agg(F.call_function("bitmap_construct_agg", F.call_function("bitmap_bit_position", "vid")).alias("bits"))
 
+    @staticmethod
+    def from_dense(bitmaps: DataFrame) -> "VertexSubset":
+        """The ids of `to_dense` again: of a bucket k > 0 the bits are (k - 1) * 32,768 + 1 and on, else k * 32,768 and down."""
+        place = F.explode(F.sequence(F.lit(0), F.octet_length("bits") * 8 - 1)).alias("p")
+        byte = F.conv(F.hex(F.substring("bits", F.shiftright("p", 3) + 1, F.lit(1))), 16, 10).cast("int")
+        set_ = bitmaps.select("bucket", "bits", place).where(F.call_function("getbit", byte, F.col("p").bitwiseAND(7)) == 1)
+        return VertexSubset(set_.select(F.when(F.col("bucket") > 0, (F.col("bucket") - 1) * 32768 + F.col("p") + 1).otherwise(F.col("bucket") * 32768 - F.col("p")).cast("long").alias("vid")))
+
     def union(self, other: "VertexSubset") -> "VertexSubset":
         return VertexSubset(self.frame.unionByName(other.frame))
 
+    def intersect(self, other: "VertexSubset") -> "VertexSubset":
+        return VertexSubset(self.frame.join(other.frame, "vid", "left_semi"))
+
     def minus(self, other: "VertexSubset") -> "VertexSubset":
         return VertexSubset(self.frame.join(other.frame, "vid", "left_anti"))
 
 
-def vertex_filter(subset: DataFrame, condition: Column) -> DataFrame:
-    return subset.where(condition)
+def _frame(subset) -> DataFrame:
+    return subset.frame if isinstance(subset, VertexSubset) else subset
 
 
-def vertex_map(subset: DataFrame, **columns: Column) -> DataFrame:
-    return subset.withColumns(columns)
+def vertex_filter(subset, condition: Column, about: DataFrame | None = None) -> VertexSubset:
+    """The vertices of a subset that meet a condition on their columns, or on those of `about` (vid, ...)."""
+    frame = _frame(subset)
+    return VertexSubset((frame if about is None else frame.join(about, "vid")).where(condition))
 
 
-def frontier_bits(frontier: DataFrame) -> Column | None:
-    """A test for membership of `x` in the frontier as a constant bitmap; None when its ids are too large for one."""
-    top = frontier.agg(F.max("vid")).first()[0]
-    return bit_literal(bitmap_words(frontier, "vid")) if top is not None and top < MOST_LITERAL_ID else None
+def vertex_map(subset, **columns: Column) -> DataFrame:
+    """The subset with a value computed for each vertex."""
+    return _frame(subset).withColumns(columns)
 
 
-def sparse_pairs(chunks: DataFrame, frontier: DataFrame) -> DataFrame:
-    """(src, dst) of all edges that leave the frontier: the frontier meets the chunk table, then chunks are opened."""
-    met = chunks.join(frontier.select(F.col("vid").alias("owner")), "owner", "left_semi")
-    return met.select(F.col("owner").alias("src"), F.explode(sets.all_elems()).alias("dst"))
+def frontier_bitmaps(frontier: DataFrame) -> DataFrame:
+    """(bucket, words): 512 words of 64 bits for each 32,768 ids that hold any of the frontier; negative ids too."""
+    at = F.col("vid").bitwiseAND((1 << BITMAP_BITS) - 1)
+    bit = F.call_function("shiftleft", F.lit(1).cast("long"), F.col("vid").bitwiseAND(63).cast("int"))
+    words = frontier.groupBy(F.shiftright("vid", BITMAP_BITS).alias("bucket"), F.shiftright(at, 6).cast("int").alias("w")).agg(F.bit_or(bit).alias("v"))
+    table = words.groupBy("bucket").agg(F.map_from_entries(F.collect_list(F.struct("w", "v"))).alias("m"))  # 512 entries at most
+    return table.select("bucket", F.transform(F.sequence(F.lit(0), F.lit((1 << BITMAP_BITS - 6) - 1)), lambda k: F.coalesce(F.try_element_at("m", k), F.lit(0).cast("long"))).alias("words"))
 
 
-def edge_map(g: Graph, frontier: DataFrame, allowed=None, mode: str = "sparse") -> DataFrame:
-    """(dst, src): every allowed target of an edge from the frontier, with its least source in the frontier.
+def out_pairs(chunks: DataFrame, frontier: DataFrame) -> DataFrame:
+    """(src, dst, ...) of all edges that leave the frontier (vid, ...), with the frontier's other columns, once for each of
+    its rows. The frontier meets the chunk table first, so only its vertices' chunks are opened."""
+    extra = [c for c in frontier.columns if c != "vid"]
+    met = chunks.join(frontier.withColumnRenamed("vid", "owner"), "owner", "inner" if extra else "left_semi")
+    return opened(met).select(F.col("owner").alias("src"), F.explode(sets.all_elems()).alias("dst"), *extra)
 
-    allowed(frame with dst) -> frame: the condition on targets, as a join or filter. sparse: edges leave the frontier and
-    are shuffled by target. dense: every allowed vertex looks through its in-neighbours for frontier members; edges stay
-    where they are. Both give the same rows.
-    """
-    if mode == "dense":
-        targets = g.in_chunks.withColumnRenamed("owner", "dst")
-        targets = allowed(targets) if allowed else targets
-        bits = frontier_bits(frontier)
-        if bits is not None:
-            least = F.array_min(F.filter(sets.all_elems(), lambda x: has_bit(bits, x)))
-            return targets.select("dst", least.alias("src")).where("src IS NOT NULL").groupBy("dst").agg(F.min("src").alias("src"))
-        opened = targets.select("dst", F.explode(sets.all_elems()).alias("src"))
-        return opened.join(frontier.select(F.col("vid").alias("src")), "src", "left_semi").groupBy("dst").agg(F.min("src").alias("src"))
-    found = sparse_pairs(g.chunks, frontier).groupBy("dst").agg(F.min("src").alias("src"))
-    return allowed(found) if allowed else found
+
+def out_work(g: Graph, frontier: DataFrame) -> tuple[int, int, int]:
+    """(vertices of the frontier, edges out of it, all edges)."""
+    mark = frontier.select(F.col("vid").alias("owner"), F.lit(1).alias("_f")).distinct()
+    row = g.chunks.join(mark, "owner", "left").agg(F.coalesce(F.sum(F.when(F.col("_f") == 1, sets.weight())), F.lit(0)).alias("out"), F.coalesce(F.sum(sets.weight()), F.lit(0)).alias("m")).first()
+    return frontier.select("vid").distinct().count(), row["out"], row["m"]
 
 
 def choose_mode(size: int, out_edges: int, m: int, share: int = DENSE_SHARE) -> str:
     return "dense" if size + out_edges > m / share else "sparse"
 
 
+def edge_map(g: Graph, frontier, allowed=None, mode: str = "auto", update: dict[str, Column] | None = None, accept: Column | None = None, share: int = DENSE_SHARE, buckets: int | None = None) -> DataFrame:
+    """Applies an update along all edges from a frontier to allowed targets: (dst, one column a name in `update`).
+
+    frontier: a VertexSubset, or a frame (vid, ...) whose other columns the update can read. allowed(frame with dst) ->
+    frame: the condition on targets, as a join or filter. update: aggregates over a target's edges, on src, dst and the
+    frontier's columns; by default src, the least source. accept: a condition on the aggregates; targets where it holds
+    are the new subset (`VertexSubset(out.withColumnRenamed("dst", "vid"))`).
+
+    sparse: edges leave the frontier and are shuffled by target, after a map-side aggregate. dense: every allowed target
+    looks through its own in-neighbours; without columns to carry, membership is a test against the frontier's bitmaps,
+    which are broadcast, so that no edge is moved. auto chooses by the frontier's size and edges against m / share.
+    All give the same rows. buckets: number of the frontier's bitmaps, if known.
+    """
+    frame = _frame(frontier)
+    update = update or {"src": F.min("src")}
+    extra = [c for c in frame.columns if c != "vid"]
+    if mode == "auto":
+        mode = choose_mode(*out_work(g, frame), share)
+    if mode == "dense":
+        targets = g.in_chunks.withColumnRenamed("owner", "dst")
+        near = opened(allowed(targets) if allowed else targets).select("dst", F.explode(sets.all_elems()).alias("src"))
+        if extra:
+            pairs = near.join(frame.withColumnRenamed("vid", "src"), "src")
+        else:
+            known = frame.select("vid").distinct() if buckets is None else frame
+            bitmaps = frontier_bitmaps(known)
+            count = known.agg(F.count_distinct(F.shiftright("vid", BITMAP_BITS))).first()[0] if buckets is None else buckets
+            met = near.withColumn("bucket", F.shiftright("src", BITMAP_BITS)).join(F.broadcast(bitmaps) if count <= MOST_BITMAPS else bitmaps, "bucket")
+            word = F.get("words", F.shiftright(F.col("src").bitwiseAND((1 << BITMAP_BITS) - 1), 6).cast("int"))
+            pairs = met.where(F.call_function("getbit", word, F.col("src").bitwiseAND(63).cast("int")) == 1)
+        out = pairs.groupBy("dst").agg(*(c.alias(n) for n, c in update.items()))
+    else:
+        found = out_pairs(g.chunks, frame).groupBy("dst").agg(*(c.alias(n) for n, c in update.items()))
+        out = allowed(found) if allowed else found
+    return out if accept is None else out.where(accept)
+
+
 def two_hop(g: Graph, sources: DataFrame, exact: bool = False) -> DataFrame:
-    """sources (src) -> (src, vid): the source, its neighbours and theirs; with exact, the ring at two hops alone."""
-    step = sets.entries(g.chunks).select("owner", "elem")
+    """sources (src) -> (src, vid): the source, its neighbours and theirs; with exact, the ring at two hops alone. Only the
+    chunks of the sources and of their neighbours are opened."""
     s = sources.select("src").distinct()
-    one = s.join(step, F.col("src") == F.col("owner")).select("src", F.col("elem").alias("vid"))
-    two = one.join(step, F.col("vid") == F.col("owner")).select("src", F.col("elem").alias("vid")).distinct()
+    step = lambda at: out_pairs(g.chunks, at).select(F.col("q").alias("src"), F.col("dst").alias("vid")).distinct()
+    one = step(s.select(F.col("src").alias("vid"), F.col("src").alias("q")))
+    two = step(one.select("vid", F.col("src").alias("q")))
     near = s.select("src", F.col("src").alias("vid")).unionByName(one)
     return two.join(near, ["src", "vid"], "left_anti") if exact else near.unionByName(two).distinct()
+
+
+def two_hop_work(g: Graph, sources: DataFrame) -> DataFrame:
+    """One row: chunks of the graph, chunks that a two-hop query opens at most, edges that it reads."""
+    s = sources.select("src").distinct()
+    one = out_pairs(g.chunks, s.withColumnRenamed("src", "vid")).select(F.col("dst").alias("vid"))
+    reached = s.withColumnRenamed("src", "vid").unionByName(one).distinct().select(F.col("vid").alias("owner"), F.lit(1).alias("_f"))
+    hit = F.col("_f").isNotNull()
+    return g.chunks.join(reached, "owner", "left").agg(F.count("*").alias("chunks"), F.sum(hit.cast("long")).alias("opened"), F.sum(F.when(hit, sets.weight()).otherwise(0)).cast("long").alias("edges_read"))

@@ -4,7 +4,9 @@ A set belongs to an `owner`. Its heads are the elements whose hash is 0 modulo b
 the next head; elements before the first head are the prefix (head is null). Heads depend on the element alone, so the
 layout of a set does not depend on how it came about, and what a recursive split would look for is a join.
 
-chunk rows: owner, head, lo, hi, cnt (tail without its head), elems (sorted), and with values vals (aligned), agg.
+chunk rows: owner, head, lo, hi, cnt (tail without its head), elems (sorted), and with values vals (aligned), agg. In
+place of elems a chunk may hold its tail coded (see `codec`); operations take any codec, open the rows they have chosen,
+and give rows of the same codec back.
 """
 
 from __future__ import annotations
@@ -12,14 +14,21 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.codec import COLUMNS, codec_of, coded, opened
 from ..functions.hashing import is_head
 
 DEFAULT_B = 256
 _FOLDS = {"sum": F.sum, "min": F.min, "max": F.max, "count": F.count}
+#: How values that are folded already are folded again.
+_AGAIN = {"count": "sum"}
 
 
 def fold(df: DataFrame, combine: str = "last", order: str | None = None) -> DataFrame:
-    """(owner, elem[, val]) with each element once, values folded."""
+    """(owner, elem[, val]) with each element once, values folded; rows without an owner or element go.
+
+    last and first go by the column `order`; without one there is no order among rows, and the largest (least) value counts.
+    """
+    df = df.where("owner IS NOT NULL AND elem IS NOT NULL")
     if "val" not in df.columns:
         return df.select("owner", "elem").distinct()
     value = _FOLDS[combine]("val") if combine in _FOLDS else (F.max_by if combine == "last" else F.min_by)("val", order or "val")
@@ -51,13 +60,14 @@ def rechunk(assigned: DataFrame) -> DataFrame:
     return out.select("owner", "head", "lo", "hi", "cnt", F.col("_p.elem").alias("elems"), F.col("_p.val").alias("vals"), "head_val", "agg")
 
 
-def build(df: DataFrame, b: int = DEFAULT_B, seed: int = 0, combine: str = "last", order: str | None = None, span: int | None = None) -> DataFrame:
+def build(df: DataFrame, b: int = DEFAULT_B, seed: int = 0, combine: str = "last", order: str | None = None, span: int | None = None, codec: str = "plain") -> DataFrame:
     """Sets from (owner, elem[, val]) rows in any order, with duplicates."""
-    return rechunk(assign_heads(fold(df, combine, order), b, seed, span))
+    return coded(rechunk(assign_heads(fold(df, combine, order), b, seed, span)), codec)
 
 
 def entries(chunks: DataFrame) -> DataFrame:
     """(owner, head, elem[, val]): every element with its chunk."""
+    chunks = opened(chunks)
     if "vals" in chunks.columns:
         tail = F.arrays_zip(F.col("elems").alias("elem"), F.col("vals").alias("val"))
         own = F.when(F.col("head").isNotNull(), F.array(F.struct(F.col("head").alias("elem"), F.col("head_val").alias("val"))))
@@ -84,8 +94,10 @@ def locate_chunk(chunks: DataFrame, probes: DataFrame) -> DataFrame:
 def find(chunks: DataFrame, probes: DataFrame) -> DataFrame:
     """probes with `pred`: the largest element that is at most e, null where there is none."""
     at = locate_chunk(chunks, probes)
-    side = chunks.select(F.col("owner").alias("_o"), F.col("head").alias("_h"), "elems")
+    tail = COLUMNS[codec_of(chunks)]
+    side = chunks.select(F.col("owner").alias("_o"), F.col("head").alias("_h"), tail)
     met = at.join(side, (F.col("owner") == F.col("_o")) & F.col("found_head").eqNullSafe(F.col("_h")), "left")
+    met = opened(met)
     below = F.array_max(F.filter("elems", lambda x: x <= F.col("e")))
     return met.withColumn("pred", F.coalesce(below, "found_head")).drop("_o", "_h", "elems", "found_head")
 
@@ -126,45 +138,47 @@ def _split_touched(chunks: DataFrame, hit: DataFrame) -> tuple[DataFrame, DataFr
 
 
 def union(a: DataFrame, delta: DataFrame, b: int = DEFAULT_B, seed: int = 0, combine: str = "last") -> DataFrame:
-    """Chunked set a with the entries of delta (owner, elem[, val]); values of both sides are folded (last: delta's).
+    """Chunked set a with the entries of delta (owner, elem[, val], each element once); values of both sides are folded
+    (last: delta's; count: counts are added).
 
     Only chunks that the delta touches are opened; a new head cuts its chunk. The others pass as they are.
     """
     changed, same = _split_touched(a, touched(a, delta, b, seed))
-    opened = entries(changed).drop("head")
+    inside = entries(changed).drop("head")
     if "vals" in a.columns:
-        both = opened.withColumn("_side", F.lit(0)).unionByName(delta.select("owner", "elem", "val").withColumn("_side", F.lit(1)))
-        merged = fold(both, combine, "_side")
+        both = inside.withColumn("_side", F.lit(0)).unionByName(delta.select("owner", "elem", "val").withColumn("_side", F.lit(1)))
+        merged = fold(both, _AGAIN.get(combine, combine), "_side")
     else:
-        merged = opened.unionByName(delta.select("owner", "elem")).distinct()
-    # an opened chunk starts at its own head, so heads found among the opened elements of an owner are the true ones
-    hit = changed.select("owner", F.col("head").alias("_from")).distinct()
-    return same.unionByName(rechunk(_reassign(merged, hit, b, seed)))
-
-
-def _reassign(merged: DataFrame, hit: DataFrame, b: int, seed: int) -> DataFrame:
-    """Heads for the elements of some chunks of an owner. Each such chunk began with a head (or is the prefix), so the
-    last head at or before an element is among them; only the prefix has elements without one."""
-    return assign_heads(merged, b, seed)
+        merged = inside.unionByName(delta.select("owner", "elem")).distinct()
+    # an opened chunk starts at its own head, so the last head at or before an element is among the opened elements
+    return same.unionByName(coded(rechunk(assign_heads(merged, b, seed)), codec_of(a)))
 
 
 def difference(a: DataFrame, delta: DataFrame, b: int = DEFAULT_B, seed: int = 0) -> DataFrame:
     """Chunked set a without the elements of delta. A chunk whose head goes is handed to the head before it."""
     changed, same = _split_touched(a, touched(a, delta, b, seed, removing=True))
     left = entries(changed).drop("head").join(delta.select("owner", "elem").distinct(), ["owner", "elem"], "left_anti")
-    return same.unionByName(rechunk(assign_heads(left, b, seed)))
+    return same.unionByName(coded(rechunk(assign_heads(left, b, seed)), codec_of(a)))
 
 
-def intersect(a: DataFrame, c: DataFrame) -> DataFrame:
-    """Common elements. Heads of the result are the heads that both have, so tails are joined again by their last head."""
-    both = entries(a).select("owner", "elem").join(entries(c).select("owner", "elem"), ["owner", "elem"], "left_semi")
+def intersect(a: DataFrame, c: DataFrame, combine: str = "last") -> DataFrame:
+    """Common elements. Heads of the result are the heads that both have, so tails are joined again by their last head.
+    Where both sides have values these are folded (last: c's); where only a has, its own stay."""
+    left, right = entries(a).drop("head"), entries(c).drop("head")
+    if "val" not in left.columns or "val" not in right.columns:
+        both = left.join(right.select("owner", "elem"), ["owner", "elem"], "left_semi")
+    else:
+        met = left.join(right.withColumnRenamed("val", "_other"), ["owner", "elem"])
+        how = {"sum": F.col("val") + F.col("_other"), "count": F.col("val") + F.col("_other"), "min": F.least("val", "_other"), "max": F.greatest("val", "_other"), "last": F.col("_other"), "first": F.col("val")}
+        both = met.select("owner", "elem", how[combine].alias("val"))
     heads = a.where(F.col("head").isNotNull()).select("owner", F.col("head").alias("elem")).withColumn("_own", F.col("elem"))
     w = Window.partitionBy("owner").orderBy("elem")
-    return rechunk(both.join(heads, ["owner", "elem"], "left").withColumn("head", F.last("_own", ignorenulls=True).over(w)).drop("_own"))
+    return coded(rechunk(both.join(heads, ["owner", "elem"], "left").withColumn("head", F.last("_own", ignorenulls=True).over(w)).drop("_own")), codec_of(a))
 
 
-def multi_insert(a: DataFrame, batch: DataFrame, b: int = DEFAULT_B, seed: int = 0, combine: str = "last") -> DataFrame:
-    return union(a, fold(batch, combine if combine != "last" else "max"), b, seed, combine)
+def multi_insert(a: DataFrame, batch: DataFrame, b: int = DEFAULT_B, seed: int = 0, combine: str = "last", order: str | None = None) -> DataFrame:
+    """batch: owner, elem[, val], elements repeated in any way; its own values are folded first, by `order` for last and first."""
+    return union(a, fold(batch, combine, order), b, seed, combine)
 
 
 def multi_delete(a: DataFrame, batch: DataFrame, b: int = DEFAULT_B, seed: int = 0) -> DataFrame:
@@ -175,7 +189,7 @@ def union_prefix(prefixes: DataFrame, chunks: DataFrame, b: int = DEFAULT_B, see
     """Union where one side consists of prefixes only (no heads): its elements go to prefixes and tails, none becomes a head."""
     at = locate_chunk(chunks, _marked(entries(prefixes), [])).select("owner", F.col("found_head").alias("head"), F.col("e").alias("elem"))
     changed, same = _split_touched(chunks, at.select("owner", "head").distinct())
-    return same.unionByName(rechunk(entries(changed).unionByName(at).distinct()))
+    return same.unionByName(coded(rechunk(entries(changed).unionByName(at).distinct()), codec_of(chunks)))
 
 
 def split(chunks: DataFrame, k: int) -> tuple[DataFrame, DataFrame, DataFrame]:
@@ -185,18 +199,10 @@ def split(chunks: DataFrame, k: int) -> tuple[DataFrame, DataFrame, DataFrame]:
     low = chunks.where(last < k)
     high = chunks.where(first > k)
     cut = chunks.where((first <= k) & (last >= k))
-    opened = entries(cut)
-    below = rechunk(opened.where(F.col("elem") < k))
-    above = rechunk(opened.where(F.col("elem") > k).withColumn("head", F.lit(None).cast("long")))
-    return low.unionByName(below), opened.where(F.col("elem") == k).select("owner").distinct(), high.unionByName(above)
-
-
-def split_chunk(elems: Column, k) -> tuple[Column, Column]:
-    return F.filter(elems, lambda x: x < k), F.filter(elems, lambda x: x > k)
-
-
-def union_chunk(a: Column, c: Column) -> Column:
-    return F.array_sort(F.array_union(a, c))
+    inside, how = entries(cut), codec_of(chunks)
+    below = coded(rechunk(inside.where(F.col("elem") < k)), how)
+    above = coded(rechunk(inside.where(F.col("elem") > k).withColumn("head", F.lit(None).cast("long"))), how)
+    return low.unionByName(below), inside.where(F.col("elem") == k).select("owner").distinct(), high.unionByName(above)
 
 
 def smallest_head(chunks: DataFrame) -> DataFrame:
@@ -204,7 +210,14 @@ def smallest_head(chunks: DataFrame) -> DataFrame:
 
 
 def concat_sets(left: DataFrame, middle: DataFrame, right: DataFrame, b: int = DEFAULT_B, seed: int = 0) -> DataFrame:
-    """left < middle (owner, elem) < right in every owner. The middle and the right side's prefix join the left's last chunk."""
+    """left < middle (owner, elem) < right in every owner, else a ValueError. The middle and the right side's prefix join
+    the left's last chunk."""
+    bounds = lambda df, low, high, name: df.groupBy("owner").agg(F.min(low).alias(f"{name}_low"), F.max(high).alias(f"{name}_high"))
+    first, last = F.coalesce("head", "lo"), F.coalesce("hi", "head")
+    met = bounds(left, first, last, "l").join(bounds(middle, "elem", "elem", "m"), "owner", "full").join(bounds(right, first, last, "r"), "owner", "full")
+    crossed = (F.col("l_high") >= F.col("m_low")) | (F.col("m_high") >= F.col("r_low")) | (F.col("l_high") >= F.col("r_low"))
+    if met.where(crossed).take(1):
+        raise ValueError("the sets to concatenate overlap")
     loose = entries(right.where(F.col("head").isNull())).drop("head").unionByName(middle.select("owner", "elem"))
     fixed = right.where(F.col("head").isNotNull())
     return union(left, loose, b, seed).unionByName(fixed)
@@ -233,20 +246,27 @@ def select_kth(chunks: DataFrame, k: int) -> DataFrame:
     """(owner, elem): the k-th smallest element, from 1; running sums over chunks find the chunk to open."""
     w = Window.partitionBy("owner").orderBy(F.col("head").asc_nulls_first())
     counted = chunks.withColumn("upto", F.sum(weight()).over(w)).withColumn("before", F.col("upto") - weight())
-    return counted.where((F.col("before") < k) & (F.col("upto") >= k)).select("owner", F.element_at(all_elems(), (F.lit(k) - F.col("before")).cast("int")).alias("elem"))
+    return opened(counted.where((F.col("before") < k) & (F.col("upto") >= k))).select("owner", F.element_at(all_elems(), (F.lit(k) - F.col("before")).cast("int")).alias("elem"))
 
 
 def rank(chunks: DataFrame, probes: DataFrame) -> DataFrame:
-    """probes (owner, e) with `rank`: elements below e."""
-    met = chunks.join(probes, "owner").select("owner", "e", F.when(F.coalesce("hi", "head") < F.col("e"), weight()).otherwise(F.size(F.filter(all_elems(), lambda x: x < F.col("e")))).alias("n"))
-    return met.groupBy("owner", "e").agg(F.sum("n").cast("long").alias("rank"))
+    """probes (owner, e) with `rank`: elements below e. The chunk of each probe alone is opened; what lies before it is
+    a running sum of chunk sizes."""
+    w = Window.partitionBy("owner").orderBy(F.col("head").asc_nulls_first()).rowsBetween(Window.unboundedPreceding, -1)
+    before = chunks.select("owner", "head", COLUMNS[codec_of(chunks)], F.coalesce(F.sum(weight()).over(w), F.lit(0)).alias("_before"))
+    side = before.withColumnsRenamed({"owner": "_o", "head": "_h"})
+    known = chunks.select("owner").distinct()
+    at = locate_chunk(chunks, probes.select("owner", "e").distinct().join(known, "owner", "left_semi"))
+    met = opened(at.join(side, (F.col("owner") == F.col("_o")) & F.col("found_head").eqNullSafe(F.col("_h")), "left"))
+    inside = F.size(F.filter(F.coalesce("elems", F.array().cast("array<bigint>")), lambda x: x < F.col("e"))) + F.coalesce((F.col("found_head") < F.col("e")).cast("int"), F.lit(0))
+    return met.select("owner", "e", (F.coalesce("_before", F.lit(0)) + inside).cast("long").alias("rank"))
 
 
 def range_agg(chunks: DataFrame, ranges: DataFrame) -> DataFrame:
     """ranges (owner, lo_bound, hi_bound) with `total`: sum of values in the closed range. Chunks inside it give their
     stored sum; only chunks at the border are opened."""
     met = chunks.join(ranges, "owner").withColumn("first", F.coalesce("head", "lo")).withColumn("last", F.coalesce("hi", "head"))
-    met = met.where((F.col("last") >= F.col("lo_bound")) & (F.col("first") <= F.col("hi_bound")))
+    met = opened(met.where((F.col("last") >= F.col("lo_bound")) & (F.col("first") <= F.col("hi_bound"))))
     inside = (F.col("first") >= F.col("lo_bound")) & (F.col("last") <= F.col("hi_bound"))
     within = lambda x: (x >= F.col("lo_bound")) & (x <= F.col("hi_bound"))
     tail = F.aggregate(F.filter(F.arrays_zip("elems", "vals"), lambda p: within(p["elems"])), F.lit(0.0), lambda s, p: s + p["vals"])
@@ -269,12 +289,13 @@ def first_elements(chunks: DataFrame, k: int) -> DataFrame:
     """The k smallest elements of each owner, opening no more chunks than hold them."""
     w = Window.partitionBy("owner").orderBy(F.col("head").asc_nulls_first()).rowsBetween(Window.unboundedPreceding, -1)
     near = chunks.withColumn("before", F.coalesce(F.sum(weight()).over(w), F.lit(0))).where(F.col("before") < k)
-    return near.select("owner", F.posexplode(all_elems()), "before").where(F.col("pos") + F.col("before") < k).select("owner", F.col("col").alias("elem"))
+    return opened(near).select("owner", F.posexplode(all_elems()), "before").where(F.col("pos") + F.col("before") < k).select("owner", F.col("col").alias("elem"))
 
 
 def chunk_stats(chunks: DataFrame) -> DataFrame:
-    """One row: sets, heads, prefixes, elements, mean and largest tail."""
-    return chunks.agg(
-        F.count_distinct("owner").alias("sets"), F.count("head").alias("heads"), F.sum(F.col("head").isNull().cast("long")).alias("prefixes"),
-        F.sum(weight()).cast("long").alias("elements"), F.max("cnt").cast("long").alias("largest"),
+    """One row: sets, heads, prefixes, elements, mean and largest tail, height of a balanced tree over the most heads of a set."""
+    each = chunks.groupBy("owner").agg(F.count("head").alias("h"), F.sum(F.col("head").isNull().cast("long")).alias("p"), F.sum(weight()).alias("e"), F.max("cnt").alias("x"), F.sum("cnt").alias("t"))
+    return each.agg(
+        F.count("*").alias("sets"), F.sum("h").alias("heads"), F.sum("p").alias("prefixes"), F.sum("e").cast("long").alias("elements"), F.max("x").cast("long").alias("largest"),
+        (F.sum("t") / F.sum(F.col("h") + F.col("p"))).alias("mean"), F.ceil(F.log2(F.max("h") + 1)).cast("int").alias("height"),
     )

@@ -4,8 +4,7 @@ from __future__ import annotations
 
 import uuid
 
-from pyspark.sql import Column, DataFrame, SparkSession
-from pyspark.sql import functions as F
+from pyspark.sql import DataFrame, SparkSession
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -24,21 +23,9 @@ def settle(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def is_empty(df: DataFrame) -> bool:
-    return not df.take(1)
-
-
-def bit_literal(words: dict[int, int]) -> Column:
-    """A bitmap as a constant array of 64-bit words."""
-    size = max(words, default=0) + 1
-    return F.from_json(F.lit("[" + ",".join(str(words.get(k, 0)) for k in range(size)) + "]"), "array<bigint>")
-
-
-def bitmap_words(df: DataFrame, column: str) -> dict[int, int]:
-    """Bits set at the values of a column of non-negative ids, as words; the caller has checked the largest id."""
-    one = F.call_function("shiftleft", F.lit(1).cast("long"), (F.col(column) % 64).cast("int"))
-    return {r["k"]: r["v"] for r in df.groupBy(F.shiftright(column, 6).alias("k")).agg(F.bit_or(one).alias("v")).collect()}
-
-
-def has_bit(bits: Column, x: Column) -> Column:
-    return F.coalesce(F.call_function("getbit", F.get(bits, F.shiftright(x, 6).cast("int")), (x % 64).cast("int")) == 1, F.lit(False))
+def forget(df: DataFrame) -> None:
+    """Delete what `settle` wrote, once no later plan reads it."""
+    spark = df.sparkSession
+    for folder in {f.rpartition("/")[0] for f in df.inputFiles()}:
+        path = spark._jvm.org.apache.hadoop.fs.Path(folder)
+        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)

@@ -1,22 +1,25 @@
-"""The update generator as a Python data source, for batch reads and as an endless stream."""
+"""The update generator as a Python data source, for batch reads and as an endless stream; both draw whole Arrow batches."""
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition, SimpleDataSourceStreamReader
 
-from ..functions.hashing import MODULUS, portable_hash_int
+from ..functions.hashing import MODULUS, portable_hash_array
 
-#: Rows of one partition of a batch read, or of one fetch of a stream.
-ROWS = 2000
+#: Rows of one partition of a batch read, of one Arrow batch, and of one fetch of a stream.
+PARTITION_ROWS, BATCH_ROWS, FETCH_ROWS = 1 << 22, 1 << 16, 2000
 
 
-def draw(i: int, scale: int, seed: int) -> tuple[int, int, int]:
-    """The i-th draw; the same as `rmat` gives."""
-    src = dst = 0
+def draws(first: int, end: int, scale: int, seed: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Draws first to end - 1 as (i, src, dst); the same as `rmat` gives."""
+    i = np.arange(first, end, dtype=np.int64)
+    src, dst = np.zeros(len(i), np.int64), np.zeros(len(i), np.int64)
     for level in range(scale):
-        u = portable_hash_int(i, seed + level) * 10
+        u = portable_hash_array(i, seed + level) * 10
         src = src * 2 + (u >= 6 * MODULUS)
-        dst = dst * 2 + (5 * MODULUS <= u < 6 * MODULUS or u >= 7 * MODULUS)
+        dst = dst * 2 + ((u >= 5 * MODULUS) & (u < 6 * MODULUS) | (u >= 7 * MODULUS))
     return i, src, dst
 
 
@@ -30,11 +33,12 @@ class _Reader(DataSourceReader):
         self.scale, self.count, self.seed = scale, count, seed
 
     def partitions(self):
-        return [_Range(k, min(self.count, k + ROWS)) for k in range(0, self.count, ROWS)]
+        return [_Range(k, min(self.count, k + PARTITION_ROWS)) for k in range(0, self.count, PARTITION_ROWS)]
 
     def read(self, partition):
-        for i in range(partition.first, partition.end):
-            yield draw(i, self.scale, self.seed)
+        for k in range(partition.first, partition.end, BATCH_ROWS):
+            columns = draws(k, min(partition.end, k + BATCH_ROWS), self.scale, self.seed)
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in columns], ["i", "src", "dst"])
 
 
 class _Stream(SimpleDataSourceStreamReader):
@@ -44,12 +48,15 @@ class _Stream(SimpleDataSourceStreamReader):
     def initialOffset(self):
         return {"at": 0}
 
+    def _rows(self, first, end):
+        return zip(*(c.tolist() for c in draws(first, end, self.scale, self.seed)))
+
     def read(self, start):
-        rows = [draw(i, self.scale, self.seed) for i in range(start["at"], start["at"] + ROWS)]
-        return iter(rows), {"at": start["at"] + ROWS}
+        end = start["at"] + FETCH_ROWS
+        return self._rows(start["at"], end), {"at": end}
 
     def readBetweenOffsets(self, start, end):
-        return iter([draw(i, self.scale, self.seed) for i in range(start["at"], end["at"])])
+        return self._rows(start["at"], end["at"])
 
     def commit(self, end):
         pass

@@ -150,6 +150,30 @@ def _(spark, d):
     return sets.entries(sets.build(t, 8, combine="last", order="o")).select("owner", "elem", "val")
 
 
+@check("insert_combine_count", f"SELECT owner, elem, count(*) AS val FROM ({_WEIGHTS}) GROUP BY owner, elem")
+def _(spark, d):
+    """Counts of a set and of a batch are added."""
+    w = weights(spark, d)
+    first = sets.build(w.where("val < 25"), 8, combine="count")
+    return sets.entries(sets.multi_insert(first, w.where("val >= 25"), 8, combine="count")).select("owner", "elem", "val")
+
+
+@check("insert_combine_last", "SELECT l_partkey AS owner, l_suppkey AS elem, arg_max(l_quantity, (l_orderkey * 10 + l_linenumber) * 1000 + l_quantity) AS val FROM lineitem GROUP BY 1, 2")
+def _(spark, d):
+    """A batch with an order: its last value of an element counts, and replaces the set's."""
+    order = (F.col("l_orderkey") * 10 + F.col("l_linenumber")) * 1000 + F.col("l_quantity")
+    t = table(spark, d, "lineitem").select(F.col("l_partkey").alias("owner"), F.col("l_suppkey").alias("elem"), F.col("l_quantity").alias("val"), order.alias("o"), "l_orderkey")
+    old, new = t.where("l_orderkey < 7000"), t.where("l_orderkey >= 7000")
+    return sets.entries(sets.multi_insert(sets.build(old, 8, combine="last", order="o"), new, 8, order="o")).select("owner", "elem", "val")
+
+
+@check("intersect_values_sum", f"WITH w AS (SELECT owner, elem, sum(val) AS val FROM ({_WEIGHTS}) GROUP BY owner, elem) SELECT owner, elem, round(2 * val, 6) AS val FROM w WHERE elem % 6 = 0")
+def _(spark, d):
+    w = sets.fold(weights(spark, d), "sum")
+    both = sets.intersect(sets.build(w.where("elem % 2 = 0"), 8), sets.build(w.where("elem % 3 = 0"), 8), "sum")
+    return sets.entries(both).select("owner", "elem", F.round("val", 6).alias("val"))
+
+
 @check("range_agg_sum", f"SELECT owner, CAST(10 AS INTEGER) AS lo_bound, CAST(60 AS INTEGER) AS hi_bound, round(sum(val), 6) AS total FROM ({_WEIGHTS}) WHERE elem BETWEEN 10 AND 60 GROUP BY owner")
 def _(spark, d):
     c = sets.build(weights(spark, d), 8, combine="sum")

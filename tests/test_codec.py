@@ -13,7 +13,7 @@ def test_byte_code_lengths():
     assert [len(encode_bytes(np.array([x]))) for x in EDGES] == [1, 1, 1, 2, 2, 3, 3, 4, 5, 6]
 
 
-@given(st.lists(st.integers(0, 2**62), max_size=60))
+@given(st.lists(st.integers(-(2**63), 2**63 - 1), max_size=60))
 @settings(max_examples=200, deadline=None)
 def test_byte_code_round_trip(values):
     assert decode_bytes(encode_bytes(np.array(values, np.int64))).tolist() == values

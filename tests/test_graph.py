@@ -10,6 +10,8 @@ from chunkgraph.plans.scratch import scratch_dir
 from chunkgraph.sources.graphs import rmat
 from chunkgraph.sources.store import VersionStore, WriterConflict
 
+from .conftest import DATA
+
 
 def both_ways(pairs):
     return sorted({(a, b) for a, b in pairs} | {(b, a) for a, b in pairs})
@@ -148,7 +150,7 @@ def test_two_writers_cannot_both_publish(spark):
 
     def write(k):
         try:
-            store._write(store.graph(0).chunks, parent, None, k)
+            store._write(store.graph(0), parent, None, k, parent["buckets"])
         except WriterConflict:
             lost.append(k)
 
@@ -197,3 +199,124 @@ def test_posting_index(spark):
     ids = lambda f: {r["doc_id"] for r in f.collect()}
     assert ids(index.and_("red", "blue")) == red & blue and ids(index.or_("red", "blue")) == red | blue and ids(index.minus("red", "blue")) == red - blue
     assert ids(index.remove_docs(df.where("doc_id < 10")).and_("red", "red")) == {k for k in red if k >= 10}
+
+
+def directed(spark, pairs, **options):
+    return Graph.from_edges(spark.createDataFrame(sorted(pairs), "src long, dst long"), directed=True, b=2, **options)
+
+
+def rows(df, *columns):
+    return sorted(map(tuple, df.select(*columns).collect()))
+
+
+def test_directed_graphs(spark):
+    edges = {(1, 2), (2, 3), (3, 1), (3, 4), (4, 3), (4, 9)}
+    g = directed(spark, edges)
+    assert rows(g.vertices(), "vid", "deg") == [(1, 1), (2, 1), (3, 2), (4, 2), (9, 0)]  # a sink is a vertex
+    left = g.delete_vertices(spark.createDataFrame([(3,)], "vid long"))
+    assert rows(left.edges(), "src", "dst") == [(1, 2), (4, 9)]
+    assert rows(left.transposed().edges(), "src", "dst") == [(2, 1), (9, 4)]
+    assert rows(left.vertices(), "vid") == [(1,), (2,), (4,), (9,)]
+    got = {r["vid"]: r["level"] for r in algorithms.bfs(g, 1).collect()}
+    assert got == {1: 0, 2: 1, 3: 2, 4: 3, 9: 4}
+    long = directed(spark, {(k, k + 1) for k in range(25)} | {(25, 0)})
+    assert {r["vid"]: r["level"] for r in algorithms.bfs(long, 0, "dense").collect()} == {k: k for k in range(26)}
+    half = Graph.from_edges(spark.createDataFrame([(0, 1), (1, 2), (2, 0)], "src long, dst long"))
+    with pytest.raises(ValueError):
+        algorithms.bfs(half, 0)
+
+
+def test_null_ends_are_no_edges(spark):
+    df = spark.createDataFrame([(1, 2), (2, 1), (None, 1), (1, None), (None, None)], "src long, dst long")
+    g = Graph.from_edges(df, vertices=spark.createDataFrame([(None,), (5,)], "vid long"))
+    assert tuple(g.counts().first()) == (3, 2)
+    assert tuple(g.insert_edges(df).counts().first()) == (3, 2) and tuple(g.delete_edges(df).counts().first()) == (3, 0)
+
+
+@pytest.mark.parametrize("codec", ["plain", "delta", "bytecode"])
+def test_store_keeps_all_of_a_graph(spark, codec):
+    edges = {(1, 2), (2, 3), (3, 1), (3, 4), (-7, 2**40)}
+    store = VersionStore(spark, scratch_dir(spark), b=2, buckets=4, codec=codec)
+    store.publish(directed(spark, edges, vertices=spark.createDataFrame([(50,), (1,)], "vid long")))
+    front = spark.createDataFrame([(1,), (-7,)], "vid long")
+    for mode in ("sparse", "dense"):
+        assert rows(edge_map(store.graph(), front, mode=mode), "dst", "src") == [(2, 1), (2**40, -7)]
+    assert store.graph().codec == codec and rows(store.graph().vertices(), "vid") == [(-7,), (1,), (2,), (3,), (4,), (50,), (2**40,)]
+    store.apply(spark.createDataFrame([(1, "D", 1, 2), (2, "D", 3, 4), (3, "I", 50, 1)], "seq long, op string, src long, dst long"), batch_id=5)
+    assert rows(store.graph().edges(), "src", "dst") == sorted((edges | {(50, 1)}) - {(1, 2), (3, 4)})
+    assert rows(store.graph().transposed().edges(), "src", "dst") == sorted((b, a) for a, b in (edges | {(50, 1)}) - {(1, 2), (3, 4)})
+    assert rows(store.history(), "version", "n", "m") == [(0, 7, 5), (1, 7, 4)]
+    near = store.graph(owners=spark.createDataFrame([(2,)], "owner long"))
+    assert (2, 3) in rows(near.edges(), "src", "dst")
+
+
+def test_weights_in_the_store(spark):
+    df = spark.createDataFrame([(1, 2, 1.0), (1, 2, 2.0), (2, 5, 4.0)], "src long, dst long, weight double")
+    store = VersionStore(spark, scratch_dir(spark), b=2, buckets=2)
+    store.publish(Graph.from_edges(df, directed=True, b=2, weight="weight", combine="sum"))
+    store.apply(spark.createDataFrame([(1, "I", 1, 2, 9.0), (2, "I", 1, 2, 5.0), (3, "D", 2, 5, 0.0)], "seq long, op string, src long, dst long, weight double"))
+    assert rows(store.graph().edges(), "src", "dst", "weight") == [(1, 2, 5.0)] and store.graph().total_weight().first()[0] == 5.0
+
+
+def test_readers_during_writes_see_whole_versions(spark):
+    """Every batch moves the only edge of a star's centre: a reader that pins a version sees one edge, both ways, never two
+    or none. A single copy that is overwritten in place (deletions first, then insertions) shows its readers states between."""
+    store, seen, stop = VersionStore(spark, scratch_dir(spark), b=2, buckets=2), [], threading.Event()
+    both = lambda v: [(0, v), (v, 0)]
+    store.publish(Graph.from_edges(spark.createDataFrame(both(1), "src long, dst long"), b=2))
+
+    def read():
+        while not stop.is_set():
+            held = store.acquire()
+            seen.append((held.version, rows(store.graph(held.version).edges(), "src", "dst")))
+            store.release(held)
+
+    reader = threading.Thread(target=read)
+    reader.start()
+    for v in (2, 3, 4):
+        batch = [(1, "D", *e) for e in both(v - 1)] + [(2, "I", *e) for e in both(v)]
+        store.apply(spark.createDataFrame(batch, "seq long, op string, src long, dst long"), batch_id=v)
+        store.gc()
+    stop.set()
+    reader.join()
+    assert seen and all(edges == sorted(both(version + 1)) for version, edges in seen)
+    path, between = scratch_dir(spark), []
+    spark.createDataFrame(both(1), "src long, dst long").write.parquet(path)
+    for step in ([], both(2)):  # the mutable copy: what was deleted is gone before the new edges are there
+        spark.createDataFrame(step, "src long, dst long").write.mode("overwrite").parquet(path)
+        between.append(rows(spark.read.schema("src long, dst long").parquet(path), "src", "dst"))
+    assert between == [[], both(2)]
+
+
+def test_codecs_give_the_same_chunks(spark):
+    edges = both_ways(random_pairs(9)) + [(-3, -40), (-40, -3), (-3, 2**50), (2**50, -3)]
+    df = spark.createDataFrame(edges, "src long, dst long")
+    plain = Graph.from_edges(df, b=4)
+    layout = lambda g: sorted(map(tuple, g.chunks.select("owner", "head", "lo", "hi", "cnt", "elems").collect()), key=repr)
+    for codec in ("delta", "bytecode"):
+        g = Graph.from_edges(df, b=4, codec=codec)
+        assert g.codec == codec and layout(g.recoded("plain")) == layout(plain)
+        new = spark.createDataFrame([(0, 500), (500, 0)], "src long, dst long")
+        assert layout(g.insert_edges(new).delete_edges(new).recoded("plain")) == layout(plain)
+
+
+def test_several_queries_on_one_snapshot(spark):
+    """Queries that start from the same flat snapshot while another thread's query runs on it too."""
+    pairs = random_pairs(12)
+    g, got = graph(spark, pairs).flat_snapshot(), {}
+
+    def run(v):
+        got[v] = {r["vid"]: (r["level"], r["parent"]) for r in algorithms.bfs(g, v).collect()}
+
+    threads = [threading.Thread(target=run, args=(v,)) for v in (0, 1, 2)]
+    [t.start() for t in threads]
+    [t.join() for t in threads]
+    assert all(got[v] == plain_bfs(pairs, v) for v in (0, 1, 2))
+    g.release()
+
+
+@pytest.mark.parametrize("name", ["input_statistics", "memory_by_format", "chunk_size_sweep", "analyses", "scaling", "flat_snapshot_ablation", "direction_ablation", "batch_throughput", "concurrent_updates", "against_streaming_baselines", "against_static_baselines", "local_queries", "index_updates"])
+def test_experiments_run(spark, name):
+    from chunkgraph.workloads import experiments
+
+    assert experiments.EXPERIMENTS[name](spark, DATA, **experiments.SMALL.get(name, {}))

@@ -122,3 +122,28 @@ def test_chunks_stay_within_their_bound(spark):
     c = sets.build(spark.range(n).select(F.lit(1).cast("long").alias("owner"), F.col("id").alias("elem")), b, span=4096)
     stats = sets.chunk_stats(c).first()
     assert 0.9 < stats["heads"] * b / n < 1.1 and stats["largest"] < b * math.log(n) * 1.5 and stats["elements"] == n
+
+
+def test_folds_of_a_set_and_a_batch(spark):
+    old = spark.createDataFrame([(1, 2, 3.0), (1, 3, 4.0)], SCHEMA + ", val double")
+    batch = spark.createDataFrame([(1, 2, 9.0, 1), (1, 2, 5.0, 2)], SCHEMA + ", val double, seq int")
+    value = lambda c: {r["elem"]: r["val"] for r in sets.entries(c).collect()}
+    assert value(sets.multi_insert(sets.build(old, 2), batch, 2, order="seq")) == {2: 5.0, 3: 4.0}
+    assert value(sets.multi_insert(sets.build(old, 2, combine="count"), batch, 2, combine="count")) == {2: 3, 3: 1}
+    assert value(sets.intersect(sets.build(old, 2), sets.build(batch.drop("seq"), 2, combine="max"), "sum")) == {2: 12.0}
+    assert value(sets.intersect(sets.build(old, 2), sets.build(frame(spark, {(1, 3)}), 2))) == {3: 4.0}
+
+
+def test_concatenation_checks_its_order(spark):
+    low, high = sets.build(frame(spark, {(1, 1), (1, 5)}), 2), sets.build(frame(spark, {(1, 9)}), 2)
+    assert as_dict(sets.concat_sets(low, frame(spark, {(1, 7)}), high, 2)) == chunks_of({(1, 1), (1, 5), (1, 7), (1, 9)}, 2)
+    for middle in ({(1, 4)}, {(1, 9)}, {(1, 12)}):
+        with pytest.raises(ValueError):
+            sets.concat_sets(low, frame(spark, middle), high, 2)
+
+
+def test_ranks_open_one_chunk_a_probe(spark):
+    a = {(o, x * 3) for o in (1, 2) for x in range(40)}
+    asked = spark.createDataFrame([(o, e) for o in (1, 2) for e in (-1, 0, 1, 17, 60, 117, 500)], "owner long, e long")
+    got = {(r["owner"], r["e"]): r["rank"] for r in sets.rank(sets.build(frame(spark, a), 4, codec="bytecode"), asked).collect()}
+    assert got == {(o, e): sum(x == o and y < e for x, y in a) for o, e in got} and len(got) == 14
