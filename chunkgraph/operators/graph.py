@@ -11,8 +11,8 @@ from ..functions.codec import codec_of, coded, opened
 from ..plans.scratch import settle
 from . import sets
 
-#: Bits of ids in a row of a frontier's bitmap, and how many rows (4 KiB each) are broadcast; beyond, they are joined by a shuffle.
-BITMAP_BITS, MOST_BITMAPS = 15, 1 << 14
+#: How many bitmaps of a frontier (4 KiB for 32,768 ids each) are broadcast; beyond, they are joined by a shuffle.
+MOST_BITMAPS = 1 << 14
 #: A frontier is dense when its vertices and their edges are over this share of all edges.
 DENSE_SHARE = 20
 
@@ -180,18 +180,27 @@ class Graph:
                 self.into.unpersist()
 
 
+def bucket_of(vid: str) -> Column:
+    return F.call_function("bitmap_bucket_number", vid)
+
+
 class VertexSubset:
     """A set of vertices: a frame of ids (sparse), or bitmaps (dense)."""
 
     def __init__(self, frame: DataFrame):
-        self.frame = frame.select("vid").where("vid IS NOT NULL").distinct()
+        self.listed = frame.select("vid").where("vid IS NOT NULL")
+
+    @property
+    def frame(self) -> DataFrame:
+        """Each vertex once."""
+        return self.listed.distinct()
 
     def size(self) -> DataFrame:
         return self.frame.agg(F.count("*").alias("size"))
 
     def to_dense(self) -> DataFrame:
         """(bucket, bits): one bitmap a bucket of 32,768 ids."""
-        return self.frame.groupBy(F.call_function("bitmap_bucket_number", "vid").alias("bucket")).agg(F.call_function("bitmap_construct_agg", F.call_function("bitmap_bit_position", "vid")).alias("bits"))
+        return self.listed.groupBy(bucket_of("vid").alias("bucket")).agg(F.call_function("bitmap_construct_agg", F.call_function("bitmap_bit_position", "vid")).alias("bits"))
 
     @staticmethod
     def from_dense(bitmaps: DataFrame) -> "VertexSubset":
@@ -227,12 +236,15 @@ def vertex_map(subset, **columns: Column) -> DataFrame:
 
 
 def frontier_bitmaps(frontier: DataFrame) -> DataFrame:
-    """(bucket, words): 512 words of 64 bits for each 32,768 ids that hold any of the frontier; negative ids too."""
-    at = F.col("vid").bitwiseAND((1 << BITMAP_BITS) - 1)
-    bit = F.call_function("shiftleft", F.lit(1).cast("long"), F.col("vid").bitwiseAND(63).cast("int"))
-    words = frontier.groupBy(F.shiftright("vid", BITMAP_BITS).alias("bucket"), F.shiftright(at, 6).cast("int").alias("w")).agg(F.bit_or(bit).alias("v"))
-    table = words.groupBy("bucket").agg(F.map_from_entries(F.collect_list(F.struct("w", "v"))).alias("m"))  # 512 entries at most
-    return table.select("bucket", F.transform(F.sequence(F.lit(0), F.lit((1 << BITMAP_BITS - 6) - 1)), lambda k: F.coalesce(F.try_element_at("m", k), F.lit(0).cast("long"))).alias("words"))
+    """(bucket, words): the bitmaps of `VertexSubset.to_dense` as 512 words of 64 bits each."""
+    word = lambda k: F.conv(F.hex(F.substring("bits", k * 8 + 1, F.lit(8))), 16, -10).cast("long")
+    return VertexSubset(frontier).to_dense().select("bucket", F.transform(F.sequence(F.lit(0), F.lit(511)), word).alias("words"))
+
+
+def in_bitmap(words: str, vid: str) -> Column:
+    """Is an id in its bucket's bitmap? Words are read from their first byte, so bytes count from the top."""
+    at = F.call_function("bitmap_bit_position", vid)
+    return F.call_function("getbit", F.get(words, F.shiftright(at, 6).cast("int")), at.bitwiseAND(63).bitwiseXOR(56).cast("int")) == 1
 
 
 def out_pairs(chunks: DataFrame, frontier: DataFrame) -> DataFrame:
@@ -278,12 +290,10 @@ def edge_map(g: Graph, frontier, allowed=None, mode: str = "auto", update: dict[
         if extra:
             pairs = near.join(frame.withColumnRenamed("vid", "src"), "src")
         else:
-            known = frame.select("vid").distinct() if buckets is None else frame
-            bitmaps = frontier_bitmaps(known)
-            count = known.agg(F.count_distinct(F.shiftright("vid", BITMAP_BITS))).first()[0] if buckets is None else buckets
-            met = near.withColumn("bucket", F.shiftright("src", BITMAP_BITS)).join(F.broadcast(bitmaps) if count <= MOST_BITMAPS else bitmaps, "bucket")
-            word = F.get("words", F.shiftright(F.col("src").bitwiseAND((1 << BITMAP_BITS) - 1), 6).cast("int"))
-            pairs = met.where(F.call_function("getbit", word, F.col("src").bitwiseAND(63).cast("int")) == 1)
+            bitmaps = frontier_bitmaps(frame)
+            count = frame.agg(F.count_distinct(bucket_of("vid"))).first()[0] if buckets is None else buckets
+            met = near.withColumn("bucket", bucket_of("src")).join(F.broadcast(bitmaps) if count <= MOST_BITMAPS else bitmaps, "bucket")
+            pairs = met.where(in_bitmap("words", "src"))
         out = pairs.groupBy("dst").agg(*(c.alias(n) for n, c in update.items()))
     else:
         found = out_pairs(g.chunks, frame).groupBy("dst").agg(*(c.alias(n) for n, c in update.items()))

@@ -221,7 +221,7 @@ def test_directed_graphs(spark):
     assert got == {1: 0, 2: 1, 3: 2, 4: 3, 9: 4}
     long = directed(spark, {(k, k + 1) for k in range(25)} | {(25, 0)})
     assert {r["vid"]: r["level"] for r in algorithms.bfs(long, 0, "dense").collect()} == {k: k for k in range(26)}
-    half = Graph.from_edges(spark.createDataFrame([(0, 1), (1, 2), (2, 0)], "src long, dst long"))
+    half = Graph.from_edges(spark.createDataFrame([(0, 1), (1, 2), (2, 0), (3, 0)], "src long, dst long"))
     with pytest.raises(ValueError):
         algorithms.bfs(half, 0)
 
