@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_texts
+from .common import keep_between_tasks, map_texts
 
 #: Entries of one generation of a worker's memo; when the young generation is full it becomes the old one.
 MEMO_UNITS = 250_000
@@ -159,8 +159,9 @@ _LOADED: dict[tuple, ByteBpe] = {}
 
 
 def codec(ranks_path: str, pattern: str | None = None) -> ByteBpe:
-    """One codec a worker process; its memo lives as long as the process."""
+    """One codec a worker process; its memo lives until the process serves another operator."""
     key = (ranks_path, pattern)
+    keep_between_tasks(__name__, _LOADED.clear)
     if key not in _LOADED:
         _LOADED[key] = ByteBpe(ranks_path, pattern)
     return _LOADED[key]

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -54,8 +57,29 @@ def crc_fold(doc_id: str, folds: int):
     return F.crc32(F.col(doc_id).cast("string").cast("binary")) % F.lit(folds)
 
 
-def text_slices(batches: Iterator[pa.RecordBatch], column: str = "text") -> Iterator[pa.RecordBatch]:
-    """Cut Arrow batches so that the text of each is about SLICE_BYTES, one row at least."""
+#: Memos and tables that a worker process keeps between tasks: the operator's module, and how to empty them.
+_KEPT: dict[str, Callable] = {}
+
+
+def keep_between_tasks(owner: str, clear: Callable) -> None:
+    _KEPT[owner] = clear
+
+
+def give_back(owner: str | None) -> None:
+    """A worker process serves the tasks of many operators in turn: what others than this one have kept goes."""
+    others = [k for k in _KEPT if k != owner]
+    for k in others:
+        _KEPT.pop(k)()
+    if others:
+        gc.collect()
+        pa.default_memory_pool().release_unused()
+        with contextlib.suppress(OSError, AttributeError):  # C libraries without it
+            ctypes.CDLL(None).malloc_trim(0)
+
+
+def text_slices(batches: Iterator[pa.RecordBatch], column: str = "text", owner: str | None = None) -> Iterator[pa.RecordBatch]:
+    """Cut Arrow batches so that the text of each is about SLICE_BYTES, one row at least. owner: see `give_back`."""
+    give_back(owner)
     for batch in batches:
         k = batch.schema.get_field_index(column)
         if k < 0 or batch.nbytes <= SLICE_BYTES:
@@ -77,7 +101,7 @@ def map_texts(df: DataFrame, make: Callable, schema: str) -> DataFrame:
 
     def run(batches):
         work = make()
-        for batch in text_slices(batches):
+        for batch in text_slices(batches, owner=make.__module__):
             if batch.num_rows:
                 yield work(batch)
 
@@ -91,6 +115,7 @@ def map_groups(df: DataFrame, keys: list[str], work: Callable, schema: pa.Schema
     """
 
     def run(batches):
+        give_back(None)
         n, key, rows, out = len(keys), None, [], []
         for batch in batches:
             for row in zip(*(c.to_pylist() for c in batch.columns)):

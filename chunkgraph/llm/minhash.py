@@ -27,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_groups, map_texts, settle, table
+from .common import keep_between_tasks, map_groups, map_texts, settle, table
 from .components import components
 from .repeats import Powers, mixed, segment_digests, sieve
 
@@ -145,7 +145,8 @@ class WeightedSampler:
 
 @lru_cache(maxsize=1)
 def default_sampler() -> WeightedSampler:
-    """One a worker process."""
+    """One a worker process, until it serves another operator."""
+    keep_between_tasks(__name__, default_sampler.cache_clear)
     return WeightedSampler()
 
 
