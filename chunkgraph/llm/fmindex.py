@@ -15,8 +15,10 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from . import repeats
 from .bpe import Memo
-from .repeats import WINDOW, Source, map_bodies, repeated_spans, with_spans
+from .common import keep_between_tasks
+from .repeats import WINDOW, Source, repeated_spans, without_spans
 
 #: Words in the grams that anchors are chosen from.
 GRAM = 8
@@ -68,7 +70,7 @@ def suffix_order(codes: np.ndarray) -> tuple[np.ndarray, list[tuple[int, np.ndar
         after = np.zeros(n, np.int64)
         after[: n - size] = rank[size:] + 1
         key = rank * (n + 1) + after
-        order = np.argsort(key, kind="stable")
+        order = np.argsort(key)
         key = key[order]
         rank = np.empty(n, np.int64)
         rank[order] = np.cumsum(np.concatenate(([0], key[1:] != key[:-1])))
@@ -77,47 +79,55 @@ def suffix_order(codes: np.ndarray) -> tuple[np.ndarray, list[tuple[int, np.ndar
     return order, ranks
 
 
+def run_starts(order: np.ndarray, ranks: list[tuple[int, np.ndarray]], length: int) -> np.ndarray:
+    """The rows of a suffix array at which the first `length` symbols change."""
+    same, done = np.ones(len(order) - 1, bool), 0
+    for size, rank in reversed(ranks):
+        if length - done >= size:
+            at = np.minimum(order + done, len(order) - 1)
+            r = rank[at]
+            same &= (r[1:] == r[:-1]) & (order[1:] + done < len(order)) & (order[:-1] + done < len(order))
+            done += size
+    return np.flatnonzero(np.concatenate(([True], ~same))).astype(np.int32)
+
+
 class FmIndex:
-    """Index of several texts of integer symbols 1, 2, ...; matches never cross texts."""
+    """Index of several texts of integer symbols 1, 2, ..., each of a document; matches never cross texts.
 
-    def __init__(self, texts: list[np.ndarray]):
-        count = len(texts)
+    What is kept is the transformed text as a wavelet matrix, how many smaller symbols there are, where runs of rows that
+    share window - 1 and window symbols begin, and the least document of each run of a window. The suffix array that it
+    is made from goes.
+    """
+
+    def __init__(self, texts: list[np.ndarray], doc: np.ndarray | None = None, window: int = WINDOW):
+        count, self.window = len(texts), window
         self.lengths = np.array([len(t) for t in texts], np.int64)
-        self.start = np.concatenate(([0], np.cumsum(self.lengths + 1)))[:-1]
-        codes = np.zeros(int((self.lengths + 1).sum()), np.int64)
-        ends = self.start + self.lengths
+        ends = np.cumsum(self.lengths + 1) - 1
         flat = np.concatenate(texts) if count else np.zeros(0, np.int64)
-        body = np.ones(len(codes), bool)
+        codes, body = np.zeros(int((self.lengths + 1).sum()), np.int64), np.ones(int((self.lengths + 1).sum()), bool)
         body[ends] = False
-        codes[body] = flat + count
-        codes[ends] = np.arange(count)
-        self.array, self.ranks = suffix_order(codes)
-        before = codes[self.array - 1]
-        before = np.where(before >= count, before - count, 0)
-        self.wavelet = WaveletMatrix(before)
+        codes[body], codes[ends] = flat + count, np.arange(count)
+        order, ranks = suffix_order(codes)
+        before = codes[order - 1]
+        self.wavelet = WaveletMatrix(np.where(before >= count, before - count, 0))
         most = int(flat.max(initial=0)) + 2
         smaller = count + np.concatenate(([0, 0], np.cumsum(np.bincount(flat, minlength=most)[1:])))[:most]
-        symbols = np.arange(most)
-        self.shift = smaller - self.wavelet.descend(symbols, np.zeros(most, np.int64))
-        self.size, self.text_of = len(codes), np.repeat(np.arange(count), self.lengths + 1)
+        self.shift = smaller - self.wavelet.descend(np.arange(most), np.zeros(most, np.int64))
+        self.size, self.cut, self.full = len(codes), run_starts(order, ranks, window - 1), run_starts(order, ranks, window)
+        owner = np.arange(count) if doc is None else doc
+        self.least = np.minimum.reduceat(owner[np.repeat(np.arange(count), self.lengths + 1)[order]], self.full)
 
     def step(self, symbol: np.ndarray, i: np.ndarray) -> np.ndarray:
         """Backward step of interval borders i by one symbol each."""
         return self.wavelet.descend(symbol, i) + self.shift[symbol]
 
-    def runs(self, length: int) -> tuple[np.ndarray, np.ndarray]:
-        """First and end of the run of suffixes that share their first `length` symbols, for each row of the array."""
-        same = np.ones(self.size - 1, bool)
-        done = 0
-        for size, rank in reversed(self.ranks):
-            if length - done >= size:
-                at = np.minimum(self.array + done, self.size - 1)
-                r = rank[at]
-                same &= (r[1:] == r[:-1]) & (self.array[1:] + done < self.size) & (self.array[:-1] + done < self.size)
-                done += size
-        first = np.flatnonzero(np.concatenate(([True], ~same)))
-        sizes = np.diff(np.concatenate((first, [self.size])))
-        return np.repeat(first, sizes), np.repeat(first + sizes, sizes)
+    def shortened(self, low: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Intervals of a window's matches (by their first row) -> those of its first window - 1 symbols."""
+        k = np.searchsorted(self.cut, low, side="right")
+        return self.cut[k - 1].astype(np.int64), np.append(self.cut, self.size)[k].astype(np.int64)
+
+    def least_document(self, low: np.ndarray) -> np.ndarray:
+        return self.least[np.searchsorted(self.full, low, side="right") - 1]
 
     def find(self, pattern: np.ndarray) -> tuple[int, int]:
         """Interval of the rows that begin with a pattern."""
@@ -141,36 +151,30 @@ class FmIndex:
             out[i] = length
         return out
 
-
-def least_documents(texts: list[np.ndarray], doc: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(text, window start, smallest document that has the window) of all windows of the texts."""
-    index = FmIndex(texts)
-    cut_first, cut_end = index.runs(window - 1)
-    run_first, _ = index.runs(window)
-    heads = np.flatnonzero(np.concatenate(([True], run_first[1:] != run_first[:-1])))
-    owner = doc[np.minimum(index.text_of[index.array], len(doc) - 1)]
-    least_of = np.minimum.reduceat(owner, heads)
-    run_number = np.cumsum(np.concatenate(([0], run_first[1:] != run_first[:-1])))
-    lanes = np.argsort(-index.lengths, kind="stable")
-    lengths = index.lengths[lanes]
-    flat = np.concatenate(texts)
-    last = np.cumsum(index.lengths)[lanes] - 1
-    low, high = np.zeros(len(lanes), np.int64), np.full(len(lanes), index.size, np.int64)
-    row, at, least = [], [], []
-    for t in range(int(lengths[0])):
-        live = int(np.searchsorted(-lengths, -t, side="left"))  # lanes of more than t symbols
-        symbol = flat[last[:live] - t]
-        both = index.step(np.concatenate((symbol, symbol)), np.concatenate((low[:live], high[:live])))
-        low, high = both[:live], both[live:]
-        if t >= window - 1:
-            row.append(lanes[:live])
-            at.append(lengths[:live] - 1 - t)
-            least.append(least_of[run_number[low]])
-            high = cut_end[low]
-            low = cut_first[low]
-    row, at, least = np.concatenate(row), np.concatenate(at), np.concatenate(least)
-    order = np.lexsort((at, row))
-    return row[order], at[order], least[order]
+    def windows(self, texts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(text, window start, least document that has the window) of texts whose substrings are all indexed.
+
+        All texts are streamed side by side from their last symbol to their first. A text's state is the interval of the
+        rows that begin with the symbols read last, the window's length of them at most: its matching statistic.
+        """
+        lengths = np.array([len(t) for t in texts], np.int64)
+        lanes = np.argsort(-lengths, kind="stable")
+        last, flat, lengths = np.cumsum(lengths)[lanes] - 1, np.concatenate(texts), lengths[lanes]
+        low, high = np.zeros(len(lanes), np.int64), np.full(len(lanes), self.size, np.int64)
+        row, at, least = [], [], []
+        for t in range(int(lengths[0])):
+            live = int(np.searchsorted(-lengths, -t, side="left"))  # lanes of more than t symbols
+            symbol = flat[last[:live] - t]
+            both = self.step(np.concatenate((symbol, symbol)), np.concatenate((low[:live], high[:live])))
+            low, high = both[:live], both[live:]
+            if t >= self.window - 1:
+                row.append(lanes[:live])
+                at.append(lengths[:live] - 1 - t)
+                least.append(self.least_document(low))
+                low, high = self.shortened(low)
+        row, at, least = np.concatenate(row), np.concatenate(at), np.concatenate(least)
+        by = np.lexsort((at, row))
+        return row[by], at[by], least[by]
 
 
 def word_index(arena: np.ndarray, begin: np.ndarray, size: np.ndarray, windows: np.ndarray, doc: np.ndarray, window: int):
@@ -178,7 +182,7 @@ def word_index(arena: np.ndarray, begin: np.ndarray, size: np.ndarray, windows:
     raw, code = arena.tobytes(), {}
     new = code.setdefault
     texts = [np.array([new(w, len(code) + 1) for w in raw[a : a + n].split(b" ")], np.int64) for a, n in zip(begin.tolist(), size.tolist())]
-    return least_documents(texts, doc, window)
+    return FmIndex(texts, doc, window).windows(texts)
 
 
 class WordSource(Source):
@@ -187,6 +191,9 @@ class WordSource(Source):
     gap = 1
     hashes = Memo(xxhash.xxh3_64_intdigest)
 
+    def forget(self) -> None:
+        self.hashes.young, self.hashes.old = {}, {}
+
     def read(self, text: str):
         words = text.encode().split()
         get, miss = self.hashes.young.get, self.hashes.miss
@@ -194,6 +201,9 @@ class WordSource(Source):
         starts = np.concatenate(([0], np.cumsum(np.fromiter(map(len, words), np.int64, len(words)) + 1)))
         return elements, np.frombuffer(b" ".join(words) + b" ", np.uint8), starts
 
+    def ready(self) -> None:
+        keep_between_tasks(repeats.__name__, self.forget)
+
     def __reduce__(self):
         return WordSource, ()
 
@@ -214,7 +224,7 @@ def deduplicate(docs: DataFrame, window: int = WINDOW) -> DataFrame:
         kept += words[done:]
         return len(words), len(words) - len(kept), b" ".join(kept)
 
-    return map_bodies(with_spans(docs, repeated(docs, window)), work, "doc_id long, n_words long, n_removed long, kept binary")
+    return without_spans(docs, repeated(docs, window), work, "doc_id long, n_words long, n_removed long, kept binary")
 
 
 def report(docs: DataFrame) -> DataFrame:

@@ -43,6 +43,8 @@ SHARD_ELEMENTS = 1 << 18
 PIECE = 1 << 20
 #: Entries, or bytes of segments, that a task gathers before it packs them.
 ENTRIES, ARENA = 1_000_000, 12 << 20
+#: Bytes of texts that are compared at once.
+COMPARED = 1 << 19
 #: Longs in the bitmap that spares documents without shared anchors the join (a fixed size; all pass when it is full).
 SIEVE_LONGS = 1 << 16
 
@@ -60,8 +62,15 @@ def mixed(x: np.ndarray) -> np.ndarray:
 
 
 def gram_hashes(elements: np.ndarray, gram: int) -> np.ndarray:
-    """Hash of each run of `gram` elements, doubling the length of what is combined."""
+    """Hash of each run of `gram` elements, doubling the length of what is combined; bytes by whole words of eight."""
     whole, have, total = None, 0, len(elements)
+    if elements.dtype == np.uint8 and gram % 8 == 0 and total >= gram:
+        words = np.ndarray(total - 7, "<u8", np.ascontiguousarray(elements), strides=(1,)).copy()
+        n = total - gram + 1
+        out = words[:n]
+        for k in range(8, gram, 8):
+            out = out * _M1 ^ (words[k : k + n] * _M2 + (words[k : k + n] >> np.uint64(33)))
+        return out
     power, size, bit = elements.astype(np.uint64), 1, gram
     while True:
         if bit & 1:
@@ -108,6 +117,9 @@ class Source:
     #: Bytes between two elements.
     gap = 0
 
+    def ready(self) -> None:
+        """Called when a task begins; a source that keeps anything between tasks says so here."""
+
     def read(self, text: str) -> tuple[np.ndarray, np.ndarray, np.ndarray | None]:
         raw = np.frombuffer(text.encode(), np.uint8)
         return raw, raw, None
@@ -155,13 +167,15 @@ def ranges(begin: np.ndarray, size: np.ndarray) -> np.ndarray:
 
 def same_bytes(arena: np.ndarray, begin: np.ndarray, size: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
     """For each pair of texts in the arena: are they equal?"""
-    equal = size[i] == size[j]
-    for part in np.array_split(np.flatnonzero(equal), max(1, len(i) // 20_000)):
+    equal = (size[i] == size[j]) & (i != j)
+    some = np.flatnonzero(equal)
+    place = np.cumsum(size[i[some]]) // COMPARED
+    for part in np.split(some, np.flatnonzero(np.diff(place)) + 1):
         if len(part):
             n = size[i[part]]
             differ = arena[ranges(begin[i[part]], n)] != arena[ranges(begin[j[part]], n)]
             equal[part] = np.add.reduceat(differ, np.cumsum(n) - n, dtype=np.int64) == 0
-    return equal
+    return equal | (i == j)
 
 
 def heads(*sorted_columns: np.ndarray) -> np.ndarray:
@@ -276,8 +290,9 @@ def _anchor_rows(source: Source, gram: int, buckets: int, window: int):
         yield pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*rows), schema)], schema=schema)
 
     def run(batches):
+        source.ready()
         docs, keys, owner, at, held = [], [], [], [], 0
-        for batch in text_slices(batches):
+        for batch in text_slices(batches, owner=__name__):
             for doc_id, digest, text in zip(*(c.to_pylist() for c in batch.columns)):
                 for offset, elements, _, _ in source.pieces(text, window):
                     where, hashes, _, _ = anchors(elements, gram, window)
@@ -407,7 +422,8 @@ def _segment_rows(source: Source, gram: int, shards: int, window: int):
         """Rows of some document buckets: first the blobs of places (doc_id null), then the texts."""
         opener, powers, docs, held, bytes_held = zstandard.ZstdDecompressor(), Powers(), [], [], 0
         told, places = [], None
-        for batch in text_slices(batches, "body"):
+        source.ready()
+        for batch in text_slices(batches, "body", __name__):
             for doc_id, name, body in zip(*(batch.column(k).to_pylist() for k in ("doc_id", "digest", "body"))):
                 if doc_id is None:
                     told.append(unpack(body, _PLACE_PLAIN, _PLACE_SMALL))
@@ -420,7 +436,12 @@ def _segment_rows(source: Source, gram: int, shards: int, window: int):
                     continue
                 for offset, elements, raw, starts in source.pieces(opener.decompress(body).decode(), window):
                     where, key, first, last = anchors(elements, gram, window)
-                    keep = np.isin(where + offset, shared_at)
+                    here = shared_at[(shared_at >= offset) & (shared_at < offset + len(elements))] - offset
+                    if not len(here):
+                        continue
+                    marked = np.zeros(len(elements), bool)
+                    marked[here] = True
+                    keep = marked[where]
                     if not keep.any():
                         continue
                     key, first, last = key[keep], first[keep], last[keep]
@@ -532,7 +553,7 @@ def squeezed(texts: DataFrame, buckets: int = 1) -> DataFrame:
 
     def run(batches):
         packer = zstandard.ZstdCompressor(level=1)
-        for batch in text_slices(batches):
+        for batch in text_slices(batches, owner=__name__):
             bodies = [None if t is None else packer.compress(t.encode()) for t in batch.column(2).to_pylist()]
             ids, digests = (pc.fill_null(batch.column(k), 0).to_numpy(zero_copy_only=False) for k in (0, 1))
             yield pa.RecordBatch.from_arrays([pa.array(document_bucket(ids, digests, buckets), pa.int32()), batch.column(0), batch.column(1), pa.array(bodies, pa.binary())], ["bucket", "doc_id", "digest", "body"])
@@ -571,28 +592,35 @@ def repeated_spans(docs: DataFrame, source: Source, index: Callable, gram: int,
     return spans
 
 
-def with_spans(docs: DataFrame, spans: DataFrame) -> DataFrame:
-    """doc_id, body (compressed text), spans (null where nothing is repeated) of every row of docs."""
-    texts, none = named(docs), F.lit(None).cast(spans.schema["spans"].dataType)
-    maybe = sieve(spans.select("doc_id"))
-    touched = squeezed(texts.where(maybe)).join(spans, ["doc_id", "digest"], "left")
-    return squeezed(texts.where(~maybe)).select("doc_id", "body", none.alias("spans")).unionAll(touched.select("doc_id", "body", "spans"))
+def without_spans(docs: DataFrame, spans: DataFrame, work: Callable, schema: str, whole: list[Column] | None = None) -> DataFrame:
+    """Each row of docs without its spans. work(text as bytes, merged spans) -> values; schema: doc_id and their names and types.
 
+    Texts that no span can be of are not shuffled; with `whole`, the values that a text without spans gives as columns on
+    `text` (not null), they stay in the JVM. The others are compressed and meet their spans.
+    """
+    texts, maybe = named(docs), sieve(spans.select("doc_id"))
+    names, kinds = zip(*(c.split() for c in schema.split(", ")))
+    types = [{"long": pa.int64(), "binary": pa.binary()}[k] for k in kinds]
 
-def map_bodies(rows: DataFrame, work: Callable, schema: str) -> DataFrame:
-    """work(text as bytes, merged spans) -> values behind doc_id, for each row of `with_spans`."""
-    names = [c.split()[0] for c in schema.split(", ")]
-    kinds = {"long": pa.int64(), "binary": pa.binary()}
-    types = [kinds[c.split()[1]] for c in schema.split(", ")]
+    def rows(ids, out):
+        return pa.RecordBatch.from_arrays([ids, *(pa.array(c, t) for c, t in zip(zip(*out), types[1:]))], list(names))
 
-    def run(batches):
+    def cut(batches):
         opener = zstandard.ZstdDecompressor()
-        for batch in text_slices(batches, "body"):
-            out = [work(b"" if body is None else opener.decompress(body), merged(spans)) for body, spans in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist())]
-            if out:
-                yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, t) for c, t in zip(zip(*out), types[1:]))], names)
-
-    return rows.mapInArrow(run, schema)
+        for batch in text_slices(batches, "body", __name__):
+            if batch.num_rows:
+                yield rows(batch.column(0), [work(b"" if body is None else opener.decompress(body), merged(spans)) for body, spans in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist())])
+
+    def keep(batches):
+        for batch in text_slices(batches, owner=__name__):
+            if batch.num_rows:
+                yield rows(batch.column(0), [work(t.encode(), []) for t in batch.column(1).to_pylist()])
+
+    touched = squeezed(texts.where(maybe)).join(spans, ["doc_id", "digest"], "left").select("doc_id", "body", "spans").mapInArrow(cut, schema)
+    plain = texts.where(~maybe).select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
+    if whole is None:
+        return plain.mapInArrow(keep, schema).unionAll(touched)
+    return plain.select("doc_id", *(c.cast(k).alias(n) for c, n, k in zip(whole, names[1:], kinds[1:]))).unionAll(touched)
 
 
 def merged(spans: list[dict] | None) -> list[tuple[int, int]]:
