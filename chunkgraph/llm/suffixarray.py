@@ -13,7 +13,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .repeats import WINDOW, Source, map_bodies, ranges, repeated_spans, with_spans
+from .repeats import WINDOW, Source, ranges, repeated_spans, without_spans
 
 #: Bytes in the grams that anchors are chosen from.
 GRAM = 16
@@ -21,7 +21,7 @@ GRAM = 16
 
 def _names(keys: np.ndarray) -> tuple[np.ndarray, np.ndarray, int]:
     """Order of the keys, a name (from 1) for each key by rank, and how many names there are."""
-    order = np.argsort(keys, kind="stable")
+    order = np.argsort(keys)
     ranked = keys[order]
     name = np.empty(len(keys), np.int64)
     name[order] = np.cumsum(np.concatenate(([1], ranked[1:] != ranked[:-1])))
@@ -53,7 +53,7 @@ def difference_cover_order(symbols: np.ndarray) -> np.ndarray:
     rank[n:] = 0
     # the rest, by first symbol and the rank behind it
     rest, wide = np.arange(0, n, 3), np.int64(len(sample) + 2)
-    rest = rest[np.argsort(s[rest] * wide + rank[rest + 1], kind="stable")]
+    rest = rest[np.argsort(s[rest] * wide + rank[rest + 1])]
     sorted_sample = sample[order]
     sorted_sample = sorted_sample[sorted_sample < n]
     first, second = sorted_sample[sorted_sample % 3 == 1], sorted_sample[sorted_sample % 3 == 2]
@@ -122,7 +122,8 @@ def deduplicate(docs: DataFrame, window: int = WINDOW) -> DataFrame:
         kept = b"".join([*kept, raw[done:]])
         return len(raw), len(raw) - len(kept), len(spans), kept
 
-    return map_bodies(with_spans(docs, repeated(docs, window)), work, "doc_id long, n_bytes long, n_removed long, n_spans long, kept binary")
+    whole = [F.octet_length("text"), F.lit(0), F.lit(0), F.encode("text", "UTF-8")]
+    return without_spans(docs, repeated(docs, window), work, "doc_id long, n_bytes long, n_removed long, n_spans long, kept binary", whole)
 
 
 def report(docs: DataFrame) -> DataFrame:

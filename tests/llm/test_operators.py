@@ -17,7 +17,7 @@ from ..compare import assert_same, connection
 from ..conftest import DATA
 from . import brute
 
-ODD = [(1, None), (2, ""), (3, " \n\t"), (None, "one two three"), (4, "x" * 70_000), (5, "the same text " * 40), (6, "the same text " * 40), (7, "the same text " * 40), (7, "the same text " * 40), (8, "é ü 日本 " * 30), (9, "word " * 20_000)]
+ODD = [(1, None), (2, ""), (3, " \n\t"), (None, "one two three"), (4, "x" * 70_000), (5, "the same text " * 40), (6, "the same text " * 40), (7, "the same text " * 40), (7, "the same text " * 40), (8, "é ü 日本 " * 30), (9, "word " * 20_000), (10, "\x0b a  b \x85")]
 
 
 def docs(spark, rows, extra=True):
