@@ -52,10 +52,12 @@ class Graph:
     def in_chunks(self) -> DataFrame:
         return self.chunks if self.into is None else self.into
 
-    def ends(self) -> DataFrame:
-        """(vid) of all vertices that have an edge, in or out."""
-        out = self.chunks.select(F.col("owner").alias("vid"))
-        return (out if self.into is None else out.unionByName(self.into.select(F.col("owner").alias("vid")))).distinct()
+    def ends(self, among: DataFrame | None = None) -> DataFrame:
+        """(vid) of all vertices that have an edge, in or out; of those among some (vid)."""
+        owners = [c.select(F.col("owner").alias("vid")) for c in (self.chunks, self.into) if c is not None]
+        if among is not None:
+            owners = [o.join(among, "vid", "left_semi") for o in owners]
+        return (owners[0] if len(owners) == 1 else owners[0].unionByName(owners[1])).distinct()
 
     def vertices(self) -> DataFrame:
         """vid, deg (out-degree), n_heads, prefix_cnt."""
@@ -116,16 +118,17 @@ class Graph:
     def delete_edges(self, batch: DataFrame) -> "Graph":
         """Vertices that lose their last edge stay, isolated."""
         chunks, into = self._both(batch, [], lambda old, new: sets.multi_delete(old, new, self.b, self.seed))
-        return self._without(chunks, into)
+        return self._without(chunks, into, batch.select(F.explode(F.array("src", "dst")).alias("vid")).distinct())
 
-    def _without(self, chunks: DataFrame, into: DataFrame | None) -> "Graph":
-        """With fewer edges: what has none any more is isolated."""
+    def _without(self, chunks: DataFrame, into: DataFrame | None, hit: DataFrame) -> "Graph":
+        """With fewer edges at the vertices hit: those that have none any more are isolated."""
         out = replace(self, chunks=chunks, into=into, flat=False)
-        bare = self.ends().join(out.ends(), "vid", "left_anti")
+        bare = self.ends(hit).join(out.ends(hit), "vid", "left_anti")
         return replace(out, isolated=bare if self.isolated is None else self.isolated.select("vid").unionByName(bare).distinct())
 
     def insert_vertices(self, vids: DataFrame) -> "Graph":
-        new = vids.select("vid").where("vid IS NOT NULL").distinct().join(self.ends(), "vid", "left_anti")
+        wanted = vids.select("vid").where("vid IS NOT NULL").distinct()
+        new = wanted.join(self.ends(wanted), "vid", "left_anti")
         return replace(self, isolated=new if self.isolated is None else self.isolated.select("vid").unionByName(new).distinct())
 
     def delete_vertices(self, vids: DataFrame) -> "Graph":
@@ -141,7 +144,9 @@ class Graph:
 
         chunks = left(self.chunks, self.in_chunks)
         into = None if self.into is None else left(self.into, self.chunks)
-        out = self._without(chunks, into)
+        near = out_pairs(self.chunks, gone).select(F.col("dst").alias("vid"))
+        near = near if self.into is None else near.unionByName(out_pairs(self.into, gone).select(F.col("dst").alias("vid")))
+        out = self._without(chunks, into, near.unionByName(gone).distinct())
         return replace(out, isolated=out.isolated.join(gone, "vid", "left_anti"))
 
     def apply(self, updates: DataFrame) -> "Graph":

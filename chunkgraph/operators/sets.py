@@ -82,9 +82,10 @@ def all_elems() -> Column:
 
 
 def locate_chunk(chunks: DataFrame, probes: DataFrame) -> DataFrame:
-    """probes (owner, e, ...) with `found_head`: the head of the chunk that e falls in (null: the prefix)."""
+    """probes (owner, e, ...) with `found_head`: the head of the chunk that e falls in (null: the prefix). Heads of owners
+    that are not asked about are left where they are."""
     kept = [c for c in probes.columns if c not in ("owner", "e")]
-    marks = chunks.where(F.col("head").isNotNull()).select("owner", F.col("head").alias("e"), F.lit(0).alias("_kind"), *(F.lit(None).cast(probes.schema[c].dataType).alias(c) for c in kept))
+    marks = chunks.where(F.col("head").isNotNull()).join(probes.select("owner").distinct(), "owner", "left_semi").select("owner", F.col("head").alias("e"), F.lit(0).alias("_kind"), *(F.lit(None).cast(probes.schema[c].dataType).alias(c) for c in kept))
     asked = probes.select("owner", "e", F.lit(1).alias("_kind"), *kept)
     w = Window.partitionBy("owner").orderBy("e", "_kind")
     head = F.last(F.when(F.col("_kind") == 0, F.col("e")), ignorenulls=True).over(w)
@@ -125,7 +126,7 @@ def touched(chunks: DataFrame, delta: DataFrame, b: int, seed: int = 0, removing
     if not removing:
         return hit
     gone = delta.where(is_head(F.col("elem"), b, seed)).select("owner", F.col("elem").alias("head")).distinct().withColumn("_gone", F.lit(True))
-    heads = chunks.where(F.col("head").isNotNull()).select("owner", "head").join(gone, ["owner", "head"], "left")
+    heads = chunks.where(F.col("head").isNotNull()).select("owner", "head").join(gone.select("owner").distinct(), "owner", "left_semi").join(gone, ["owner", "head"], "left")
     w = Window.partitionBy("owner").orderBy("head").rowsBetween(Window.unboundedPreceding, -1)
     heir = heads.withColumn("heir", F.last(F.when(F.col("_gone").isNull(), F.col("head")), ignorenulls=True).over(w)).where(F.col("_gone").isNotNull())
     return hit.unionByName(heir.select("owner", F.col("heir").alias("head"))).distinct()
