@@ -1,12 +1,14 @@
 """URL filter: frequent token combinations of labelled URLs become association rules, matched through an inverted index.
 
 A written rule (host and path prefix) decides where one fits; the longest host, then the longest path wins. The labels
-that the method learns from are those decisions, with every other URL as an example of allow, unless labels are given. Tokens of a URL are its host's dot-separated
-parts (`h:`), its path's parts (`p:`, digits become `#`, letter parts as they are) and its scheme. FP-growth finds the
+that the method learns from are those decisions, with every other URL as an example of allow, unless labels are given. Tokens of a URL are its host's
+dot-separated parts (`h:`) and its path's parts (`p:`), whole; a path part with digits also gives its shape, with every run
+of digits as `#`. Scheme and query are no tokens, since only host and path are judged. FP-growth finds the
 combinations that reach the support; rules that reach the confidence and have no shorter rule with the same verdict are
 kept, and a URL that no written rule fits is blocked when a block rule matches and no allow rule of higher confidence does.
 Null URLs and those without `://` have empty host and path and get the method's verdict on no tokens: allow. Repeated rows are each
-judged. Only support and confidence bound the rules. Everything is DataFrame work inside the JVM.
+judged. Only support and confidence bound the rules; a template of very many tokens that most URLs share has as many
+frequent sets as it has subsets, which FP-growth lists. Everything is DataFrame work inside the JVM.
 """
 
 from __future__ import annotations
@@ -51,8 +53,10 @@ def written_rule(host: Column, path: Column, rules=RULES) -> tuple[Column, Colum
 
 def tokens(host: Column, path: Column) -> Column:
     hosts = F.transform(F.split(host, r"\."), lambda x: F.concat(F.lit("h:"), x))
-    paths = F.transform(F.split(path, r"[/._-]"), lambda x: F.concat(F.lit("p:"), F.regexp_replace(F.regexp_replace(x, r"^([0-9]).*$", "#$1"), r"^([^#].{15}).*$", "$1")))
-    return F.array_distinct(F.filter(F.concat(hosts, paths), lambda x: F.length(x) > 2))
+    named = F.split(path, r"[/._-]")
+    paths = F.transform(named, lambda x: F.concat(F.lit("p:"), x))
+    shapes = F.transform(F.filter(named, lambda x: x.rlike("[0-9]")), lambda x: F.concat(F.lit("p:"), F.regexp_replace(x, "[0-9]+", "#")))
+    return F.array_distinct(F.filter(F.concat(hosts, paths, shapes), lambda x: F.length(x) > 2))
 
 
 def learn(labelled: DataFrame, support: float = SUPPORT, confidence: float = CONFIDENCE) -> DataFrame:

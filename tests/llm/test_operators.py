@@ -273,6 +273,36 @@ def test_url_rules_are_long_and_many(spark):
     assert len(got) == 1200 and all((r["verdict"] == "block") == (r["page_id"] % 2 == 1) for r in got)
 
 
+def test_learned_url_rules_equal_brute_force(spark):
+    """All minimal rules by counting subsets of tokens, and the verdicts that they give."""
+    from itertools import combinations
+
+    r = random.Random(9)
+    pages = [(k, f"http://{r.choice(['a', 'b', 'c'])}.{r.choice(['x', 'y'])}.org/{r.choice(['news', 'averylongsharedprefixone', 'averylongsharedprefixtwo'])}/{r.choice(['v12', 'v7', 'w'])}") for k in range(120)]
+    verdict = {k: "block" if "prefixtwo" in u and "a." in u or "v7" in u and ".y." in u else "allow" for k, u in pages}
+    split = lambda u: (u.split("//")[1].split("/")[0], "/" + "/".join(u.split("//")[1].split("/")[1:]))
+
+    def items(u):
+        host, path = split(u)
+        parts = [p for p in re.split("[/._-]", path) if p]
+        return {f"h:{x}" for x in host.split(".")} | {f"p:{x}" for x in parts} | {"p:" + re.sub("[0-9]+", "#", x) for x in parts if re.search("[0-9]", x)}
+
+    sets = {k: items(u) for k, u in pages}
+    counts, least = {}, 0.05 * len(pages)
+    for k, s in sets.items():
+        for n in range(1, len(s) + 1):
+            for body in combinations(sorted(s), n):
+                counts.setdefault(body, Counter())[verdict[k]] += 1
+    rules = {(b, h): c[h] / sum(c.values()) for b, c in counts.items() for h in c if c[h] >= least and c[h] / sum(c.values()) >= 0.9}
+    rules = {(b, h): c for (b, h), c in rules.items() if not any(g == h and set(a) < set(b) for a, g in rules)}
+    df = spark.createDataFrame([(sorted(sets[k]), verdict[k]) for k, _ in pages], "items array<string>, verdict string")
+    got = {(tuple(x["body"]), x["head"].removeprefix("label=")): x["confidence"] for x in urls.learn(df, 0.05, 0.9).collect()}
+    assert got.keys() == rules.keys() and all(abs(got[k] - rules[k]) < 1e-9 for k in got)
+    host, path = urls.parts(F.col("url"))
+    tokens = spark.createDataFrame(pages, "page_id long, url string").select("page_id", urls.tokens(host, path).alias("t")).collect()
+    assert all(set(x["t"]) == sets[x["page_id"]] for x in tokens)
+
+
 def test_url_rules_joined_or_in_the_plan(spark):
     host, path = urls.parts(F.col("url"))
     pages = spark.read.parquet(f"{DATA.replace('0.001', '0.01')}/pages.parquet").select(host.alias("host"), path.alias("path"))
