@@ -8,6 +8,7 @@ from chunkgraph.workloads.queries import oracle_sql, queries
 
 # the slow ones run at sf0.01 in the driver; here one of each kind
 SLOW = {"bfs_cs", "bfs_op", "bfs_cp", "bfs_noflat_ps", "bfs_plain_ps", "bfs_b256_ps", "b5_static_sparse_bfs_ps", "b1_bfs_ps", "local_cluster_op", "chunk_stats_sweep", "graph_stats", "bc_ps", "mis_op", "stream_90_10_final_graph", "as_of_graph"}
+SLOW |= {f"bfs_{ids}_ids_{mode}" for ids in ("negative", "large") for mode in ("sparse", "auto")} | {"bc_sparse_ps", "bc_flat_ps", "b1_bc_ps", "b2_bc_ps", "b4_bc_ps", "b2_bfs_ps", "codec_delta_bfs_ps", "mis_coded_web", "local_cluster_web"}
 
 
 @pytest.fixture(scope="module")
