@@ -383,7 +383,7 @@ def _(spark, d):
     store.publish(Graph.from_edges(e.where("src % 3 <> 0"), directed=True, b=8))
     store.apply(e.where("src % 3 = 0").select(F.lit(1).alias("seq"), F.lit("I").alias("op"), "src", "dst"))
     gone = store.graph().vertices().where("vid % 7 = 0").select("vid")
-    g = store.graph().delete_vertices(gone)
+    g = store.graph().delete_vertices(gone).settled()
     return edge_map(g, g.vertices().where("vid % 5 = 0").select("vid"), mode="dense")
 
 
