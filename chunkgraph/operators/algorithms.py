@@ -39,13 +39,12 @@ class _Search:
         start = g.chunks.sparkSession.range(1).select(F.lit(source).cast("long").alias("vid"), F.lit(0).alias("level"), *(v.alias(n) for n, v in (values or {}).items()))
         self.levels = [settle(start.join(self.degrees, "vid", "left").withColumn("deg", F.coalesce("deg", F.lit(0).cast("long"))))]
         self.old: DataFrame | None = None  # of a directed graph: all but the last levels
-        self.recent, self.reached = 1, 0
+        self.recent = 1
         self._measure()
 
     def _measure(self) -> None:
         bucket = bucket_of("vid")
         self.size, self.out, self.buckets = self.levels[-1].agg(F.count("*"), F.coalesce(F.sum("deg"), F.lit(0)), F.count_distinct(bucket)).first()
-        self.reached += self.size
 
     def _seen(self) -> DataFrame:
         if self.g.into is None:
@@ -61,9 +60,7 @@ class _Search:
         return reduce(DataFrame.unionByName, (f.select("vid") for f in frames))
 
     def step(self, update: dict, carried: tuple = ()) -> bool:
-        """The next level, with the columns of the update; False when there is none, or no vertex is left for one."""
-        if self.g.into is None and self.reached >= self.most - 2:
-            return False
+        """The next level, with the columns of the update; False when there is none."""
         level, how = len(self.levels), choose_mode(self.size, self.out, self.m, self.share) if self.mode == "auto" else self.mode
         if level > self.most:
             raise ValueError("more levels than vertices: an undirected graph without some of its reversed edges")
