@@ -2,11 +2,12 @@ import random
 import threading
 
 import pytest
+from pyspark.sql import functions as F
 
 from chunkgraph.operators import algorithms, baselines
 from chunkgraph.operators.graph import Graph, edge_map, two_hop
 from chunkgraph.plans import cost
-from chunkgraph.plans.scratch import scratch_dir
+from chunkgraph.plans.scratch import scratch_dir, settle
 from chunkgraph.sources.graphs import rmat
 from chunkgraph.sources.store import VersionStore, WriterConflict
 
@@ -91,6 +92,26 @@ def test_local_cluster_finds_a_clique(spark):
     assert {r["vid"] for r in got} == set(range(6)) and abs(got[0]["conductance"] - 1 / 31) < 1e-9
 
 
+def test_local_cluster_in_groups_cuts_as_all_edges_do(spark, monkeypatch):
+    g = graph(spark, random_pairs(7, 60, 150) | {(3, 3)})
+    seeds = g.vertices().where("vid % 5 = 0").select("vid")
+    degrees = algorithms._degrees(g)
+    ranked = algorithms._ranked(algorithms.walk(g, seeds, 1e-3, 4), degrees)
+    got, plain = (rows(algorithms._prefixes(g, ranked, degrees, d), "seed", "rank", "vid", "conductance") for d in (algorithms._downhill(g, degrees), None))
+    assert got == plain and got
+    whole = rows(algorithms.local_cluster(g, seeds, 1e-3, 4), "seed", "vid", "conductance")
+    monkeypatch.setattr(algorithms, "SEEDS_TOGETHER", 3)
+    assert rows(algorithms.local_cluster(g, seeds, 1e-3, 4), "seed", "vid", "conductance") == whole
+
+
+def test_settled_plans_leave_no_shuffle_files(spark):
+    files = lambda: sum(f.getName().startswith("shuffle_") for f in spark._jvm.scala.jdk.javaapi.CollectionConverters.asJava(spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()))
+    before, kept = files(), spark.conf.get("spark.sql.classic.shuffleDependency.fileCleanup.enabled")
+    df = settle(spark.range(1000).groupBy((F.col("id") % 7).alias("k")).count())
+    assert files() <= before and df.count() == 7
+    assert spark.conf.get("spark.sql.classic.shuffleDependency.fileCleanup.enabled") == kept
+
+
 def test_two_hop(spark):
     g = graph(spark, {(i, i + 1) for i in range(6)})
     s = spark.createDataFrame([(2,)], "src long")
