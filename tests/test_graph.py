@@ -5,6 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from chunkgraph.operators import algorithms, baselines
+from chunkgraph.operators import graph as graph_module
 from chunkgraph.operators.graph import Graph, edge_map, two_hop
 from chunkgraph.plans import cost
 from chunkgraph.plans.scratch import scratch_dir, settle
@@ -119,6 +120,24 @@ def test_two_hop(spark):
     assert {r["vid"] for r in two_hop(g, s, exact=True).collect()} == {0, 4}
 
 
+@pytest.mark.parametrize("exact", [False, True])
+def test_two_hop_in_slices_shuffles_no_pairs(spark, monkeypatch, exact):
+    pairs = random_pairs(11, 50, 120) | {(-7, 3), (-7, 1 << 40)}
+    g, near = graph(spark, pairs), {}
+    for a, b in both_ways(pairs):
+        near.setdefault(a, set()).add(b)
+    s = [*range(0, 50, 3), -7, 1 << 40, 999]
+    monkeypatch.setattr(graph_module, "CELL_ELEMENTS", 50)
+    df = two_hop(g, spark.createDataFrame([(x,) for x in s], "src long"), exact)
+    want = set()
+    for x in s:
+        one = near.get(x, set())
+        two = set().union(*(near[y] for y in one))
+        want |= {(x, v) for v in (two - one - {x} if exact else two | one | {x})}
+    assert sorted((r["src"], r["vid"]) for r in df.collect()) == sorted(want)
+    assert "Aggregate" not in df._jdf.queryExecution().executedPlan().toString().split("Exchange")[0]
+
+
 def test_edge_map_modes(spark):
     g = graph(spark, random_pairs(5))
     front = spark.createDataFrame([(v,) for v in range(8)], "vid long")
