@@ -11,7 +11,9 @@ from chunkgraph.plans import cost
 from chunkgraph.plans.scratch import scratch_dir, settle
 from chunkgraph.sources.graphs import rmat
 from chunkgraph.sources.store import VersionStore, WriterConflict
+from chunkgraph.workloads.queries import oracle_sql, queries
 
+from .compare import assert_same, connection
 from .conftest import DATA
 
 
@@ -54,6 +56,19 @@ def test_bfs_in_every_mode(spark, mode):
     assert got == plain_bfs(pairs, 3)
 
 
+def test_bfs_query_goes_as_deep_as_its_sql(spark, tmp_path):
+    """A path of orders and parts that is longer than the SQL's recursion."""
+    duck = connection(DATA)
+    duck.execute(f"COPY (SELECT * REPLACE (k AS l_orderkey, k + j AS l_partkey) FROM (SELECT * FROM lineitem LIMIT 1), range(9) a(k), range(2) b(j)) TO '{tmp_path}/lineitem.parquet' (FORMAT parquet)")
+    duck.execute(f"CREATE OR REPLACE VIEW lineitem AS SELECT * FROM '{tmp_path}/lineitem.parquet'")
+    df = queries()["bfs_op"](spark, str(tmp_path))
+    assert_same(df, duck, oracle_sql()["bfs_op"])
+    assert df.agg(F.max("level")).first()[0] == 8
+    pairs = {(k, k + 1) for k in range(6)}
+    assert rows(algorithms.bfs(graph(spark, pairs), 0, depth=3), "vid", "level") == [(k, k) for k in range(4)]
+    assert algorithms.bfs(graph(spark, pairs), 0).count() == 7
+
+
 def test_layouts_agree(spark):
     pairs = random_pairs(2)
     want = plain_bfs(pairs, 0)
