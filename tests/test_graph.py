@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from chunkgraph.operators import algorithms, baselines
 from chunkgraph.operators import graph as graph_module
-from chunkgraph.operators.graph import Graph, edge_map, two_hop
+from chunkgraph.operators.graph import Graph, VertexSubset, edge_map, two_hop
 from chunkgraph.plans import cost
 from chunkgraph.plans.scratch import scratch_dir, settle
 from chunkgraph.sources.graphs import rmat
@@ -160,6 +160,26 @@ def test_edge_map_modes(spark):
     assert rows[0] == rows[1] and rows[0]
 
 
+def test_ids_at_the_ends_of_bitmaps(spark):
+    ids = [-98304, -32769, -32768, -1, 0, 1, 32767, 32768, 65535, 65536, 1 << 40]
+    subset = VertexSubset(spark.createDataFrame([(x,) for x in ids], "vid long"))
+    dense = subset.to_dense()
+    assert {(r["bucket"], r["n"]) for r in dense.select("bucket", F.call_function("bitmap_count", "bits").alias("n")).collect()} == {(1 + k, sum(x // 32768 == k for x in ids)) for k in {x // 32768 for x in ids}}
+    assert rows(VertexSubset.from_dense(dense).frame, "vid") == [(x,) for x in ids]
+    g = graph(spark, {(a, b) for a in ids for b in ids if a < b})
+    assert rows(edge_map(g, subset.frame.where("vid <> 0"), mode="dense"), "dst", "src") == rows(edge_map(g, subset.frame.where("vid <> 0"), mode="sparse"), "dst", "src")
+
+
+def test_insert_vertices_query_with_ids_that_are_there(spark, tmp_path):
+    """The SQL lists an inserted id with degree 0, whether it was a vertex or not."""
+    duck = connection(DATA)
+    duck.execute(f"COPY (SELECT * REPLACE (500000 + k AS l_partkey) FROM (SELECT * FROM lineitem LIMIT 3), range(2) a(k)) TO '{tmp_path}/lineitem.parquet' (FORMAT parquet)")
+    duck.execute(f"CREATE OR REPLACE VIEW lineitem AS SELECT * FROM '{tmp_path}/lineitem.parquet'")
+    assert_same(queries()["insert_vertices"](spark, str(tmp_path)), duck, oracle_sql()["insert_vertices"])
+    g = graph(spark, {(1, 2)})
+    assert rows(g.insert_vertices(spark.range(2, 4).withColumnRenamed("id", "vid")).vertices(), "vid", "deg") == [(1, 1), (2, 1), (3, 0)]
+
+
 def test_updates(spark):
     edges = both_ways(random_pairs(6))
     g = Graph.from_edges(spark.createDataFrame(edges, "src long, dst long"), b=4)
