@@ -30,3 +30,8 @@ def test_entry_point(spark):
 
     assert set(__spark_entry__.oracle_sql()) <= set(__spark_entry__.queries())
     assert __spark_entry__.entry(spark).count() > 0
+
+
+@pytest.mark.parametrize("name", ["data_source_rmat", "memory_paper_graphs", "rmat_edges", "udtf_rmat", "string_tokens"])
+def test_query_reads_a_given_table(spark, name):
+    assert any(f.startswith("file:") and DATA in f for f in queries()[name](spark, DATA).inputFiles())
