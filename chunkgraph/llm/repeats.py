@@ -395,11 +395,17 @@ def _segment_rows(source: Source, gram: int, shards: int, window: int):
         group[~alike] = np.flatnonzero(~alike)  # equal hash, other text: on its own
         whole = ids[owner] > ids[owner[group]]
         w = np.flatnonzero(whole)
+        w = w[np.lexsort((first[w], owner[w]))]
+        # segments that are repeated whole and meet are one span: a row a copied passage, however many anchors it has
+        stop = first[w] + count[w] + window - 1
+        new = np.flatnonzero(np.concatenate(([True], (owner[w[1:]] != owner[w[:-1]]) | (first[w[1:]] > stop[:-1])))) if len(w) else w
+        until = np.maximum.reduceat(stop, new) if len(w) else stop
+        w = w[new]
         n = len(w)
         none = [None] * n
         if n:
             deal = (np.arange(n) % shards).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([pa.array(deal), pa.array(none, pa.binary()), pa.array(ids[owner[w]]), pa.array(names[owner[w]]), pa.array(first[w]), pa.array(first[w] + count[w] + window - 1)], schema=schema)
+            yield pa.RecordBatch.from_arrays([pa.array(deal), pa.array(none, pa.binary()), pa.array(ids[owner[w]]), pa.array(names[owner[w]]), pa.array(first[w]), pa.array(until)], schema=schema)
         left = np.flatnonzero(~whole)
         shard = ((key[left] >> np.uint64(24)) % np.uint64(shards)).astype(np.int32)
         by = np.lexsort((group[left], shard))

@@ -9,7 +9,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from chunkgraph.llm import bpe, decontaminate, embeddings, fmindex, langid, minhash, pii, quality, suffixarray, urls
+from chunkgraph.llm import bpe, decontaminate, embeddings, fmindex, langid, minhash, pii, quality, repeats, suffixarray, urls
 from chunkgraph.llm.components import components
 from chunkgraph.llm.repeats import anchors
 
@@ -493,3 +493,14 @@ def test_pipeline(spark):
     assert {r["doc_id"]: r["text"] for r in rows} == want
     own = bpe.codec(bpe.default_ranks_path())
     assert all(bytes(r["ids"]) == own.encode(r["text"]) and r["n_tokens"] * 4 == len(r["ids"]) for r in rows)
+
+
+def test_copied_passages_are_one_span_each_within_a_task(spark):
+    """Forty documents with one passage of some 40 anchors: a task names each copy in a few spans, not in one an anchor."""
+    r = random.Random(5)
+    passage = " ".join(f"w{r.randrange(10**6)}" for _ in range(1000))
+    d = docs(spark, [(k, f"own{k} {passage} end{k}") for k in range(40)], extra=False)
+    spans = {row["doc_id"]: [tuple(x) for x in row["spans"]] for row in repeats.repeated_spans(d, fmindex.WordSource(), fmindex.word_index, fmindex.GRAM).collect()}
+    assert sorted(spans) == list(range(1, 40))
+    assert all((min(a for a, _ in x), max(b for _, b in x)) == (1, 1001) for x in spans.values())
+    assert sum(len(x) <= 6 for x in spans.values()) >= 30
