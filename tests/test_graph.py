@@ -4,7 +4,7 @@ import threading
 import pytest
 from pyspark.sql import functions as F
 
-from chunkgraph.operators import algorithms, baselines
+from chunkgraph.operators import algorithms, baselines, walks
 from chunkgraph.operators import graph as graph_module
 from chunkgraph.operators.graph import Graph, VertexSubset, edge_map, two_hop
 from chunkgraph.plans import cost
@@ -120,6 +120,43 @@ def test_local_cluster_in_groups_cuts_as_all_edges_do(spark, monkeypatch):
     assert rows(algorithms.local_cluster(g, seeds, 1e-3, 4), "seed", "vid", "conductance") == whole
 
 
+def walked_by_hand(near, seed, eps, steps):
+    state = {seed: 1.0}
+    for _ in range(steps):
+        active, after = {v: p for v, p in state.items() if near.get(v) and p >= eps * len(near[v])}, {}
+        if not active:
+            break
+        for v, p in active.items():
+            after[v] = after.get(v, 0.0) + p / 2
+            for x in near[v]:
+                after[x] = after.get(x, 0.0) + p / (2 * len(near[v]))
+        state = after
+    return state
+
+
+@pytest.mark.parametrize("directed, eps, steps", [(False, 1e-3, 10), (False, 0.02, 6), (False, 0.2, 3), (True, 1e-3, 6), (False, 0.0, 2), (False, 1e-3, 0)])
+def test_walks_in_batches_are_those_by_hand(spark, monkeypatch, directed, eps, steps):
+    pairs, near = random_pairs(5, 60, 130) | {(1, 1), (-7, 3), (-7, 1 << 40)}, {}
+    both = pairs if directed else both_ways(pairs)
+    for a, b in both:
+        near.setdefault(a, set()).add(b)
+    g = Graph.from_edges(spark.createDataFrame(sorted(both), "src long, dst long"), directed=directed, b=4)
+    ids = [*range(0, 60, 4), -7, 1 << 40, 999]
+    monkeypatch.setattr(walks, "BATCH_SEEDS", 4)
+    got = {}
+    for r in algorithms.walk(g, spark.createDataFrame([(x,) for x in ids], "vid long"), eps, steps).collect():
+        got.setdefault(r["seed"], {})[r["vid"]] = r["p"]
+    assert got == {x: pytest.approx(walked_by_hand(near, x, eps, steps), abs=1e-14) for x in ids}
+
+
+def test_a_walk_that_has_its_lists_needs_no_more_rounds(spark):
+    g = graph(spark, {(i, j) for i in range(6) for j in range(i)})
+    degrees = algorithms._degrees(g)
+    near = algorithms._near(g, degrees, 1e-4).select("vid", "near")
+    rounds = walks.walked(spark.createDataFrame([(3,), (999,)], "vid long"), degrees, near, 2, 1e-4, 10)
+    assert len(rounds) == 3 and walks.ended(rounds, 10).count() == 2
+
+
 def test_settled_plans_leave_no_shuffle_files(spark):
     files = lambda: sum(f.getName().startswith("shuffle_") for f in spark._jvm.scala.jdk.javaapi.CollectionConverters.asJava(spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()))
     before, kept = files(), spark.conf.get("spark.sql.classic.shuffleDependency.fileCleanup.enabled")
