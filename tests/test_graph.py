@@ -149,6 +149,18 @@ def test_walks_in_batches_are_those_by_hand(spark, monkeypatch, directed, eps, s
     assert got == {x: pytest.approx(walked_by_hand(near, x, eps, steps), abs=1e-14) for x in ids}
 
 
+@pytest.mark.parametrize("eps", [1e-3, 0.3])
+def test_clusters_of_arrays_cut_as_frames_do(spark, eps):
+    g = graph(spark, random_pairs(9, 50, 140) | {(3, 3), (7, 7)})
+    degrees, seeds = settle(algorithms._degrees(g)), g.vertices().where("vid % 4 = 0").select("vid")
+    near = settle(algorithms._near(g, degrees, eps))
+    lists = lambda df: {r[0]: sorted(r[1]) for r in df.collect()}
+    assert lists(near.where(F.size("to") > 0).select("vid", "to")) == lists(algorithms._downhill(g, degrees))
+    want = algorithms._best(algorithms.sweep(g, algorithms.walk(g, seeds, eps, 5)))
+    got, want = ({(r["seed"], r["vid"]): r["conductance"] for r in df.collect()} for df in (algorithms.local_cluster(g, seeds, eps, 5), want))
+    assert got == pytest.approx(want, abs=1e-12) and got
+
+
 def test_a_walk_that_has_its_lists_needs_no_more_rounds(spark):
     g = graph(spark, {(i, j) for i in range(6) for j in range(i)})
     degrees = algorithms._degrees(g)
